@@ -6,14 +6,21 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from winnow.llm import line_dedup
+from winnow.llm import line_dedup, media, mixing, secrets, simhash
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_line_dedup": line_dedup.op1_line_dedup,
+        "op2_secret_scan": secrets.op2_secret_scan,
+        "op3_gif_media": media.op3_gif_media,
+        "op4_simhash_near_dedup": simhash.op4_simhash_near_dedup,
+        "op5_source_mixing": mixing.op5_source_mixing,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_line_dedup": line_dedup.OP1_SQL}
+    return {
+        "op1_line_dedup": line_dedup.OP1_SQL,
+        "op5_source_mixing": mixing.OP5_SQL,
+    }
