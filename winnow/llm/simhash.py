@@ -121,27 +121,25 @@ def _stars(rows: DataFrame, radius: int) -> DataFrame:
 
 
 def components(prints: DataFrame, radius: int = RADIUS, crowd: int = CROWD) -> DataFrame:
-    """``prints`` plus component_id: the smallest doc_id reachable over links, the row's own included."""
+    """``prints`` plus component_id, the smallest doc_id reachable over links, the row's own included, and root, one fingerprint of the component."""
     nodes = settle(prints.groupBy("fp").agg(F.min("doc_id").alias("least_id")))
     joined = connected_components(links(nodes.select("fp"), radius, crowd))
     rooted = nodes.join(joined, nodes.fp == joined.node, "left").select("fp", "least_id", F.coalesce("root", "fp").alias("root"))
     least = rooted.groupBy("root").agg(F.min("least_id").alias("component_id"))
-    named = rooted.join(least, "root").select(F.col("fp").alias("_fp"), "component_id")
+    named = rooted.join(least, "root").select(F.col("fp").alias("_fp"), "root", "component_id")
     return prints.join(named, prints.fp == named["_fp"]).drop("_fp")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS, crowd: int = CROWD) -> DataFrame:
-    """(doc_id, tkey, fp, component_id) of every row."""
+    """(doc_id, tkey, fp, root, component_id) of every row."""
     return components(settle(fingerprints(docs, id_col, text_col)), radius, crowd)
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``docs`` with its columns and one row of each component: of the rows with the smallest id, the one with the smallest key."""
     found = near_duplicates(docs, id_col, text_col)
-    first = found.groupBy("component_id").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "tkey")).alias("f"))
-    # a component of rows without id has a null id; each fingerprint of that kind is kept apart by its own key
-    alone = found.where(F.col("component_id").isNull()).groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "tkey")).alias("f")).select("f")
-    chosen = first.where(F.col("component_id").isNotNull()).select("f").unionAll(alone).select(F.col("f.doc_id").alias("_sh_id"), F.col("f.tkey").alias("_sh_key"))
+    first = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "tkey")).alias("f"))
+    chosen = first.select(F.col("f.doc_id").alias("_sh_id"), F.col("f.tkey").alias("_sh_key"))
     keyed = docs.withColumn("_sh_tkey", text_key(text_col))
     same = F.col(id_col).cast("long").eqNullSafe(F.col("_sh_id")) & (F.col("_sh_tkey") == F.col("_sh_key"))
     return keyed.join(chosen, same, "left_semi").dropDuplicates([id_col, "_sh_tkey"]).select(*docs.columns)
