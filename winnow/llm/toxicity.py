@@ -1,11 +1,11 @@
 """Toxicity: a counterfactual-regularised classifier.
 
-A logistic model over the presence of words, fitted with an L1 penalty that leaves only words that matter and
+A logistic model over the presence of words and of word beginnings, fitted with an L1 penalty that leaves only words that matter and
 with a penalty on (score before - score after)^2 of counterfactual pairs: sentences in which one identity term
 is swapped for another. A neutral mention of a group then moves the score little, however the labels lean.
 
 The vocabulary and weights come from a bounded sample of labelled rows: the ``max_rows`` smallest by hash of
-the id. Everything else covers all data. The model is a dictionary of at most ``max_words`` weights.
+the id. Everything else covers all data. The model is a dictionary of at most ``max_features`` weights.
 
 Defined cases: a null or empty text has no words and gets the intercept's score; ids without label, or with a
 null one, don't train; an id labelled more than once trains with each label; with labels of one kind or none
@@ -17,6 +17,7 @@ from __future__ import annotations
 import math
 import re
 import zlib
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -30,8 +31,12 @@ from winnow.plans.settle import settle
 
 FOLDS = 5
 MAX_ROWS = 20_000
-MAX_WORDS = 20_000
+MAX_FEATURES = 20_000
 MIN_DOCS = 4
+#: A feature enters the fit if its share of label 1 lies so many standard deviations from the sample's.
+MIN_STRENGTH = 3.0
+#: Beginnings of these lengths of longer words are features too.
+STEMS = range(4, 10)
 
 #: Terms that name groups of people, by kind. A swap stays within a kind.
 IDENTITY = (
@@ -54,6 +59,11 @@ def words(text: str | None) -> set[str]:
     return set(_LETTERS.findall((text or "").lower()))
 
 
+def features(word: str) -> list[str]:
+    """The word, and its beginnings marked as such: a stem that goes on differs from the stem alone."""
+    return [word, *(word[:k] + "+" for k in STEMS if k < len(word))]
+
+
 def swapped(found: set[str]) -> list[set[str]]:
     """One counterfactual per identity term of the set: the next term of its kind takes its place."""
     out = []
@@ -67,9 +77,20 @@ def swapped(found: set[str]) -> list[set[str]]:
 class Model:
     bias: float
     weights: dict[str, float] = field(default_factory=dict)
+    _known: dict[str, tuple] = field(default_factory=dict, repr=False)
 
     def score(self, found: set[str]) -> float:
-        z = self.bias + math.fsum(self.weights[w] for w in self.weights.keys() & found)
+        hits: set[str] = set()
+        known = self._known
+        for w in found:
+            own = known.get(w)
+            if own is None:
+                if len(known) > 200_000:  # a memo of words seen lately, not of the corpus
+                    known.clear()
+                own = known[w] = tuple(f for f in features(w) if f in self.weights)
+            if own:
+                hits.update(own)
+        z = self.bias + math.fsum(self.weights[f] for f in hits)
         return 1 / (1 + math.exp(-max(-35.0, min(35.0, z))))
 
 
@@ -77,7 +98,7 @@ def _soft(x: np.ndarray, by: float) -> np.ndarray:
     return np.sign(x) * np.maximum(np.abs(x) - by, 0)
 
 
-def fit(examples: list[tuple[set[str], int]], vocabulary: list[str], l1: float = 2e-4, swap_penalty: float = 1.0, rounds: int = 300) -> Model:
+def fit(examples: list[tuple[set[str], int]], vocabulary: list[str], l1: float = 1e-3, swap_penalty: float = 1.0, rounds: int = 300) -> Model:
     """Accelerated proximal gradient on mean log loss + swap_penalty * mean swap^2 + l1 * |weights|.
 
     Classes count alike in the loss; the intercept is then moved so that scores follow the labels' share.
@@ -89,15 +110,15 @@ def fit(examples: list[tuple[set[str], int]], vocabulary: list[str], l1: float =
     at = {w: i for i, w in enumerate(vocabulary)}
 
     def sparse(sets: list[set[str]]) -> tuple[np.ndarray, np.ndarray]:
-        cols = [[at[w] for w in s if w in at] for s in sets]
+        cols = [{at[f] for w in s for f in features(w) if f in at} for s in sets]
         return np.repeat(np.arange(len(cols)), [len(c) for c in cols]), np.array([i for c in cols for i in sorted(c)], int)
 
     row, col = sparse([s for s, _ in examples])
     before, after = [], []
     for s, _ in examples:
         for t in swapped(s):
-            before.append(s - t)
-            after.append(t - s)
+            before.append(s)
+            after.append(t)
     (r1, c1), (r2, c2) = sparse(before), sparse(after)
     d_row, d_col = np.concatenate([r1, r2]), np.concatenate([c1, c2])
     d_sign = np.concatenate([np.ones(len(c1)), -np.ones(len(c2))])
@@ -160,38 +181,44 @@ def training_rows(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS,
     return joined.select("label", "text").mapInArrow(of, "label int, words array<string>")
 
 
-def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, max_words: int = MAX_WORDS, min_docs: int = MIN_DOCS, swap_penalty: float = 1.0, **cols) -> Model:
-    """Fits on the sample. The driver gets at most ``max_rows`` rows of words out of ``max_words``."""
-    rows = settle(training_rows(docs, labels, max_rows, **cols))
+def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, max_features: int = MAX_FEATURES, min_docs: int = MIN_DOCS, swap_penalty: float = 1.0, **cols) -> Model:
+    """Fits on the sample. The driver gets at most ``max_rows`` rows of words that bear one of ``max_features`` features."""
+    rows = settle(training_rows(docs, labels, max_rows, **cols).dropDuplicates(["label", "words"]))
     total = rows.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("label"), F.lit(0)).alias("n1")).first()
-    counted = rows.select("label", F.explode("words").alias("w")).groupBy("w").agg(F.count(F.lit(1)).alias("n"), F.sum("label").alias("n1"))
-    # how far a word's share of label 1 lies from the sample's, in standard deviations
+
+    def counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            n: Counter = Counter()
+            n1: Counter = Counter()
+            for label, found in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                have = {f for w in found for f in features(w)}
+                n.update(have)
+                if label:
+                    n1.update(have)
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(list(n), pa.string()), pa.array(list(n.values()), pa.int64()), pa.array([n1[f] for f in n], pa.int64())], names=["f", "n", "n1"]
+            )
+
+    counted = rows.select("label", "words").mapInArrow(counts, "f string, n long, n1 long").groupBy("f").agg(F.sum("n").alias("n"), F.sum("n1").alias("n1"))
     p = F.lit((total["n1"] + 0.5) / (total["n"] + 1.0))
     strength = F.abs(F.col("n1") - F.col("n") * p) / F.sqrt(F.col("n") * p * (1 - p))
-    names = F.col("w").isin(sorted(_KIND))
-    kept = counted.where((F.col("n") >= min_docs) | names).orderBy(names.desc(), strength.desc(), "w").limit(max_words).select("w")
-    vocabulary = sorted({r["w"] for r in kept.collect()} | set(_KIND))
-    known = F.array_intersect("words", F.array(*[F.lit(w) for w in vocabulary])) if len(vocabulary) < 200 else _within(vocabulary)("words")
-    examples = [(set(r["words"]), r["label"]) for r in rows.select("label", known.alias("words")).collect()]
-    return fit(examples, vocabulary, swap_penalty=swap_penalty)
-
-
-def _within(vocabulary: list[str]):
-    kept = frozenset(vocabulary)
+    strong = counted.where((F.col("n") >= min_docs) & (strength >= MIN_STRENGTH)).orderBy(strength.desc(), "f").limit(max_features)
+    vocabulary = sorted({r["f"] for r in strong.select("f").collect()} | set(_KIND))
+    known = frozenset(vocabulary)
 
-    def inner(found):
-        return [w for w in found if w in kept]
+    def bearing(found):
+        return [w for w in found if any(f in known for f in features(w))]
 
-    return F.udf(inner, "array<string>")
+    examples = [(set(r["words"]), r["label"]) for r in rows.select("label", F.udf(bearing, "array<string>")("words").alias("words")).collect()]
+    return fit(sorted(examples, key=lambda x: (x[1], sorted(x[0]))), vocabulary, swap_penalty=swap_penalty)
 
 
 def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``docs`` plus score and predicted; a column of either name is replaced."""
-    known = frozenset(model.weights)
 
     @F.pandas_udf("double")
     def scored(text):
-        return text.map(lambda x: model.score(words(x) & known) if x else model.score(set())).astype(float)
+        return text.map(lambda x: model.score(words(x))).astype(float)
 
     out = docs.withColumn("score", scored(F.coalesce(F.col(text_col).cast("string"), F.lit(""))))
     return out.withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
