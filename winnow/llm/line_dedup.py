@@ -138,7 +138,8 @@ def apply_bitmaps(docs: DataFrame, bitmaps: DataFrame, id_col: str = "doc_id", t
         return "\n".join([x for x, k in zip(lines, kept_lines(keep, len(lines)), strict=True) if k])
 
     left = _with_bitmaps(docs, bitmaps, id_col, text_col)
-    new = F.when(F.col("_ld_keep").isNull(), F.col(text_col)).otherwise(rebuilt(text_col, "_ld_keep"))
+    loses = F.col("_ld_keep").isNotNull()
+    new = F.when(loses, rebuilt(F.when(loses, F.col(text_col)), "_ld_keep")).otherwise(F.col(text_col))  # other texts don't go to Python
     return left.withColumn(text_col, new).select(*docs.columns)
 
 
