@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from winnow.functions.textops import hash_uniform, words
 from winnow.operators import lm, quantiles, select
+from winnow.operators.ranking import running_total
 from winnow.plans.settle import settle
 
 BUCKETS = 10_000
@@ -110,11 +111,16 @@ def likelihood_gap(docs: DataFrame, a: lm.Model, b: lm.Model) -> DataFrame:
 def representative_subset(docs: DataFrame, a: lm.Model, b: lm.Model, fraction: float, strata: int = 100, seed: int = 7) -> DataFrame:
     """Quantile strata of the gap, each filled in hash order to its share of the budget, so the subset keeps the gap's distribution.
 
-    With 100 strata a stratum holds a hundredth of the rows, so running sums are taken on range-partitioned rows at scale.
+    A stratum holds a hundredth of the rows, so beyond one window's size running sums are taken on range-partitioned rows.
     """
     gaps = settle(likelihood_gap(docs, a, b))
     q = quantiles.normalise(gaps, "gap", "exact").withColumn("stratum", F.ceil(F.col("q_gap") * strata).cast("int"))
     share = q.groupBy("stratum").agg(F.sum("n_tokens").alias("_t"))
-    w = Window.partitionBy("stratum").orderBy(hash_uniform("doc_id", seed), "doc_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    filled = q.withColumn("cum_tokens", F.sum("n_tokens").over(w)).join(F.broadcast(share), "stratum")
+    placed = q.withColumn("_u", hash_uniform("doc_id", seed))
+    if gaps.count() > select.WINDOW_ROWS:
+        filled = running_total(placed, ["stratum"], ["_u", "doc_id"], "n_tokens", "cum_tokens")
+    else:
+        w = Window.partitionBy("stratum").orderBy("_u", "doc_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+        filled = placed.withColumn("cum_tokens", F.sum("n_tokens").over(w))
+    filled = filled.join(F.broadcast(share), "stratum")
     return filled.where(F.col("cum_tokens") <= F.floor(F.lit(fraction) * F.col("_t"))).select("doc_id", "n_tokens", "gap", "stratum")

@@ -44,3 +44,27 @@ def ranked(df: DataFrame, by: Sequence[str], order: Sequence[Column | str], name
         .withColumn(name, F.col("_rk_start") + F.col("_rk_at") - F.col("_rk_first"))
         .drop("_rk_at", "_rk_part", "_rk_p", "_rk_first", "_rk_n", "_rk_start", *names)
     )
+
+
+def running_total(df: DataFrame, by: Sequence[str], order: Sequence[Column | str], value: str, name: str = "cum") -> DataFrame:
+    """``df`` plus ``name``: the sum of ``value`` over the rows of the group up to this one, for groups of any size.
+
+    Like ``ranked``: rows are range-partitioned, summed within partitions, and the sums of earlier partitions added.
+    """
+    keys = [F.col(c) for c in by]
+    names = [f"_rt_k{i}" for i in range(len(by))]
+    placed = settle(
+        df.repartitionByRange(*keys, *order).sortWithinPartitions(*keys, *order).withColumns({"_rt_at": F.monotonically_increasing_id(), "_rt_part": F.spark_partition_id()})
+    )
+    runs = placed.groupBy(*[k.alias(n) for k, n in zip(keys, names, strict=True)], F.col("_rt_part").alias("_rt_p")).agg(F.sum(value).alias("_rt_n"))
+    ahead = Window.partitionBy(*names).orderBy("_rt_p").rowsBetween(Window.unboundedPreceding, -1)
+    runs = settle(runs.withColumn("_rt_start", F.coalesce(F.sum("_rt_n").over(ahead), F.lit(0).cast("long"))))
+    if runs.count() <= RUNS_BROADCAST:
+        runs = F.broadcast(runs)
+    same = [F.col("_rt_part") == F.col("_rt_p")] + [k.eqNullSafe(F.col(n)) for k, n in zip(keys, names, strict=True)]
+    within = Window.partitionBy("_rt_part", *by).orderBy("_rt_at").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    return (
+        placed.join(runs, reduce(lambda x, y: x & y, same))
+        .withColumn(name, F.col("_rt_start") + F.sum(value).over(within))
+        .drop("_rt_at", "_rt_part", "_rt_p", "_rt_n", "_rt_start", *names)
+    )

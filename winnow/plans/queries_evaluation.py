@@ -1 +1,334 @@
-"""Registered later."""
+"""Measures, few-shot tasks, multiple choice, costs and the reported figures."""
+
+from __future__ import annotations
+
+from functools import reduce
+
+from pyspark.sql import functions as F
+
+from winnow.operators import costs, fewshot, lm, metrics, metrics_table, results, select, tasks
+from winnow.plans import experiments
+from winnow.plans.catalog import query
+from winnow.plans.oracle import hard_body, sql
+from winnow.plans.queries_scores import corpus, general, seed_of
+from winnow.plans.settle import settle
+from winnow.sources.tables import read_table
+
+_CHOSEN = {"h": hard_body("entropy")}
+_CONT = _CHOSEN | dict(
+    lmc="SELECT term, sum(c)::BIGINT AS c FROM (SELECT term, c FROM lm1 UNION ALL SELECT term, count(*) AS c FROM tok JOIN h USING (doc_id) GROUP BY term) GROUP BY term",
+    lmct="SELECT sum(c)::DOUBLE AS n, count(*)::DOUBLE AS v FROM lmc",
+)
+
+
+def _chosen(spark, d):
+    return select.choose(metrics_table.standard(spark, d), "diversity", "hard", 0.1)
+
+
+def _continued(spark, d):
+    docs = corpus(spark, d)
+    return lm.continue_training(lm.train(general(spark, d)), docs.join(_chosen(spark, d).select("doc_id"), "doc_id", "left_semi"))
+
+
+@query("continued_lm_counts", sql("SELECT term, c FROM lmc", **_CONT))
+def continued_lm_counts(spark, d):
+    return _continued(spark, d).unigrams.select("term", F.col("c").cast("long").alias("c"))
+
+
+_TWO = "SELECT round(exp(-sum(ln((coalesce(a.c, 0) + 1e0) / (lmt.n + lmt.v + 1e0))) / count(*)) / exp(-sum(ln((coalesce(b.c, 0) + 1e0) / (lmct.n + lmct.v + 1e0))) / count(*)) - 1, 6) AS {name} FROM {words} w LEFT JOIN lm1 a USING (term) LEFT JOIN lmc b USING (term) CROSS JOIN lmt CROSS JOIN lmct"
+
+
+@query("domain_gain", sql(_TWO.format(name="domain_gain", words="stok"), **_CONT))
+def domain_gain(spark, d):
+    base, cont = lm.train(general(spark, d)), _continued(spark, d)
+    a, b = (lm.corpus_perplexity(seed_of(spark, d), m, "seed_id").select(F.col("perplexity").alias(n)) for m, n in ((base, "a"), (cont, "b")))
+    return a.crossJoin(b).select(F.round(F.col("a") / F.col("b") - 1, 6).alias("domain_gain"))
+
+
+@query("retention", sql(_TWO.format(name="retention", words="ctok"), ctok="SELECT term FROM cpos", **_CONT))
+def retention(spark, d):
+    base, cont = lm.train(general(spark, d)), _continued(spark, d)
+    texts = general(spark, d).withColumn("doc_id", F.concat_ws("-", "conv_id", "turn"))
+    a, b = (lm.corpus_perplexity(texts, m).select(F.col("perplexity").alias(n)) for m, n in ((base, "a"), (cont, "b")))
+    return a.crossJoin(b).select(F.round(F.col("a") / F.col("b") - 1, 6).alias("retention"))
+
+
+_W = r"regexp_extract_all(lower(text), '[\p{L}\p{N}]+')"
+_SHOTS = dict(
+    shots="SELECT * FROM (SELECT s.seed, task, doc_id, label, text, row_number() OVER (PARTITION BY task, s.seed ORDER BY md5(doc_id || ':' || task || ':' || s.seed), doc_id) AS r FROM pool CROSS JOIN (SELECT unnest(range(0, 10))::INT AS seed) s WHERE rank <= 50) WHERE r <= 5",
+    seen=f"SELECT seed, task, label, term, count(*) AS k FROM (SELECT seed, task, label, unnest({_W}) AS term FROM shots) GROUP BY ALL",
+    pri="SELECT r.seed, r.task, c.class, coalesce(m.mass, 0) AS mass, ln((coalesce(h.held, 0) + 1e0) / (sum(coalesce(h.held, 0)) OVER (PARTITION BY r.seed, r.task) + 2)) AS prior FROM (SELECT DISTINCT seed, task FROM shots) r CROSS JOIN (SELECT unnest(['0', '1']) AS class) c LEFT JOIN (SELECT seed, task, label, count(*) AS held FROM shots GROUP BY ALL) h ON h.seed = r.seed AND h.task = r.task AND h.label = c.class LEFT JOIN (SELECT seed, task, label, sum(k) AS mass FROM seen GROUP BY ALL) m ON m.seed = r.seed AND m.task = r.task AND m.label = c.class",
+    tests="SELECT task, doc_id, text, label FROM pool WHERE rank > 50",
+    tw=f"SELECT doc_id, term, count(*) AS n FROM (SELECT doc_id, unnest({_W}) AS term FROM (SELECT DISTINCT doc_id, text FROM tests)) GROUP BY ALL",
+    p1="SELECT doc_id, term, tw.n, (coalesce(c, 0) + 1e0) / (lmt.n + lmt.v + 1e0) AS p FROM tw LEFT JOIN lm1 USING (term) CROSS JOIN lmt",
+    tl="SELECT doc_id, sum(n) AS nt, sum(n * ln(p)) AS ll FROM p1 GROUP BY doc_id",
+    extra="SELECT doc_id, seed, task, label AS class, sum(n * ln((k + 200e0 * p) / (200e0 * p))) AS extra FROM p1 JOIN seen USING (term) GROUP BY ALL",
+    scored="SELECT t.task, t.doc_id, t.label, pri.seed, pri.class, round(prior + coalesce(ll, 0) + coalesce(nt, 0) * ln(200e0 / (mass + 200e0)) + coalesce(extra, 0), 6) AS score FROM tests t JOIN pri ON pri.task = t.task LEFT JOIN tl ON tl.doc_id = t.doc_id LEFT JOIN extra e ON e.doc_id = t.doc_id AND e.seed = pri.seed AND e.task = t.task AND e.class = pri.class",
+    predicted="SELECT task, seed, doc_id, label, class AS predicted FROM (SELECT *, row_number() OVER (PARTITION BY task, seed, doc_id ORDER BY score DESC, class DESC) AS place FROM scored) WHERE place = 1",
+    counts="SELECT task, seed, c, sum((label = c AND predicted = c)::INT) AS tp, sum((label <> c AND predicted = c)::INT) AS fp, sum((label = c AND predicted <> c)::INT) AS fn FROM predicted CROSS JOIN (SELECT unnest(['0', '1']) AS c) GROUP BY ALL HAVING sum((label = c OR predicted = c)::INT) > 0",
+    f1s="SELECT task, seed, avg(coalesce(2e0 * tp / nullif(2 * tp + fp + fn, 0), 0)) AS f1 FROM counts GROUP BY ALL",
+)
+
+
+def _predictions(spark, d):
+    ranked = settle(tasks.ranked_pool(tasks.labelled(read_table(spark, d, "documents"), read_table(spark, d, "labels"))))
+    shots = settle(fewshot.draw_shots(ranked.where("rank <= 50")))
+    return fewshot.classify(ranked.where("rank > 50"), shots, lm.train(general(spark, d)))
+
+
+@query("fewshot_predictions", sql("SELECT task, seed, doc_id, label, predicted FROM predicted", **_SHOTS))
+def fewshot_predictions(spark, d):
+    return _predictions(spark, d).select("task", "seed", "doc_id", "label", "predicted")
+
+
+@query("fewshot_f1", sql("SELECT task, seed, round(f1, 6) AS f1 FROM f1s", **_SHOTS))
+def fewshot_f1(spark, d):
+    return metrics.f1(_predictions(spark, d), "macro", ("task", "seed")).select("task", "seed", F.round("f1", 6).alias("f1"))
+
+
+@query(
+    "f1_averages",
+    sql(
+        "SELECT task, seed, round(sum(f * sup) / sum(sup), 6) AS weighted, round(2e0 * sum(tp) / (2 * sum(tp) + sum(fp) + sum(fn)), 6) AS micro, round(coalesce(max(f) FILTER (c = '1'), 0), 6) AS binary_f1 FROM (SELECT *, tp + fn AS sup, coalesce(2e0 * tp / nullif(2 * tp + fp + fn, 0), 0) AS f FROM counts) GROUP BY ALL",
+        **_SHOTS,
+    ),
+)
+def f1_averages(spark, d):
+    p, by = settle(_predictions(spark, d)), ("task", "seed")
+    parts = [metrics.f1(p, a, by).select(*by, F.round("f1", 6).alias(n)) for a, n in (("weighted", "weighted"), ("micro", "micro"), ("binary", "binary_f1"))]
+    return reduce(lambda a, b: a.join(b, list(by)), parts)
+
+
+@query("accuracy_by_task", sql("SELECT task, seed, round(avg((label = predicted)::INT), 6) AS accuracy FROM predicted GROUP BY ALL", **_SHOTS))
+def accuracy_by_task(spark, d):
+    return metrics.accuracy(_predictions(spark, d), ("task", "seed")).select("task", "seed", F.round("accuracy", 6).alias("accuracy"))
+
+
+@query("seed_mean_sd", sql("SELECT task, count(*) AS runs, round(avg(f1), 6) AS mean, round(stddev_samp(f1), 6) AS sd, round(stddev_pop(f1), 6) AS sd_pop FROM f1s GROUP BY task", **_SHOTS))
+def seed_mean_sd(spark, d):
+    f = metrics.f1(_predictions(spark, d), "macro", ("task", "seed"))
+    return metrics.over_seeds(f, "f1", ("task",)).select("task", "runs", *[F.round(c, 6).alias(c) for c in ("mean", "sd", "sd_pop")])
+
+
+@query("span_f1")
+def span_f1(spark, d):
+    docs = corpus(spark, d).select("doc_id", "text")
+    pool = docs.where(F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(5)) == 0)  # a fifth as shots
+    rest = docs.join(pool.select("doc_id"), "doc_id", "left_anti")
+    return metrics.span_f1(fewshot.lexicon_spans(pool, rest), fewshot.rule_spans(rest)).withColumn("f1", F.round("f1", 6))
+
+
+_PUB = ", ".join(
+    f"('{s}{'/' + m if m else ''}', '{t}', {v}::DOUBLE)" for s, m, _, four, *_ in results.SELECTION for t, (v, _) in zip(results.TASKS, four, strict=True)
+)
+_PUB_CTE = dict(pub=f"SELECT * FROM (VALUES {_PUB}) p(selector, task, value)")
+
+
+def _published(spark):
+    return results.selection(spark).withColumn("selector", F.concat_ws("/", "selector", F.nullif("mode", F.lit("")))).select("selector", "task", "value")
+
+
+@query(
+    "win_rate",
+    sql("SELECT a.selector, round(100e0 * avg(CASE WHEN a.value > b.value THEN 1e0 WHEN a.value = b.value THEN 0.5e0 ELSE 0e0 END), 6) AS win_rate FROM pub a JOIN pub b ON a.task = b.task AND a.selector <> b.selector GROUP BY a.selector", **_PUB_CTE),
+)
+def win_rate(spark, d):
+    return metrics.win_rate(_published(spark)).select("selector", F.round("win_rate", 6).alias("win_rate"))
+
+
+@query(
+    "win_rate_with_self",
+    sql("SELECT a.selector, round(100e0 * avg(CASE WHEN a.selector = b.selector OR a.value > b.value THEN 1e0 ELSE 0e0 END), 6) AS win_rate FROM pub a JOIN pub b ON a.task = b.task GROUP BY a.selector", **_PUB_CTE),
+)
+def win_rate_with_self(spark, d):
+    return metrics.win_rate(_published(spark), ties="strict", with_self="win").select("selector", F.round("win_rate", 6).alias("win_rate"))
+
+
+@query(
+    "delta_pct",
+    sql("SELECT selector, round(average, 6) AS average, round(sd_tasks, 6) AS sd_tasks, round(100e0 * (average / (SELECT average FROM avgs WHERE selector = 'base_only') - 1), 6) AS delta_pct FROM avgs", **_PUB_CTE, avgs="SELECT selector, avg(value) AS average, stddev_pop(value) AS sd_tasks FROM pub GROUP BY selector"),
+)
+def delta_pct(spark, d):
+    return metrics.delta_pct(metrics.task_average(_published(spark))).select("selector", *[F.round(c, 6).alias(c) for c in ("average", "sd_tasks", "delta_pct")])
+
+
+@query("published_replay")
+def published_replay(spark, d):
+    return results.replay(spark)
+
+
+@query("published_observations")
+def published_observations(spark, d):
+    return results.observations(spark)
+
+
+@query("published_retention")
+def published_retention(spark, d):
+    return results.retention(spark)
+
+
+@query("published_full_corpus")
+def published_full_corpus(spark, d):
+    return results.full_corpus(spark)
+
+
+@query(
+    "cost_ledger",
+    "SELECT * FROM (VALUES ('corpus_share_of_pretraining', round(23.9e0 / 300, 9)), ('subset_share_of_pretraining', round(23.9e0 * 0.1e0 / 300, 9)), ('tokens_per_second_1B', round(24e9 / (3e0 * 86400), 9)), ('tokens_per_second_6.9B', round(24e9 / (18e0 * 86400), 9)), ('surrogate_over_full_scoring', 0.07e0), ('full_scoring_over_training', 0.25e0)) c(item, value)",
+)
+def cost_ledger(spark, d):
+    return costs.ledger(spark)
+
+
+@query("tokens_used", sql("SELECT (SELECT sum(n_tokens) FROM h)::BIGINT AS tokens, (SELECT sum(n_tokens) FROM metrics)::BIGINT AS all_tokens, round((SELECT sum(n_tokens) FROM h)::DOUBLE / (SELECT sum(n_tokens) FROM metrics), 6) AS share", **_CHOSEN))
+def tokens_used(spark, d):
+    return costs.tokens_used(_chosen(spark, d), metrics_table.standard(spark, d)).withColumn("share", F.round("share", 6))
+
+
+def _items_sql(items: str) -> dict[str, str]:
+    return dict(
+        items=items,
+        placed="SELECT *, row_number() OVER (ORDER BY md5(item::VARCHAR), item) - 1 AS at, count(*) OVER () AS total FROM items",
+        pairs="SELECT a.item, c.candidate, a.prompt, b.text, c.candidate = 0 AS is_true FROM placed a CROSS JOIN (SELECT unnest(range(0, 4)) AS candidate) c JOIN placed b ON b.at = (a.at + c.candidate) % a.total",
+        pw=f"SELECT item, candidate, term, count(*) AS k FROM (SELECT item, candidate, unnest({_W.replace('text', 'prompt')}) AS term FROM pairs) GROUP BY ALL",
+        psz=f"SELECT item, candidate, len({_W.replace('text', 'prompt')}) AS size FROM pairs",
+        cw=f"SELECT item, candidate, term, count(*) AS m FROM (SELECT item, candidate, unnest({_W}) AS term FROM pairs) GROUP BY ALL",
+        cll="SELECT item, candidate, sum(m * ln((coalesce(k, 0) + 200e0 * ((coalesce(c, 0) + 1e0) / (lmt.n + lmt.v + 1e0))) / (size + 200e0))) AS ll FROM cw LEFT JOIN pw USING (item, candidate, term) LEFT JOIN lm1 USING (term) JOIN psz USING (item, candidate) CROSS JOIN lmt GROUP BY ALL",
+        sc="SELECT item, candidate, is_true, coalesce(ll, 0) AS score, coalesce(ll, 0) / greatest(strlen(text), 1) AS score_norm FROM pairs LEFT JOIN cll USING (item, candidate)",
+    )
+
+
+def _best(score: str) -> str:
+    return f"SELECT count(*) AS items, round(avg(is_true::INT), 6) AS accuracy FROM (SELECT *, row_number() OVER (PARTITION BY item ORDER BY round({score}, 9) DESC, candidate) AS place FROM sc) WHERE place = 1"
+
+
+_TURNS = _items_sql("SELECT conv_id || '-' || turn AS item, text AS prompt, next AS text FROM (SELECT conv_id, turn, text, lead(text) OVER (PARTITION BY conv_id ORDER BY turn) AS next FROM conversations) WHERE next IS NOT NULL")
+_CUT = "floor(len(string_split(text, ' ')) / 2)::INT"
+_PASSAGES = _items_sql(f"SELECT item_id AS item, array_to_string(string_split(text, ' ')[1:{_CUT}], ' ') AS prompt, array_to_string(string_split(text, ' ')[{_CUT} + 1:], ' ') AS text FROM benchmark")
+
+
+def _turns(spark, d):
+    return fewshot.with_scores(fewshot.conditional_ll(fewshot.with_distractors(fewshot.next_turns(general(spark, d))), lm.train(general(spark, d))))
+
+
+@query("choice_accuracy", sql(_best("score"), **_TURNS))
+def choice_accuracy(spark, d):
+    return metrics.choice_accuracy(_turns(spark, d)).select("items", F.round("accuracy", 6).alias("accuracy"))
+
+
+@query("choice_accuracy_norm", sql(_best("score_norm"), **_TURNS))
+def choice_accuracy_norm(spark, d):
+    return metrics.choice_accuracy(_turns(spark, d), "score_norm").select("items", F.round("accuracy", 6).alias("accuracy"))
+
+
+@query("choice_passage_halves", sql(_best("score"), **_PASSAGES))
+def choice_passage_halves(spark, d):
+    pairs = fewshot.with_distractors(fewshot.passage_halves(read_table(spark, d, "benchmark")))
+    return metrics.choice_accuracy(fewshot.with_scores(fewshot.conditional_ll(pairs, lm.train(general(spark, d))))).select("items", F.round("accuracy", 6).alias("accuracy"))
+
+
+@query("choice_title_to_article")
+def choice_title_to_article(spark, d):
+    pairs = fewshot.with_distractors(fewshot.page_titles(read_table(spark, d, "pages")))
+    return metrics.choice_accuracy(fewshot.with_scores(fewshot.conditional_ll(pairs, lm.train(general(spark, d))))).select("items", F.round("accuracy", 6).alias("accuracy"))
+
+
+@query(
+    "mc1_mc2",
+    sql(
+        f"SELECT a.items, a.accuracy AS mc1, m.mc2 FROM ({_best('score')}) a CROSS JOIN (SELECT round(avg(mass), 6) AS mc2 FROM (SELECT item, coalesce(sum(e) FILTER (is_true), 0) / sum(e) AS mass FROM (SELECT *, exp(score - max(score) OVER (PARTITION BY item)) AS e FROM sc) GROUP BY item)) m",
+        **_PASSAGES,
+    ),
+)
+def mc1_mc2(spark, d):
+    pairs = fewshot.with_distractors(fewshot.passage_halves(read_table(spark, d, "benchmark")))
+    s = settle(fewshot.with_scores(fewshot.conditional_ll(pairs, lm.train(general(spark, d)))))
+    one = metrics.mc1(s).select("items", F.round("accuracy", 6).alias("mc1"))
+    return one.crossJoin(metrics.mc2(s).select(F.round("mc2", 6).alias("mc2")))
+
+
+@query("mc_multi_truth")
+def mc_multi_truth(spark, d):
+    from winnow.operators import dedup
+
+    docs = settle(corpus(spark, d).select("doc_id", "text"))
+    pairs = fewshot.copies_as_truths(docs, settle(dedup.resembling_pairs(docs)))
+    s = settle(fewshot.with_scores(fewshot.conditional_ll(pairs, lm.train(general(spark, d)))))
+    return metrics.mc1(s).select("items", F.round("accuracy", 6).alias("mc1")).crossJoin(metrics.mc2(s).select(F.round("mc2", 6).alias("mc2")))
+
+
+@query(
+    "purity_lift",
+    sql(
+        "SELECT count(*) AS labelled, count(h.doc_id) AS chosen, round(avg(quality), 6) AS quality_all, round(avg(quality) FILTER (h.doc_id IS NOT NULL), 6) AS quality_chosen, round(avg(toxic) FILTER (h.doc_id IS NOT NULL), 6) AS toxic_chosen, round(count(*) FILTER (h.doc_id IS NOT NULL AND quality = 1) / nullif(count(*) FILTER (quality = 1), 0)::DOUBLE, 6) AS recall, round(avg(quality) FILTER (h.doc_id IS NOT NULL) / avg(quality), 6) AS lift FROM labels LEFT JOIN h USING (doc_id)",
+        **_CHOSEN,
+    ),
+)
+def purity_lift(spark, d):
+    r = metrics.purity(_chosen(spark, d), read_table(spark, d, "labels"))
+    return r.select("labelled", "chosen", *[F.round(c, 6).alias(c) for c in ("quality_all", "quality_chosen", "toxic_chosen", "recall", "lift")])
+
+
+def _auc_sql(c: str) -> str:
+    return f"SELECT '{c}' AS metric, round((sum(r) FILTER (quality = 1) - count(*) FILTER (quality = 1) * (count(*) FILTER (quality = 1) + 1) / 2e0) / (count(*) FILTER (quality = 1) * count(*) FILTER (quality = 0)), 6) AS auc FROM (SELECT quality, rank() OVER (ORDER BY {c}) + (count(*) OVER (PARTITION BY {c}) - 1) / 2e0 AS r FROM metrics JOIN labels USING (doc_id) WHERE {c} IS NOT NULL)"
+
+
+@query("metric_auc", sql(" UNION ALL ".join(_auc_sql(c) for c in ("similarity", "perplexity", "entropy"))))
+def metric_auc(spark, d):
+    m, labels = metrics_table.standard(spark, d), read_table(spark, d, "labels")
+    parts = [metrics.auc(m, labels, c).select(F.lit(c).alias("metric"), F.round("auc", 6).alias("auc")) for c in ("similarity", "perplexity", "entropy")]
+    return reduce(lambda a, b: a.unionByName(b), parts)
+
+
+@query("approximation_error")
+def approximation_error(spark, d):
+    m = metrics_table.standard(spark, d)
+    parts = [metrics.rank_error(m, c, how).select(F.lit(c).alias("metric"), F.lit(how).alias("method"), F.round("largest", 6).alias("largest"), F.round("mean", 6).alias("mean")) for c in ("similarity", "perplexity") for how in ("approx", "kll")]
+    return reduce(lambda a, b: a.unionByName(b), parts)
+
+
+@query("near_dup_recall")
+def near_dup_recall(spark, d):
+    from winnow.operators import dedup
+
+    docs = settle(corpus(spark, d).select("doc_id", "text"))
+    return metrics.dedup_recall(settle(dedup.near(docs)), dedup.resembling_pairs(docs))
+
+
+#: The grid's rows that the registered query runs; experiments.ROWS has all fourteen.
+_GRID = (("base_only", ""), ("uniform_budget", ""), ("full_domain", ""), ("task_only", ""), *((s, "hard") for s in experiments.SELECTORS))
+
+
+@query("selection_comparison")
+def selection_comparison(spark, d):
+    b = experiments.Bench(spark, d)
+    return experiments.comparison_table(settle(experiments.selection_comparison(b, experiments.ROWS, seeds=10)))
+
+
+@query("gain_and_retention")
+def gain_and_retention(spark, d):
+    return experiments.gain_and_retention(experiments.Bench(spark, d))
+
+
+@query("open_domain_choice")
+def open_domain_choice(spark, d):
+    return experiments.open_domain(experiments.Bench(spark, d), _GRID)
+
+
+@query("size_pair")
+def size_pair(spark, d):
+    return experiments.size_pair(spark, d).groupBy("model", "selector", "task").agg(F.round(F.avg("f1"), 6).alias("f1"), F.round(F.avg("accuracy"), 6).alias("accuracy"))
+
+
+@query("f1_by_size")
+def f1_by_size(spark, d):
+    return experiments.f1_ablation(experiments.Bench(spark, d))
+
+
+@query("supervised_tuning")
+def supervised_tuning(spark, d):
+    """The classifier trained on all labelled pool rows, with no continued training."""
+    b = experiments.Bench(spark, d)
+    shots = b.pool.select(F.lit(0).alias("seed"), "task", "doc_id", "label", "text")
+    p = fewshot.classify(b.tests, settle(shots), b.base)
+    return metrics.f1(p, "macro", ("task", "seed")).select("task", F.round("f1", 6).alias("f1"))
