@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 WORD = r"[\p{L}\p{N}]+"
@@ -53,3 +53,12 @@ def sum_of_squared_counts(tokens: Column) -> Column:
         return F.struct(w.alias("last"), run.alias("run"), (s["acc"] + 2 * run - 1).alias("acc"))
 
     return F.aggregate(F.array_sort(tokens), start, step, lambda s: s["acc"])
+
+
+def once(df: DataFrame, **columns: Column) -> DataFrame:
+    """``df`` plus columns that are computed once per row however often later steps name them.
+
+    The optimizer would otherwise copy a costly expression into every filter and projection above it; it
+    doesn't move expressions through a generator.
+    """
+    return df.select("*", F.inline(F.array(F.struct(*[c.alias(n) for n, c in columns.items()]))))

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from winnow.functions.textops import pieces
+from winnow.functions.textops import once, pieces
 from winnow.functions.typing_rules import ENTITIES, POS, entity_tags, pos_tags
 
 ENTITY_TOKEN = r"[^ \t\r\n]+"
@@ -37,13 +37,13 @@ def entropy_of(tag_array: Column, types: tuple[str, ...], base: float | None = N
 
 
 def with_entropy(docs: DataFrame, tagset: str = "pos", text: str = "text", **how) -> DataFrame:
-    """``docs`` plus entropy. The tags are one column of their own, so they are computed once per row."""
+    """``docs`` plus entropy. Tags and entropy are computed once per row."""
     types = POS if tagset == "pos" else ENTITIES[:-1]
-    out = docs.withColumn("_tags", tags(text, tagset))
+    out = once(docs, _tags=tags(text, tagset))
     h = entropy_of(F.col("_tags"), types, **how)
     if tagset == "entity":
         h = F.coalesce(h, F.lit(0.0))
-    return out.withColumn("entropy", h).drop("_tags")
+    return once(out, entropy=h).drop("_tags")
 
 
 def type_counts(docs: DataFrame, tagset: str = "pos", text: str = "text") -> DataFrame:

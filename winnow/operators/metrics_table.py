@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from winnow.functions.textops import sum_of_squared_counts, words
+from winnow.functions.textops import once, sum_of_squared_counts, words
 from winnow.functions.typing_rules import ENTITIES, POS
 from winnow.operators import diversity, lm, similarity
 from winnow.plans.settle import settle
@@ -25,7 +25,7 @@ def score_all(docs: DataFrame, centre: DataFrame, model: lm.Model, tagset: str =
     if not size["norm"]:
         raise ValueError("the seed has no words")
     tag = diversity.tags("text", tagset)
-    rows = docs.select("doc_id", words("text").alias("_w"), tag.alias("_tags"))
+    rows = once(docs.select("doc_id", "text"), _w=words("text"), _tags=tag)
     h = diversity.entropy_of(F.col("_tags"), POS if tagset == "pos" else ENTITIES[:-1])
     rows = rows.select("doc_id", "_w", h.alias("_h"), F.sqrt(sum_of_squared_counts(F.col("_w")).cast("double")).alias("_norm"))
     each = rows.select("doc_id", "_h", "_norm", F.explode_outer("_w").alias("term"))
