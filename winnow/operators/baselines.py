@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from winnow.functions.textops import hash_uniform, words
+from winnow.functions.textops import hash_uniform, once, words
 from winnow.operators import lm, quantiles, select
 from winnow.operators.ranking import running_total
 from winnow.plans.settle import settle
@@ -68,26 +68,28 @@ def domain_from_scratch(docs: DataFrame) -> lm.Model:
 
 
 def gram_buckets(texts: DataFrame, key: str, buckets: int = BUCKETS, text: str = "text") -> DataFrame:
-    """(key, bucket, n): a text's unigrams and bigrams in hash buckets, summed where they are exploded."""
-    w = words(text)
-    bi = F.zip_with(F.slice(w, F.lit(1), F.greatest(F.size(w) - 1, F.lit(0))), F.slice(w, F.lit(2), F.greatest(F.size(w) - 1, F.lit(0))), lambda a, b: F.concat(a, F.lit(" "), b))
+    """(key, bucket): one row per unigram and bigram of a text, as a hash bucket."""
+    w = once(texts.select(key, text), _w=words(text))
+    shorter = F.greatest(F.size("_w") - 1, F.lit(0))
+    bi = F.zip_with(F.slice("_w", F.lit(1), shorter), F.slice("_w", F.lit(2), shorter), lambda a, b: F.concat(a, F.lit(" "), b))
     bucket = F.pmod(F.conv(F.substring(F.md5(F.col("g").cast("binary")), 1, 8), 16, 10).cast("long"), F.lit(buckets)).cast("int")
-    return texts.select(F.col(key), F.explode(F.concat(w, bi)).alias("g")).groupBy(key, bucket.alias("bucket")).agg(F.count(F.lit(1)).alias("n"))
+    return w.select(key, F.explode(F.concat("_w", bi)).alias("g")).select(key, bucket.alias("bucket"))
 
 
 def importance_weights(docs: DataFrame, seed: DataFrame, buckets: int = BUCKETS, seed_key: str = "seed_id") -> DataFrame:
     """(doc_id, log_weight): sum over grams of ln(share in the seed / share in the corpus), add-one smoothed buckets.
 
-    The bucket table has a fixed number of rows, so it is always broadcast.
+    Grams are exploded twice, once to count buckets and once to sum gains, so that only bucket counts and one
+    row per document are shuffled. The bucket table has a fixed number of rows and is always broadcast.
     """
-    d = settle(gram_buckets(docs, "doc_id", buckets))
-    c = d.groupBy("bucket").agg(F.sum("n").alias("cn"))
-    s = gram_buckets(seed, seed_key, buckets).groupBy("bucket").agg(F.sum("n").alias("sn"))
+    d = gram_buckets(docs, "doc_id", buckets)
+    c = d.groupBy("bucket").agg(F.count(F.lit(1)).alias("cn"))
+    s = gram_buckets(seed, seed_key, buckets).groupBy("bucket").agg(F.count(F.lit(1)).alias("sn"))
     both = docs.sparkSession.range(buckets).select(F.col("id").cast("int").alias("bucket")).join(c, "bucket", "left").join(s, "bucket", "left").na.fill(0)
     both = settle(both)
     t = both.agg(F.sum("cn").alias("c"), F.sum("sn").alias("s")).first()
     gain = F.log((F.col("sn") + 1) / F.lit(float(t["s"] + buckets))) - F.log((F.col("cn") + 1) / F.lit(float(t["c"] + buckets)))
-    return d.join(F.broadcast(both.select("bucket", gain.alias("gain"))), "bucket").groupBy("doc_id").agg(F.sum(F.col("n") * F.col("gain")).alias("log_weight"))
+    return d.join(F.broadcast(both.select("bucket", gain.alias("gain"))), "bucket").groupBy("doc_id").agg(F.sum("gain").alias("log_weight"))
 
 
 def importance_resample(docs: DataFrame, seed: DataFrame, fraction: float, buckets: int = BUCKETS, seed_no: int = 7, tokens: str = "n_tokens", large: bool | None = None) -> DataFrame:

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from winnow.functions.textops import once, pieces
 from winnow.functions.typing_rules import ENTITIES, POS, entity_tags, pos_tags
+from winnow.functions.udfs import word_class_entropy
 
 ENTITY_TOKEN = r"[^ \t\r\n]+"
 
@@ -20,30 +21,32 @@ def tags(text: str, tagset: str = "pos") -> Column:
     raise ValueError("tagset must be pos or entity")
 
 
-def entropy_of(tag_array: Column, types: tuple[str, ...], base: float | None = None, normalise: bool = False) -> Column:
-    """-sum p ln p over the types of one row's tags, without a shuffle; null where the row has no tags.
-
-    ``base`` changes the unit from nats, ``normalise`` divides by the entropy of equal shares of all types.
-    """
+def entropy_of(tag_array: Column, types: tuple[str, ...]) -> Column:
+    """-sum p ln p over the types of one row's tags, without a shuffle; null where the row has no tags."""
     counts = F.transform(F.array(*[F.lit(t) for t in types]), lambda t: F.size(F.filter(tag_array, lambda x: x == t)).cast("double"))
     n = F.size(tag_array).cast("double")
     h = F.aggregate(counts, F.lit(0.0), lambda s, c: s - F.when(c > 0, c / n * F.log(c / n)).otherwise(F.lit(0.0)))
-    per = F.lit(1.0)
-    if base:
-        per = per * F.log(F.lit(float(base)))
-    if normalise:
-        per = F.log(F.lit(float(len(types)))) / (F.log(F.lit(float(base))) if base else F.lit(1.0)) * per
-    return F.when(n > 0, F.greatest(h, F.lit(0.0)) / per)
+    return F.when(n > 0, F.greatest(h, F.lit(0.0)))
+
 
+def entropy_column(text: str, tagset: str = "pos") -> Column:
+    """Entropy in nats of a text column: word classes by the Arrow function, entities by expression; null without tags."""
+    return word_class_entropy(text) if tagset == "pos" else entropy_of(tags(text, tagset), ENTITIES[:-1])
 
-def with_entropy(docs: DataFrame, tagset: str = "pos", text: str = "text", **how) -> DataFrame:
-    """``docs`` plus entropy. Tags and entropy are computed once per row."""
+
+def with_entropy(docs: DataFrame, tagset: str = "pos", text: str = "text", base: float | None = None, normalise: bool = False, native: bool = False) -> DataFrame:
+    """``docs`` plus entropy, computed once per row. ``native`` takes the expression for word classes too, its twin in tests."""
     types = POS if tagset == "pos" else ENTITIES[:-1]
-    out = once(docs, _tags=tags(text, tagset))
-    h = entropy_of(F.col("_tags"), types, **how)
-    if tagset == "entity":
-        h = F.coalesce(h, F.lit(0.0))
-    return once(out, entropy=h).drop("_tags")
+    if native or tagset == "entity":
+        out = once(once(docs, _tags=tags(text, tagset)), entropy=entropy_of(F.col("_tags"), types)).drop("_tags")
+    else:
+        out = docs.withColumn("entropy", word_class_entropy(text))
+    h = F.col("entropy")
+    if normalise:
+        h = h / F.log(F.lit(float(len(types))))  # the unit cancels out
+    elif base:
+        h = h / F.log(F.lit(float(base)))
+    return out.withColumn("entropy", F.coalesce(h, F.lit(0.0)) if tagset == "entity" else h)
 
 
 def type_counts(docs: DataFrame, tagset: str = "pos", text: str = "text") -> DataFrame:

@@ -6,7 +6,6 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from winnow.functions.textops import once, sum_of_squared_counts, words
-from winnow.functions.typing_rules import ENTITIES, POS
 from winnow.operators import diversity, lm, similarity
 from winnow.plans.settle import settle
 
@@ -24,10 +23,8 @@ def score_all(docs: DataFrame, centre: DataFrame, model: lm.Model, tagset: str =
     size = terms.agg(F.sqrt(F.sum(F.col("_wt") * F.col("_wt"))).alias("norm"), F.count(F.lit(1)).alias("n")).first()
     if not size["norm"]:
         raise ValueError("the seed has no words")
-    tag = diversity.tags("text", tagset)
-    rows = once(docs.select("doc_id", "text"), _w=words("text"), _tags=tag)
-    h = diversity.entropy_of(F.col("_tags"), POS if tagset == "pos" else ENTITIES[:-1])
-    rows = rows.select("doc_id", "_w", h.alias("_h"), F.sqrt(sum_of_squared_counts(F.col("_w")).cast("double")).alias("_norm"))
+    rows = once(docs.select("doc_id", "text").withColumn("_h", diversity.entropy_column("text", tagset)), _w=words("text"))
+    rows = rows.select("doc_id", "_w", "_h", F.sqrt(sum_of_squared_counts(F.col("_w")).cast("double")).alias("_norm"))
     each = rows.select("doc_id", "_h", "_norm", F.explode_outer("_w").alias("term"))
     known = F.broadcast(terms) if size["n"] <= TERMS else terms
     lp = F.when(F.col("term").isNotNull(), F.log(model.p1(F.col("_c"))))

@@ -12,7 +12,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from winnow.functions.textops import hash_uniform, n_tokens
+from winnow.functions.textops import hash_uniform, n_tokens, once
 from winnow.operators import diversity, quantiles
 from winnow.plans.settle import checkpoint_dir, settle
 
@@ -35,7 +35,7 @@ def event_time(events: DataFrame) -> DataFrame:
 
 def scored(docs: DataFrame) -> DataFrame:
     """Type entropy and tokens, without state."""
-    return diversity.with_entropy(docs).withColumn("entropy", F.round("entropy", 9)).withColumn("n_tokens", n_tokens("text"))
+    return once(diversity.with_entropy(docs), n_tokens=n_tokens("text")).withColumn("entropy", F.round("entropy", 9))
 
 
 def admit_hard(docs: DataFrame, threshold: float) -> DataFrame:
