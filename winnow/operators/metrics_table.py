@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from winnow.functions.textops import once, sum_of_squared_counts, words
 from winnow.operators import diversity, lm, similarity
-from winnow.plans.settle import settle
+from winnow.plans.settle import settle, spread_like
 
 TERMS = 5_000_000
 
@@ -43,7 +43,9 @@ def standard(spark, folder: str, docs: DataFrame | None = None) -> DataFrame:
     from winnow.operators.dedup import exact
     from winnow.sources.tables import read_table
 
-    corpus = exact(read_table(spark, folder, "documents")) if docs is None else docs
+    if docs is None:
+        table = read_table(spark, folder, "documents")
+        docs = spread_like(exact(table), table, "doc_id")
     seed = read_table(spark, folder, "benchmark").select(F.lit("benchmark").alias("task"), F.col("item_id").alias("seed_id"), "text")
     model = lm.train(read_table(spark, folder, "conversations"))
-    return settle(score_all(corpus, similarity.centroid(seed), model))
+    return settle(score_all(docs, similarity.centroid(seed), model))

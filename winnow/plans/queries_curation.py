@@ -9,6 +9,7 @@ from winnow.operators import curate, dedup, tasks
 from winnow.operators.curate import ENTITIES, HTML_STEPS
 from winnow.plans.catalog import query
 from winnow.plans.oracle import sql
+from winnow.plans.settle import spread_like
 from winnow.sources.tables import read_table
 
 
@@ -119,12 +120,14 @@ _GRAMS = r"""w AS (SELECT doc_id, regexp_extract_all(lower(text), '[\p{L}\p{N}]+
     ),
 )
 def near_dup_pairs_exact_jaccard(spark, d):
-    return dedup.resembling_pairs(dedup.exact(read_table(spark, d, "documents")))
+    docs = read_table(spark, d, "documents")
+    return dedup.resembling_pairs(spread_like(dedup.exact(docs), docs, "doc_id"))
 
 
 @query("near_dup_minhash")
 def near_dup_minhash(spark, d):
-    return dedup.near(dedup.exact(read_table(spark, d, "documents")))
+    docs = read_table(spark, d, "documents")
+    return dedup.near(spread_like(dedup.exact(docs), docs, "doc_id"))
 
 
 @query(

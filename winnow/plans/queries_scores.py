@@ -8,12 +8,13 @@ from winnow.functions import vectors
 from winnow.operators import dedup, diversity, lm, metrics_table, quantiles, similarity
 from winnow.plans.catalog import query
 from winnow.plans.oracle import sql, uniform
-from winnow.plans.settle import settle
+from winnow.plans.settle import settle, spread_like
 from winnow.sources.tables import read_table
 
 
 def corpus(spark, d):
-    return dedup.exact(read_table(spark, d, "documents"))
+    docs = read_table(spark, d, "documents")
+    return spread_like(dedup.exact(docs), docs, "doc_id")
 
 
 def seed_of(spark, d):

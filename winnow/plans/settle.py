@@ -19,3 +19,13 @@ def settle(df: DataFrame) -> DataFrame:
     """Materialise ``df`` in the shared checkpoint folder, so later reads neither recompute it nor depend on one executor."""
     checkpoint_dir(df.sparkSession)
     return df.checkpoint()
+
+
+def spread_like(df: DataFrame, scan: DataFrame, key: str) -> DataFrame:
+    """``df``, dealt out by ``key`` if ``scan``, the table it comes from, has fewer splits than there are cores.
+
+    A small table in one row group would otherwise be scored by one core. Tables with enough splits, as all large ones have,
+    are left where they are, and nothing is shuffled.
+    """
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores, key) if scan.rdd.getNumPartitions() < cores else df
