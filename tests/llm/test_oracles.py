@@ -1,0 +1,17 @@
+import duckdb
+import pytest
+
+from winnow.llm import queries
+
+
+@pytest.mark.parametrize("name", sorted(queries.oracle_sql()))
+def test_query_equals_its_sql(spark, sf, name):
+    con = duckdb.connect()
+    for t in ("documents", "embeddings", "conversations"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    df = queries.queries()[name](spark, sf)
+    cur = con.execute(queries.oracle_sql()[name])
+    cols = [c[0] for c in cur.description]
+    assert sorted(cols) == sorted(df.columns)
+    want = sorted(cur.fetchall(), key=str)
+    assert sorted((tuple(r[c] for c in cols) for r in df.collect()), key=str) == want
