@@ -101,7 +101,7 @@ def _soft(x: np.ndarray, by: float) -> np.ndarray:
 def fit(examples: list[tuple[set[str], int]], vocabulary: list[str], l1: float = 1e-3, swap_penalty: float = 1.0, rounds: int = 300) -> Model:
     """Accelerated proximal gradient on mean log loss + swap_penalty * mean swap^2 + l1 * |weights|.
 
-    Classes count alike in the loss; the intercept is then moved so that scores follow the labels' share.
+    Classes count alike in the loss.
     """
     y = np.array([label for _, label in examples], float)
     if not len(y) or y.min() == y.max():
@@ -128,6 +128,8 @@ def fit(examples: list[tuple[set[str], int]], vocabulary: list[str], l1: float =
     longest = max(1, np.bincount(row, minlength=n).max(initial=1))
     # words are scaled by how common they are, which keeps the step usable however long the texts
     scale = 1 / np.sqrt(np.maximum(1e-6, np.bincount(col, weight[row], k)) + 1e-3)
+    # a term that no example holds keeps weight 0: swapped in, it draws the weight of the term it replaces towards 0
+    seen = np.bincount(col, minlength=k) > 0
     w, b = np.zeros(k), 0.0
     look_w, look_b, momentum = w, b, 1.0
     step = 1.0
@@ -147,7 +149,7 @@ def fit(examples: list[tuple[set[str], int]], vocabulary: list[str], l1: float =
     for _ in range(rounds):
         loss, grad, grad_b = smooth(look_w, look_b)
         while True:
-            new_w, new_b = _soft(look_w - step * grad, step * l1), look_b - step * grad_b
+            new_w, new_b = _soft(look_w - step * grad, step * l1) * seen, look_b - step * grad_b
             dw, db = new_w - look_w, new_b - look_b
             if smooth(new_w, new_b)[0] <= loss + grad @ dw + grad_b * db + (dw @ dw + db * db) / (2 * step) + 1e-12 or step < 1e-9 / longest:
                 break
