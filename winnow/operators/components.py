@@ -8,6 +8,15 @@ from pyspark.sql import functions as F
 from winnow.plans.settle import settle
 
 
+#: Edges per partition of a round: few edges take few tasks and few checkpoint files, many take many.
+EDGES_PER_PART = 100_000
+
+
+def _sized(edges: DataFrame, n: int) -> DataFrame:
+    """``edges`` in no more partitions than n edges need; a round never has more edges than twice the last one's."""
+    return edges.coalesce(max(1, -(-2 * n // EDGES_PER_PART)))
+
+
 def _signature(edges: DataFrame) -> tuple:
     r = edges.agg(
         F.count(F.lit(1)).alias("n"),
@@ -47,7 +56,7 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_round
     for _ in range(max_rounds):
         if before[0] == 0:
             break
-        edges = settle(_small_star(_large_star(edges)))
+        edges = settle(_sized(_small_star(_large_star(edges)), before[0]))
         after = _signature(edges)
         if after == before:
             break
