@@ -92,9 +92,9 @@ def links(nodes: DataFrame, radius: int = RADIUS, crowd: int = CROWD) -> DataFra
     near = (F.bit_count(F.col("fp").bitwiseXOR(F.col("fp2"))) <= radius) & (F.col("fp") != F.col("fp2"))
     halves = nodes.select("fp", F.explode(F.array(F.lit(0), F.lit(1))).alias("h"))
     centres = halves.select("h", _half("fp").alias("v"), "fp")
-    crowded = settle(centres.groupBy("h", "v").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > crowd).select("h", "v"))
+    crowded = centres.groupBy("h", "v").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > crowd).select("h", "v")
     balls = centres.select("h", "v", "fp", _exploded(_flips(32, min(1, radius))).alias("flip")).select("h", F.col("v").bitwiseXOR(F.col("flip")).alias("v"), "fp", (F.col("flip") != 0).cast("int").alias("t"))
-    some = crowded.limit(1).count() > 0
+    some = not crowded.isEmpty()
     calm_c, calm_b = (x.join(crowded, ["h", "v"], "left_anti") for x in (centres, balls)) if some else (centres, balls)
     met = calm_b.join(calm_c.withColumnRenamed("fp", "fp2"), ["h", "v"]).where(near)
     found = met.select(F.least("fp", "fp2").alias("a"), F.greatest("fp", "fp2").alias("b"))
@@ -122,7 +122,7 @@ def _stars(rows: DataFrame, radius: int) -> DataFrame:
 
 def components(prints: DataFrame, radius: int = RADIUS, crowd: int = CROWD) -> DataFrame:
     """``prints`` plus component_id, the smallest doc_id reachable over links, the row's own included, and root, one fingerprint of the component."""
-    nodes = settle(prints.groupBy("fp").agg(F.min("doc_id").alias("least_id")))
+    nodes = prints.groupBy("fp").agg(F.min("doc_id").alias("least_id"))  # cheap to do again from the settled fingerprints
     joined = connected_components(links(nodes.select("fp"), radius, crowd))
     rooted = nodes.join(joined, nodes.fp == joined.node, "left").select("fp", "least_id", F.coalesce("root", "fp").alias("root"))
     least = rooted.groupBy("root").agg(F.min("least_id").alias("component_id"))
