@@ -9,7 +9,11 @@ from winnow.functions.textops import words
 from winnow.operators import lm
 from winnow.plans.settle import settle
 
-MU = 200.0
+#: Weight of the model against the shots' counts. Shots of a class differ in length, and a light model would let the class with
+#: the fewest shot words win every long text; this value keeps the base model's F1 off that corner.
+MU = 200_000.0
+#: Weight of the model against a prompt's counts in multiple choice.
+CACHE = 200.0
 
 
 def bag(texts: DataFrame, *keys: str, text: str = "text") -> DataFrame:
@@ -57,7 +61,7 @@ def classify(tests: DataFrame, shots: DataFrame, model: lm.Model, mu: float = MU
     return best
 
 
-def conditional_ll(pairs: DataFrame, model: lm.Model, mu: float = MU) -> DataFrame:
+def conditional_ll(pairs: DataFrame, model: lm.Model, mu: float = CACHE) -> DataFrame:
     """``pairs`` (item, candidate, prompt, text, ...) plus n_tokens and ll of the text given the prompt.
 
     p(w | prompt) = (n_prompt(w) + mu * p(w)) / (n_prompt + mu): a cache of the prompt over the model.

@@ -62,8 +62,8 @@ _SHOTS = dict(
     tw=f"SELECT doc_id, term, count(*) AS n FROM (SELECT doc_id, unnest({_W}) AS term FROM (SELECT DISTINCT doc_id, text FROM tests)) GROUP BY ALL",
     p1="SELECT doc_id, term, tw.n, (coalesce(c, 0) + 1e0) / (lmt.n + lmt.v + 1e0) AS p FROM tw LEFT JOIN lm1 USING (term) CROSS JOIN lmt",
     tl="SELECT doc_id, sum(n) AS nt, sum(n * ln(p)) AS ll FROM p1 GROUP BY doc_id",
-    extra="SELECT doc_id, seed, task, label AS class, sum(n * ln((k + 200e0 * p) / (200e0 * p))) AS extra FROM p1 JOIN seen USING (term) GROUP BY ALL",
-    scored="SELECT t.task, t.doc_id, t.label, pri.seed, pri.class, round(prior + coalesce(ll, 0) + coalesce(nt, 0) * ln(200e0 / (mass + 200e0)) + coalesce(extra, 0), 6) AS score FROM tests t JOIN pri ON pri.task = t.task LEFT JOIN tl ON tl.doc_id = t.doc_id LEFT JOIN extra e ON e.doc_id = t.doc_id AND e.seed = pri.seed AND e.task = t.task AND e.class = pri.class",
+    extra="SELECT doc_id, seed, task, label AS class, sum(n * ln((k + 200000e0 * p) / (200000e0 * p))) AS extra FROM p1 JOIN seen USING (term) GROUP BY ALL",
+    scored="SELECT t.task, t.doc_id, t.label, pri.seed, pri.class, round(prior + coalesce(ll, 0) + coalesce(nt, 0) * ln(200000e0 / (mass + 200000e0)) + coalesce(extra, 0), 6) AS score FROM tests t JOIN pri ON pri.task = t.task LEFT JOIN tl ON tl.doc_id = t.doc_id LEFT JOIN extra e ON e.doc_id = t.doc_id AND e.seed = pri.seed AND e.task = t.task AND e.class = pri.class",
     predicted="SELECT task, seed, doc_id, label, class AS predicted FROM (SELECT *, row_number() OVER (PARTITION BY task, seed, doc_id ORDER BY score DESC, class DESC) AS place FROM scored) WHERE place = 1",
     counts="SELECT task, seed, c, sum((label = c AND predicted = c)::INT) AS tp, sum((label <> c AND predicted = c)::INT) AS fp, sum((label = c AND predicted <> c)::INT) AS fn FROM predicted CROSS JOIN (SELECT unnest(['0', '1']) AS c) GROUP BY ALL HAVING sum((label = c OR predicted = c)::INT) > 0",
     f1s="SELECT task, seed, avg(coalesce(2e0 * tp / nullif(2 * tp + fp + fn, 0), 0)) AS f1 FROM counts GROUP BY ALL",
