@@ -66,16 +66,27 @@ def lzw_encode(data: bytes, min_bits: int = 8) -> bytes:
     put(end << 8)
     ends = [n for n, _ in spans] + [len(codes)]
     runs = np.diff([-1, *ends]) - 1  # codes after each clear, the clear that follows left out
-    schedule = code_widths(min_bits, max(int(runs.max(initial=0)) + 1, 1))
+    schedule, _ = code_widths(min_bits, max(int(runs.max(initial=0)) + 1, 1))
     widths = np.concatenate([[min_bits + 1], *(schedule[: n + 1] for n in runs[:-1]), schedule[: runs[-1] + 1 if len(runs) else 0]])
     every = np.concatenate([[clear], np.array(codes, np.int64) >> 8])
     return _pack_codes(every.astype(np.uint64), widths[: len(every)])
 
 
-def code_widths(min_bits: int, n: int) -> np.ndarray:
-    """Widths of the first n codes after a clear: the reader's table has end + 1 + (i - 1) entries before code i, i from 1."""
-    known = np.maximum(np.arange(n) - 1, 0) + (1 << min_bits) + 2
-    return np.clip(np.ceil(np.log2(known + 1)).astype(np.int64), min_bits + 1, 12)
+_WIDTHS: dict[tuple[int, int], tuple[np.ndarray, np.ndarray]] = {}
+
+
+def code_widths(min_bits: int, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Widths of the first n codes after a clear, and the bits before each.
+
+    Before code i, from 1 on, the reader's table has end + 1 + (i - 1) entries.
+    """
+    size = max(8192, 1 << (n - 1).bit_length())
+    if (min_bits, size) not in _WIDTHS:
+        known = np.maximum(np.arange(size) - 1, 0) + (1 << min_bits) + 2
+        widths = np.clip(np.ceil(np.log2(known + 1)).astype(np.int64), min_bits + 1, 12)
+        _WIDTHS[min_bits, size] = widths, np.cumsum(widths) - widths
+    widths, before = _WIDTHS[min_bits, size]
+    return widths[:n], before[:n]
 
 
 def _pack_codes(codes: np.ndarray, widths: np.ndarray) -> bytes:
@@ -101,13 +112,11 @@ def lzw_decode(data: bytes, min_bits: int, n: int) -> bytes:
     out: list[bytes] = []
     put, made, at, total = out.append, 0, 0, 8 * len(data)
     reach = 5000  # a table is full after 3838 codes; a writer may go on without a clear
-    schedule = code_widths(min_bits, reach)
-    ahead = np.cumsum(schedule) - schedule
+    schedule, ahead = code_widths(min_bits, reach)
     table, prev, since = list(base), b"", 0
     while made < n:
         if since + reach > len(schedule):
-            schedule = code_widths(min_bits, since + reach)
-            ahead = np.cumsum(schedule) - schedule
+            schedule, ahead = code_widths(min_bits, since + reach)
         width = schedule[since : since + reach]
         start = at + ahead[since : since + reach] - ahead[since]
         start = start[: np.searchsorted(start + width, total, side="right")]
