@@ -13,7 +13,6 @@ from winnow.plans.experiments import selections_at
 from winnow.plans.oracle import hard_body, soft_body, sql, uniform
 from winnow.plans.queries_scores import corpus, general, seed_of
 from winnow.plans.settle import settle
-from winnow.sources.tables import read_table
 
 FRACTION = 0.1
 _COLUMN = {"similarity": ("task_similar", "similarity", "metrics"), "perplexity": ("novelty", "perplexity", "metrics"), "entropy": ("diversity", "entropy", "metrics"), "blended": ("blended", "blended", "blend")}
@@ -31,7 +30,7 @@ def _register_pair(name: str) -> None:
     def hard(spark, d):
         return _ids(select.choose(metrics_table.standard(spark, d), selector, "hard", FRACTION), "cum_tokens")
 
-    @query(f"hard_{name}_refined", sql(f"SELECT doc_id, n_tokens FROM chosen", chosen=hard_body(column, source)))
+    @query(f"hard_{name}_refined", sql("SELECT doc_id, n_tokens FROM chosen", chosen=hard_body(column, source)))
     def refined(spark, d):
         return _ids(select.choose(metrics_table.standard(spark, d), selector, "hard", FRACTION, large=True))
 
