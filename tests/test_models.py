@@ -73,6 +73,20 @@ def test_crowded_bands_keep_their_groups(spark):
     assert len(keeper) == 50 and {r.keeper for r in keeper} == {0}
 
 
+def test_resembling_pairs_of_crowds_against_all_pairs(spark):
+    """Sixty near copies on one boilerplate, equal sets and short texts; no gram may be lost for being common."""
+    base = [f"w{i}" for i in range(60)]
+    rows = [" ".join([*base, f"tail{i}"]) for i in range(60)]
+    rows += [" ".join([*base[:30], *[f"u{i}v{j}" for j in range(30)]]) for i in range(5)]
+    rows += ["one two three four", "One two, three four!", "a b c d e f", "a b c d e f a b c d e f"]
+    docs = texts(spark, *rows)
+    sets = {r.doc_id: frozenset(r.grams) for r in dedup.grams_of(docs).collect()}
+    j = {(a, b): len(sets[a] & sets[b]) / len(sets[a] | sets[b]) for a in sets for b in sets if a < b}
+    want = {(*p, round(v, 6)) for p, v in j.items() if v >= 0.8}
+    got = [tuple(r) for r in dedup.resembling_pairs(docs).select("a", "b", "jaccard").collect()]
+    assert len(got) == len(set(got)) and set(got) == want and len(want) > 60 * 59 / 2
+
+
 def test_f1_by_hand(spark):
     pred = spark.createDataFrame([("t", "1", "1"), ("t", "1", "0"), ("t", "0", "0"), ("t", "0", "2")], "task string, label string, predicted string")
     one = lambda a: metrics.f1(pred, a, ("task",)).first()["f1"]

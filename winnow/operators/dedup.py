@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -13,6 +14,9 @@ from winnow.functions.textops import words
 from winnow.operators.components import connected_components
 from winnow.plans.settle import settle
 
+#: Bits of a gram's hash by which its frequency is bounded; the order of grams needs it, the result doesn't depend on it.
+SPOT_BITS = 20
+
 
 def exact_clusters(docs: DataFrame) -> DataFrame:
     """(doc_id, keeper, copies): the smallest id with the same text, and how many rows have it.
@@ -96,17 +100,96 @@ def drop_near(docs: DataFrame, **how) -> DataFrame:
     return docs.join(gone, "doc_id", "left_anti")
 
 
-def resembling_pairs(docs: DataFrame, k: int = 5, threshold: float = 0.8, common: int = 50) -> DataFrame:
-    """(a, b, jaccard) of all pairs that share a k-gram held by at most ``common`` documents: the exact reference for ``near``."""
-    grams = settle(grams_of(docs, k).select("doc_id", F.explode(F.array_distinct("grams")).alias("g")))
-    sizes = grams.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
-    rare = grams.groupBy("g").agg(F.count(F.lit(1)).alias("df")).where(f"df between 2 and {common}").select("g")
-    kept = grams.join(rare, "g", "left_semi")
-    a, b = kept.select(F.col("doc_id").alias("a"), "g"), kept.select(F.col("doc_id").alias("b"), "g")
-    shared = a.join(b, "g").where("a < b").groupBy("a", "b").agg(F.count(F.lit(1)).alias("common"))
-    sa, sb = (sizes.select(F.col("doc_id").alias(x), F.col("n").alias(f"n{x}")) for x in "ab")
-    j = F.col("common") / (F.col("na") + F.col("nb") - F.col("common"))
-    return shared.join(sa, "a").join(sb, "b").withColumn("jaccard", j).where(F.col("jaccard") >= threshold).select("a", "b", F.round("jaccard", 6).alias("jaccard"))
+def _spots(grams: pa.Array) -> np.ndarray:
+    return (grams.to_numpy(zero_copy_only=False).view(np.uint64) >> np.uint64(64 - SPOT_BITS)).astype(np.int64)
+
+
+def _crowding(sets: DataFrame, parts: int = 256) -> np.ndarray:
+    """How many grams of ``sets`` fall on each of a fixed number of hash spots: an upper bound of how many documents hold a gram."""
+
+    def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = np.zeros(1 << SPOT_BITS, np.int64)
+        for b in batches:
+            held += np.bincount(_spots(b.column(0).flatten()), minlength=len(held))
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(parts, dtype=np.int32)), pa.array([x.tobytes() for x in np.split(held, parts)], pa.binary())], names=["part", "held"])
+
+    def summed(t: pa.Table) -> pa.Table:
+        total = sum(np.frombuffer(x, np.int64) for x in t.column("held").to_pylist())
+        return pa.table({"part": pa.array([t.column("part")[0].as_py()], pa.int32()), "held": pa.array([total.tobytes()], pa.binary())})
+
+    rows = sets.select("grams").mapInArrow(counted, "part int, held binary").groupBy("part").applyInArrow(summed, "part int, held binary").collect()  # 8 MB, whatever the input
+    found = {r["part"]: np.frombuffer(r["held"], np.int64) for r in rows}
+    return np.concatenate([found[i] for i in range(parts)]) if found else np.zeros(1 << SPOT_BITS, np.int64)
+
+
+def _sharing(sets: DataFrame, threshold: float, among: DataFrame | None = None, apart: str | None = None, block: int = 512) -> DataFrame:
+    """(a, b) of every pair of ``sets`` (doc_id, grams) that can reach ``threshold``, and of some that don't.
+
+    With the grams of all documents in one order, a pair that reaches the threshold shares one of the first
+    n - ceil(n * threshold) + 1 of each side, so only these are joined; the order puts rare ones first. No gram is left out
+    for being common: the holders of a crowded one are dealt into blocks, and every pair of blocks meets. Pairs whose
+    lengths or places already rule the threshold out are dropped, and with ``apart`` those that agree in that column.
+    ``among`` (doc_id) leaves the other documents out.
+    """
+    extra = [apart] if apart else []
+    crowding = _crowding(sets)
+
+    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            at, n, place, g = [], [], [], []
+            for i, grams in enumerate(b.column(0)):
+                size = len(grams.values) if grams.is_valid else 0
+                if size:
+                    take = size - math.ceil(size * threshold - 1e-6) + 1
+                    x = grams.values.to_numpy(zero_copy_only=False)
+                    g.append(x[np.lexsort((x, crowding[_spots(grams.values)]))[:take]])
+                    at.append(np.full(take, i))
+                    n.append(np.full(take, size, np.int32))
+                    place.append(np.arange(1, take + 1, dtype=np.int32))
+            if at:
+                which = pa.array(np.concatenate(at))
+                yield pa.RecordBatch.from_arrays([*[c.take(which) for c in b.columns[1:]], *[pa.array(np.concatenate(c)) for c in (n, place, g)]], names=["doc_id", *extra, "n", "place", "g"])
+
+    prefix = sets.select("grams", "doc_id", *extra).mapInArrow(first, ", ".join(["doc_id long", *[f"{c} long" for c in extra], "n int, place int, g long"]))
+    prefix = settle(prefix.join(among, "doc_id", "left_semi") if among is not None else prefix)
+    blocks = prefix.groupBy("g").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("blocks"), F.count(F.lit(1)).alias("m")).where("m > 1").drop("m")
+    sided = prefix.join(blocks, "g").withColumn("side", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
+    dealt = sided.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("i", F.least("side", "o")).withColumn("j", F.greatest("side", "o"))
+    a, b = (dealt.select("g", "i", "j", *[F.col(c).alias(f"{c}_{x}") for c in ("doc_id", "n", "place", "side", *extra)]) for x in "ab")
+    fits = (F.least("n_a", "n_b") >= F.greatest("n_a", "n_b") * threshold - 1e-6) & (
+        (F.least(F.col("n_a") - F.col("place_a"), F.col("n_b") - F.col("place_b")) + 1) * (1 + threshold) >= (F.col("n_a") + F.col("n_b")) * threshold - 1e-6
+    )
+    met = (F.col("doc_id_a") < F.col("doc_id_b")) & ((F.col("i") == F.col("j")) | (F.col("side_a") != F.col("side_b"))) & fits
+    if apart:
+        met &= F.col(f"{apart}_a") != F.col(f"{apart}_b")
+    return a.join(b, ["g", "i", "j"]).where(met).select(F.col("doc_id_a").alias("a"), F.col("doc_id_b").alias("b")).distinct()
+
+
+def _measured(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
+    """(a, b, jaccard) of the pairs that reach ``threshold``, over the whole gram sets."""
+    pairs = settle(pairs)
+    named = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+    sets = settle(sets.join(named, "doc_id", "left_semi").select("doc_id", "grams"))
+    left, right = (sets.select(F.col("doc_id").alias(x), F.col("grams").alias(f"g{x}")) for x in "ab")
+    both = F.size(F.array_intersect("ga", "gb"))
+    return pairs.join(left, "a").join(right, "b").select("a", "b", (both / (F.size("ga") + F.size("gb") - both)).alias("jaccard")).where(F.col("jaccard") >= threshold)
+
+
+def resembling_pairs(docs: DataFrame, k: int = 5, threshold: float = 0.8) -> DataFrame:
+    """(a, b, jaccard) of all pairs whose k-gram sets reach ``threshold``, however many documents hold a gram: the exact reference for ``near``.
+
+    Grams are 64-bit hashes. Equal sets fold into their smallest document, which is compared for all of them. The result
+    itself grows with the square of a group of near copies.
+    """
+    sets = settle(grams_of(docs, k).select("doc_id", F.array_sort(F.array_distinct(F.transform("grams", lambda g: F.xxhash64(g)))).alias("grams")))
+    keyed = sets.select("doc_id", F.sha2(F.array_join(F.transform("grams", lambda g: g.cast("string")), ",").cast("binary"), 256).alias("digest"))
+    reps = keyed.groupBy("digest").agg(F.min("doc_id").alias("rep"))
+    members = settle(keyed.join(reps, "digest").select("doc_id", "rep"))
+    close = _measured(_sharing(sets, threshold, members.where("doc_id = rep").select("doc_id")), sets, threshold)
+    own, other = (members.select(F.col("rep").alias(x), F.col("doc_id").alias(f"d{x}")) for x in "ab")
+    across = close.join(own, "a").join(other, "b").select(F.least("da", "db").alias("a"), F.greatest("da", "db").alias("b"), F.round("jaccard", 6).alias("jaccard"))
+    alike = own.join(other, F.col("a") == F.col("b")).where("da < db").select(F.col("da").alias("a"), F.col("db").alias("b"), F.lit(1.0).alias("jaccard"))
+    return across.unionAll(alike)
 
 
 def repeated_lines(docs: DataFrame, min_docs: int = 3, min_chars: int = 10) -> DataFrame:
