@@ -73,6 +73,18 @@ def test_crowded_bands_keep_their_groups(spark):
     assert len(keeper) == 50 and {r.keeper for r in keeper} == {0}
 
 
+def test_crowded_bands_keep_pairs_far_from_the_hub(spark):
+    """Near copies in pairs only, on one long template; neither the smallest id nor the neighbour is a near copy."""
+    base = [f"w{i}" for i in range(444)]
+    n = 40
+    rows = [" ".join([*base, *[f"p{i % n}x{j}" for j in range(12)], *[f"d{i}x{j}" for j in range(48)]]) for i in range(2 * n)]
+    docs = texts(spark, *rows)
+    sets = {r.doc_id: frozenset(r.grams) for r in dedup.grams_of(docs).collect()}
+    true = {(a, b) for a in sets for b in sets if a < b and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])}
+    assert true == {(i, n + i) for i in range(n)}
+    assert {r.doc_id: r.keeper for r in dedup.near(docs, crowd=4).collect()} == {x: a for a, b in true for x in (a, b)}
+
+
 def test_resembling_pairs_of_crowds_against_all_pairs(spark):
     """Sixty near copies on one boilerplate, equal sets and short texts; no gram may be lost for being common."""
     base = [f"w{i}" for i in range(60)]

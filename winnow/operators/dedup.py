@@ -66,8 +66,9 @@ def near(docs: DataFrame, k: int = 5, hashes: int = 64, bands: int = 16, thresho
     """(doc_id, keeper) of documents with a near copy: MinHash bands, exact Jaccard of what meets, components.
 
     Equal shingle sets fold into one representative first. Buckets of up to ``crowd`` members compare all pairs. In
-    a larger one every member is compared with the smallest and, in the order of ids, with its neighbour, so its
-    cost stays linear; near copies meet in several bands with other neighbours, and components join the chains.
+    a larger one every member is first compared with the smallest and, in the order of ids, with its neighbour, which
+    links a group of near copies in linear cost; members that this leaves in different components are then compared
+    by the grams they share, so no pair that reaches the threshold is lost in a crowd.
     """
     rows = hashes // bands
     sets = settle(signatures(docs, k, hashes).withColumn("digest", F.sha2(F.array_join(F.transform(F.array_sort("grams"), lambda g: g.cast("string")), ",").cast("binary"), 256)))
@@ -84,10 +85,13 @@ def near(docs: DataFrame, k: int = 5, hashes: int = 64, bands: int = 16, thresho
     many = met.where(F.col("n") > crowd).withColumn("prior", F.lag("doc_id").over(Window.partitionBy("band", "key").orderBy("doc_id"))).where("doc_id <> hub")
     chained = many.select(F.explode(F.array(F.struct(F.col("hub").alias("a"), F.col("doc_id").alias("b")), F.struct(F.col("prior").alias("a"), F.col("doc_id").alias("b")))).alias("p"))
     pairs = within.unionAll(chained.select("p.a", "p.b").where("a <> b")).distinct()
-    left = unique.select(F.col("doc_id").alias("a"), F.col("grams").alias("ga"))
-    right = unique.select(F.col("doc_id").alias("b"), F.col("grams").alias("gb"))
-    both = F.size(F.array_intersect("ga", "gb"))
-    close = pairs.join(left, "a").join(right, "b").where(both / (F.size("ga") + F.size("gb") - both) >= threshold).select("a", "b")
+    close = settle(_measured(pairs, unique, threshold).select("a", "b"))
+    crowded = settle(met.where(F.col("n") > crowd).select("doc_id").distinct())
+    if not crowded.isEmpty():
+        first = connected_components(close)
+        rooted = crowded.join(first, F.col("doc_id") == F.col("node"), "left").select("doc_id", F.coalesce("root", "doc_id").alias("root"))
+        among = unique.join(rooted, "doc_id").select("doc_id", "grams", "root")
+        close = close.unionAll(_measured(_sharing(among, threshold, apart="root"), unique, threshold).select("a", "b"))
     joined = connected_components(close)
     rooted = members.join(joined, F.col("rep") == F.col("node"), "left").select("doc_id", F.coalesce("root", "rep").alias("keeper"))
     sizes = rooted.groupBy(F.col("keeper").alias("_k")).agg(F.count(F.lit(1)).alias("_n")).where("_n > 1")
