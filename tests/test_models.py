@@ -1,8 +1,10 @@
+import hashlib
 import math
 
 from pyspark.sql import functions as F
 
-from winnow.operators import dedup, fewshot, lm, metrics, results
+from winnow.operators import dedup, fewshot, lm, metrics, results, tasks
+from winnow.plans import catalog
 from winnow.sources.tables import load_model, read_table, save_model
 
 
@@ -99,6 +101,20 @@ def test_resembling_pairs_of_crowds_against_all_pairs(spark):
     assert len(got) == len(set(got)) and set(got) == want and len(want) > 60 * 59 / 2
 
 
+def test_every_test_item_gets_its_prompt(spark):
+    """Against brute force on a table with far more than ninety labelled rows."""
+    d = "/root/testdata/sf0.01"
+    ranked = tasks.ranked_pool(tasks.labelled(read_table(spark, d, "documents"), read_table(spark, d, "labels"))).collect()
+    digest = lambda s: hashlib.md5(s.encode()).hexdigest()
+    want = set()
+    for t in (r for r in ranked if r["rank"] > 50):
+        pool = sorted((r for r in ranked if r["task"] == t["task"] and r["rank"] <= 50), key=lambda r: (int(digest(f"{r['doc_id']}-{t['doc_id']}:1")[:13], 16), r["doc_id"]))
+        shown = "\n\n".join(f"Text: {r['text']}\nAnswer: {r['label']}" for r in pool[:5])
+        want.add((t["task"], t["doc_id"], digest(f"Decide.\n\n{shown}\n\nText: {t['text']}\nAnswer:")))
+    got = [tuple(r) for r in catalog.queries()["few_shot_prompts"](spark, d).select("task", "doc_id", "prompt_md5").collect()]
+    assert len(got) == len(want) > 80 and set(got) == want
+
+
 def test_f1_by_hand(spark):
     pred = spark.createDataFrame([("t", "1", "1"), ("t", "1", "0"), ("t", "0", "0"), ("t", "0", "2")], "task string, label string, predicted string")
     one = lambda a: metrics.f1(pred, a, ("task",)).first()["f1"]

@@ -50,9 +50,10 @@ def shots_for(pool: DataFrame, tests: DataFrame, shots: int = SHOTS, seed: int =
     The pool has a fixed size per task, so a test item meets a bounded number of candidates.
     """
     t = tests.select(F.col("task").alias("_task"), F.col("doc_id").alias("test_id"))
-    pairs = F.broadcast(pool).join(t, (F.col("task") == F.col("_task")) & (F.col("doc_id") != F.col("test_id")))
+    pairs = F.broadcast(pool.select("task", "doc_id")).join(t, (F.col("task") == F.col("_task")) & (F.col("doc_id") != F.col("test_id")))
     w = Window.partitionBy("task", "test_id").orderBy(hash_uniform(F.concat_ws("-", "doc_id", "test_id"), seed), "doc_id")
-    return pairs.withColumn("place", F.row_number().over(w)).where(F.col("place") <= shots).select("task", "test_id", "doc_id", "label", "text", "place")
+    chosen = pairs.withColumn("place", F.row_number().over(w)).where(F.col("place") <= shots).select("task", "test_id", "doc_id", "place")
+    return chosen.join(F.broadcast(pool), ["task", "doc_id"]).select("task", "test_id", "doc_id", "label", "text", "place")
 
 
 def build_prompts(pool: DataFrame, tests: DataFrame, instruction: str, shots: int = SHOTS, seed: int = 1) -> DataFrame:

@@ -173,7 +173,7 @@ def seed_tokens(spark, d):
 )
 def few_shot_prompts(spark, d):
     ranked = tasks.ranked_pool(tasks.labelled(read_table(spark, d, "documents"), read_table(spark, d, "labels")))
-    tests = ranked.where("rank > 50 AND rank <= 90")  # the first forty test items of each task
+    tests = ranked.where("rank > 50")
     out = tasks.build_prompts(ranked.where("rank <= 50"), tests, "Decide.")
     return out.select("task", "doc_id", F.md5(F.col("prompt").cast("binary")).alias("prompt_md5"))
 
