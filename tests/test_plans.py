@@ -33,11 +33,12 @@ def test_exact_dedup_shuffles_digests_only(spark, sf):
     assert any("digest" in x for x in exchanges)
 
 
-def test_the_large_cut_has_no_global_window(spark, sf, monkeypatch):
-    monkeypatch.setattr(select, "BOUNDARY_ROWS", 5)
+def test_the_cut_sorts_nothing_as_a_whole(spark, sf):
     m = metrics_table.standard(spark, sf)
-    p = plan(select.hard(m, "entropy", select.budget(m, 0.1), large=True))
-    assert "CartesianProduct" not in p
+    p = plan(select.hard(m, "entropy", select.budget(m, 0.1)))
+    assert "CartesianProduct" not in p and "SinglePartition" not in p.split("Window")[0]
+    windows = [x for x in p.split("\n\n") if ") Window" in x.split("\n")[0]]
+    assert any("_rt_part" in x for x in windows)
 
 
 def test_the_rest_works_without_the_llm_folders(tmp_path):

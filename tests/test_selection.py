@@ -1,4 +1,5 @@
 import math
+import random
 
 import pytest
 from pyspark.sql import functions as F
@@ -64,22 +65,37 @@ def test_arrow_and_native_entropy_agree(spark, sf):
     assert a.join(b, "doc_id").where("abs(eTrue - eFalse) > 1e-9").count() == 0
 
 
-@pytest.mark.parametrize("selector", ["task_similar", "novelty", "diversity", "blended"])
+def plain_cut(rows, limit, overshoot):
+    """(cum, n) of the ranking's prefix, from rows (score, key, n)."""
+    total, out = 0, []
+    for s, k, n in sorted(rows, key=lambda r: (-round(r[0], 9), r[1] is not None, r[1] if r[1] is not None else 0, r[2] or 0)):
+        if (total + (n or 0) > limit) if overshoot == "exclude" else (total >= limit):
+            break
+        total += n or 0
+        out.append((k, n, total))
+    return out
+
+
 @pytest.mark.parametrize("overshoot", ["exclude", "include"])
-def test_refinement_equals_the_window(spark, table, monkeypatch, selector, overshoot):
-    monkeypatch.setattr(select, "BOUNDARY_ROWS", 3)
-    monkeypatch.setattr(select, "BINS", 4)
-    for fraction in (0.0, 0.03, 0.4, 1.0):
-        a, b = (select.choose(table, selector, "hard", fraction, overshoot=overshoot, large=x).select("doc_id") for x in (False, True))
-        assert sorted(r[0] for r in a.collect()) == sorted(r[0] for r in b.collect())
-
-
-def test_refinement_when_all_scores_are_equal(spark, monkeypatch):
-    monkeypatch.setattr(select, "BOUNDARY_ROWS", 2)
-    monkeypatch.setattr(select, "BINS", 4)
-    df = spark.range(100).select(F.col("id").alias("doc_id"), F.lit(1.0).alias("s"), F.lit(3).cast("long").alias("n_tokens"))
+def test_the_cut_of_odd_rows_against_brute_force(spark, overshoot):
+    """Repeated ids and rows, null ids, ties, null scores and tokens, clashing columns, cut at many budgets."""
+    rng = random.Random(3)
+    rows = [(rng.choice([0.5, 0.25, 1.0, rng.random()]), rng.choice([None, 1, 2, rng.randrange(50)]), rng.choice([None, 0, 1, 7])) for _ in range(300)]
+    df = spark.createDataFrame([(s, k, n, "x", 1) for s, k, n in rows] + [(None, 3, 4, "x", 1), (float("nan"), 3, 4, "x", 1)], "s double, doc_id long, n_tokens long, _rt_at string, cum_tokens int").repartition(7)
+    for limit in (0, 1, 13, 250, 10_000):
+        got = select.hard(df, "s", limit, overshoot=overshoot)
+        assert got.columns == ["s", "doc_id", "n_tokens", "_rt_at", "cum_tokens"]
+        have = sorted(((r.doc_id, r.n_tokens, r.cum_tokens) for r in got.collect()), key=str)
+        assert have == sorted(plain_cut(rows, limit, overshoot), key=str)
+
+
+def test_the_cut_of_equal_scores_strings_and_nothing(spark):
+    df = spark.range(100).select(F.concat(F.lit("d"), F.lpad(F.col("id").cast("string"), 3, "0")).alias("doc_id"), F.lit(1.0).alias("s"), F.lit(3).cast("long").alias("n_tokens"))
     for limit in (0, 2, 50, 149, 300, 1000):
-        assert sorted(r.doc_id for r in select.hard(df, "s", limit, large=True).collect()) == list(range(min(100, limit // 3)))
+        assert sorted(r.doc_id for r in select.hard(df, "s", limit).collect()) == [f"d{i:03d}" for i in range(min(100, limit // 3))]
+    assert select.hard(df.limit(0), "s", 10).collect() == []
+    same = spark.range(50).select(F.lit(1).alias("doc_id"), F.lit(1.0).alias("s"), F.lit(2).cast("long").alias("n_tokens"))
+    assert sorted(r.cum_tokens for r in select.hard(same, "s", 21).collect()) == list(range(2, 21, 2))
 
 
 def test_budget_is_kept_and_the_next_breaks_it(spark, table):
@@ -130,10 +146,17 @@ def test_quantiles_are_monotone_and_share_ties(spark, table, method):
             assert a.q_perplexity == b.q_perplexity
 
 
-def test_ranged_quantiles_equal_the_window(spark, table):
-    for method in ("exact", "percent_rank"):
-        a, b = (quantiles.normalise(table, "entropy", method, large=x).select("doc_id", "q_entropy").collect() for x in (False, True))
-        assert sorted(a) == sorted(b)
+def test_quantiles_against_their_definition(spark, table):
+    values = [r.entropy for r in table.collect()]
+    some = [v for v in values if v is not None]
+    for method, q in (
+        ("exact", lambda v: math.ceil(100.0 * (sum(x <= v for x in some) / len(some))) / 100.0),
+        ("percent_rank", lambda v: math.floor(100.0 * (sum(x < v for x in some) / (len(some) - 1.0))) / 100.0),
+    ):
+        for r in quantiles.normalise(table, "entropy", method).collect():
+            assert r.q_entropy == (None if r.entropy is None else q(r.entropy))
+    none = table.where("false")
+    assert quantiles.normalise(none, "entropy").collect() == []
 
 
 def test_ranks_and_running_totals_over_partitions(spark):
@@ -184,4 +207,4 @@ def test_recipe_writes_shards_and_manifest(spark, sf, tmp_path):
     back = spark.read.json(f"{tmp_path}/shards")
     assert sorted(r.doc_id for r in back.select("doc_id").collect()) == sorted(r.doc_id for r in chosen.collect())
     assert "blended" in spark.read.text(f"{tmp_path}/manifest").first()["value"]
-    assert spec.choose_route(10, 10, 10)["cut"] == "window" and spec.choose_route(10**9, 10, 10)["cut"] == "refinement"
+    assert spec.choose_route(10, 10)["model"] == "broadcast" and spec.choose_route(10**9, 10)["model"] != "broadcast"

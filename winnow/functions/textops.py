@@ -37,12 +37,20 @@ def n_tokens(text: Column | str, unit: str = "word") -> Column:
 
 
 def hash_uniform(key: Column | str, seed: int | str) -> Column:
-    """A number in [0, 1) from the first 52 bits of md5(key:seed): equal on every layout, retry and engine."""
+    """A number in [0, 1) from the first 52 bits of md5(key:seed): equal on every layout, retry and engine. Null keys draw as empty ones."""
     col = F.col(key) if isinstance(key, str) else key
-    digits = F.substring(F.md5(F.concat(col.cast("string"), F.lit(f":{seed}")).cast("binary")), 1, 13)
+    digits = F.substring(F.md5(F.concat(F.coalesce(col.cast("string"), F.lit("")), F.lit(f":{seed}")).cast("binary")), 1, 13)
     return F.conv(digits, 16, 10).cast("long") / F.lit(float(1 << 52))
 
 
+def spare(df: DataFrame, stem: str) -> str:
+    """``stem``, or the first lengthening of it that is no column of ``df``: a name for a helper column that clashes with nothing."""
+    taken = {c.lower() for c in df.columns}
+    while stem.lower() in taken:
+        stem += "_"
+    return stem
+
+
 def sum_of_squared_counts(tokens: Column) -> Column:
     """Sum over distinct tokens of count squared, within the row: the n-th repeat of a token adds 2n + 1."""
     start = F.struct(F.lit("").alias("last"), F.lit(0).cast("long").alias("run"), F.lit(0).cast("long").alias("acc"))

@@ -63,13 +63,15 @@ def band(share: Column) -> Column:
 
 def band_profile(metrics: DataFrame, flags: DataFrame, col: str) -> DataFrame:
     """(band, docs, table_share, shouted_share, mean_tokens) by band of the ranking by a score."""
-    from winnow.operators.quantiles import counts_up_to
+    from winnow.operators.quantiles import stepped
 
-    n = metrics.where(F.col(col).isNotNull()).count()
-    ranked = counts_up_to(metrics.where(F.col(col).isNotNull()), col).withColumn("_share", (F.lit(n) - F.col("_lt")) / F.lit(float(max(n, 1))))
+    some = metrics.where(F.col(col).isNotNull())
+    n = some.count()
+    share = (F.lit(n) - F.col("_lt")) / F.lit(float(max(n, 1)))
     return (
-        ranked.join(flags, "doc_id")
-        .groupBy(band(F.col("_share")).alias("band"))
+        some.withColumn("_band", stepped(some, col, band(share)))
+        .join(flags, "doc_id")
+        .groupBy(F.col("_band").alias("band"))
         .agg(F.count(F.lit(1)).alias("docs"), F.round(F.avg(F.col("table_like").cast("int")), 6).alias("table_share"), F.round(F.avg(F.col("shouted").cast("int")), 6).alias("shouted_share"), F.round(F.avg("n_tokens"), 6).alias("mean_tokens"))
     )
 

@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from winnow.functions.textops import hash_uniform, once, words
+from winnow.functions.textops import hash_uniform, once, spare, words
 from winnow.operators import lm, quantiles, select
 from winnow.operators.ranking import running_total
 from winnow.plans.settle import settle
@@ -53,10 +53,10 @@ def full_domain(docs: DataFrame) -> DataFrame:
     return docs
 
 
-def uniform_budget(docs: DataFrame, fraction: float, seed: int = 7, tokens: str = "n_tokens", large: bool | None = None) -> DataFrame:
+def uniform_budget(docs: DataFrame, fraction: float, seed: int = 7, tokens: str = "n_tokens") -> DataFrame:
     """Random documents to the token budget: the same draw with equal weights."""
-    rows = docs.withColumn("_one", -hash_uniform("doc_id", seed))
-    return select.hard(rows, "_one", select.budget(docs, fraction, tokens), tokens, large=large).drop("_one")
+    order = spare(docs, "_order")
+    return select.hard(docs.withColumn(order, -hash_uniform("doc_id", seed)), order, select.budget(docs, fraction, tokens), tokens).drop(order)
 
 
 def task_only(seed: DataFrame) -> DataFrame:
@@ -92,7 +92,7 @@ def importance_weights(docs: DataFrame, seed: DataFrame, buckets: int = BUCKETS,
     return d.join(F.broadcast(both.select("bucket", gain.alias("gain"))), "bucket").groupBy("doc_id").agg(F.sum("gain").alias("log_weight"))
 
 
-def importance_resample(docs: DataFrame, seed: DataFrame, fraction: float, buckets: int = BUCKETS, seed_no: int = 7, tokens: str = "n_tokens", large: bool | None = None) -> DataFrame:
+def importance_resample(docs: DataFrame, seed: DataFrame, fraction: float, buckets: int = BUCKETS, seed_no: int = 7, tokens: str = "n_tokens") -> DataFrame:
     """Gumbel noise on the log weights and the top of that ranking to the budget: a weighted draw without replacement.
 
     ``docs`` has doc_id, text and the token count.
@@ -100,7 +100,7 @@ def importance_resample(docs: DataFrame, seed: DataFrame, fraction: float, bucke
     u = F.greatest(hash_uniform("doc_id", seed_no), F.lit(2.0**-53))
     w = importance_weights(docs, seed, buckets).withColumn("perturbed", F.round(F.col("log_weight") - F.log(-F.log(u)), 9))
     rows = docs.select("doc_id", tokens).join(w, "doc_id")
-    return select.hard(rows, "perturbed", select.budget(docs, fraction, tokens), tokens, large=large)
+    return select.hard(rows, "perturbed", select.budget(docs, fraction, tokens), tokens)
 
 
 def likelihood_gap(docs: DataFrame, a: lm.Model, b: lm.Model) -> DataFrame:
@@ -113,16 +113,12 @@ def likelihood_gap(docs: DataFrame, a: lm.Model, b: lm.Model) -> DataFrame:
 def representative_subset(docs: DataFrame, a: lm.Model, b: lm.Model, fraction: float, strata: int = 100, seed: int = 7) -> DataFrame:
     """Quantile strata of the gap, each filled in hash order to its share of the budget, so the subset keeps the gap's distribution.
 
-    A stratum holds a hundredth of the rows, so beyond one window's size running sums are taken on range-partitioned rows.
+    Running sums are taken on range-partitioned rows, so a stratum that ties make large is no single task.
     """
     gaps = settle(likelihood_gap(docs, a, b))
     q = quantiles.normalise(gaps, "gap", "exact").withColumn("stratum", F.ceil(F.col("q_gap") * strata).cast("int"))
     share = q.groupBy("stratum").agg(F.sum("n_tokens").alias("_t"))
     placed = q.withColumn("_u", hash_uniform("doc_id", seed))
-    if gaps.count() > select.WINDOW_ROWS:
-        filled = running_total(placed, ["stratum"], ["_u", "doc_id"], "n_tokens", "cum_tokens")
-    else:
-        w = Window.partitionBy("stratum").orderBy("_u", "doc_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-        filled = placed.withColumn("cum_tokens", F.sum("n_tokens").over(w))
+    filled = running_total(placed, ["stratum"], ["_u", "doc_id"], "n_tokens", "cum_tokens")
     filled = filled.join(F.broadcast(share), "stratum")
     return filled.where(F.col("cum_tokens") <= F.floor(F.lit(fraction) * F.col("_t"))).select("doc_id", "n_tokens", "gap", "stratum")

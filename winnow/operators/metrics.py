@@ -115,12 +115,12 @@ def purity(selected: DataFrame, labels: DataFrame) -> DataFrame:
 
 def auc(scores: DataFrame, labels: DataFrame, score: str, label: str = "quality") -> DataFrame:
     """Area under the curve by rank sums, ties shared; null scores are left out."""
-    from winnow.operators.quantiles import counts_up_to
+    from winnow.operators.quantiles import levels
 
     j = scores.where(F.col(score).isNotNull()).join(labels.select("doc_id", label), "doc_id")
-    ranked = counts_up_to(j, score)
-    mean_rank = (F.col("_lt") + 1 + F.col("_le")) / 2
-    r = ranked.agg(F.sum(F.when(F.col(label) == 1, mean_rank)).alias("r"), F.count_if(F.col(label) == 1).alias("p"), F.count_if(F.col(label) == 0).alias("n"))
+    one = lambda x: F.when(F.col(label) == x, 1).otherwise(0)
+    at = levels(j, score, p=one(1), n=one(0))
+    r = at.agg(F.sum(F.col("p") * (F.col("_lt") + 1 + F.col("_le")) / 2).alias("r"), F.sum("p").alias("p"), F.sum("n").alias("n"))
     return r.select(F.try_divide(F.col("r") - F.col("p") * (F.col("p") + 1) / 2, F.col("p") * F.col("n")).alias("auc"))
 
 

@@ -4,28 +4,48 @@ from __future__ import annotations
 
 from bisect import bisect_right
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from winnow.operators.ranking import ranked
-from winnow.plans.settle import settle
+from winnow.operators.ranking import running_total
 
 METHODS = ("exact", "percent_rank", "cutpoints101", "approx", "kll")
-#: Up to so many rows one window ranks them; beyond it ranks come from range partitions.
-WINDOW_ROWS = 1_000_000
+
+
+def levels(df: DataFrame, col: str, **sums: Column) -> DataFrame:
+    """(_v, _n, _lt, _le): each distinct value, how many rows have it, lie below it and lie up to it; plus named sums of the rows at it.
+
+    Ties are counted before anything is sorted, so a value that a third of the rows share is one row here; the values are
+    range-partitioned. Null values are left out.
+    """
+    found = df.where(F.col(col).isNotNull()).groupBy(F.col(col).alias("_v")).agg(F.count(F.lit(1)).alias("_n"), *[F.sum(c).alias(n) for n, c in sums.items()])
+    return running_total(found, [], ["_v"], "_n", "_le").withColumn("_lt", F.col("_le") - F.col("_n"))
 
 
 def counts_up_to(df: DataFrame, col: str) -> DataFrame:
-    """``df`` plus _le and _lt: how many rows have a value up to it and below it, ties together, without one task ranking all."""
-    levels = df.where(F.col(col).isNotNull()).groupBy(F.col(col).alias("_v")).agg(F.count(F.lit(1)).alias("_n"))
-    at = ranked(levels, [], ["_v"], "_r")
-    # running sums of tie sizes: within a partition by window, across partitions by the few partition totals
-    placed = settle(at.withColumn("_p", F.floor(F.col("_r") / F.lit(100_000))))
-    w = Window.partitionBy("_p").orderBy("_r")
-    blocks = placed.groupBy("_p").agg(F.sum("_n").alias("_s"))
-    starts = blocks.select("_p", F.coalesce(F.sum("_s").over(Window.orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_b"))
-    levels = placed.join(F.broadcast(starts), "_p").withColumn("_le", F.col("_b") + F.sum("_n").over(w)).select("_v", "_le", (F.col("_le") - F.col("_n")).alias("_lt"))
-    return df.join(levels, F.col(col) == F.col("_v"), "left").drop("_v")
+    """``df`` plus _le and _lt, for uses that need them on the row; ``stepped`` does without moving rows.
+
+    A value that many rows share is a skewed key of this join, which adaptive execution splits.
+    """
+    return df.join(levels(df, col).select("_v", "_lt", "_le"), F.col(col) == F.col("_v"), "left").drop("_v")
+
+
+def stepped(df: DataFrame, col: str, label: Column) -> Column:
+    """``label``, a monotone expression over the _lt and _le of ``levels`` with few outcomes, as an expression over the row's own value.
+
+    The least value of each outcome is all that reaches the driver, a hundred numbers for quantiles, so rows are neither
+    joined nor moved. Null values get null.
+    """
+    steps = [(r["l"], r["lo"]) for r in levels(df, col).groupBy(label.alias("l")).agg(F.min("_v").alias("lo")).orderBy("lo").collect()]
+    c = F.col(col)
+
+    def search(lo: int, hi: int) -> Column:
+        if lo == hi:
+            return F.lit(steps[lo][0])
+        mid = (lo + hi + 1) // 2
+        return F.when(c >= F.lit(steps[mid][1]), search(mid, hi)).otherwise(search(lo, mid - 1))
+
+    return F.when(c.isNotNull(), search(0, len(steps) - 1)) if steps else F.lit(None)
 
 
 def grid(df: DataFrame, col: str, method: str = "approx", accuracy: int = 10_000) -> list[float]:
@@ -57,7 +77,7 @@ def lookup(value: float, cuts: list[float]) -> float:
     return bisect_right(cuts, value, 1) / 100 - 0.01
 
 
-def normalise(df: DataFrame, col: str, method: str = "exact", name: str | None = None, large: bool | None = None) -> DataFrame:
+def normalise(df: DataFrame, col: str, method: str = "exact", name: str | None = None) -> DataFrame:
     """``df`` plus ``name`` (q_<col> by default). Null scores get a null quantile and count for nothing.
 
     exact: ceil(100 * share of values up to it) / 100, so ties share and the least is 0.01. percent_rank:
@@ -67,19 +87,13 @@ def normalise(df: DataFrame, col: str, method: str = "exact", name: str | None =
     name = name or f"q_{col}"
     if method not in METHODS:
         raise ValueError(f"method must be one of {METHODS}")
+    some = df.where(F.col(col).isNotNull())
     if method in ("cutpoints101", "approx", "kll"):
-        cuts = grid(df.where(F.col(col).isNotNull()), col, "percentile" if method == "cutpoints101" else method)
+        cuts = grid(some, col, "percentile" if method == "cutpoints101" else method)
         return df.withColumn(name, F.when(F.col(col).isNotNull(), from_grid(col, cuts)) if cuts else F.lit(None).cast("double"))
-    n = df.where(F.col(col).isNotNull()).count()
-    large = n > WINDOW_ROWS if large is None else large
-    if large:
-        out = counts_up_to(df, col)
-    else:
-        some = F.col(col).isNotNull()
-        w = Window.orderBy(F.col(col).asc_nulls_last())
-        out = df.withColumn("_lt", F.when(some, F.rank().over(w) - 1)).withColumn("_le", F.when(some, F.count(F.col(col)).over(w.rangeBetween(Window.unboundedPreceding, Window.currentRow))))
+    n = some.count()
     if method == "exact":
         q = F.ceil(F.lit(100.0) * (F.col("_le") / F.lit(float(max(n, 1))))) / F.lit(100.0)
     else:
         q = F.floor(F.lit(100.0) * (F.col("_lt") / F.lit(float(max(n - 1, 1))))) / F.lit(100.0)
-    return out.withColumn(name, q.cast("double")).drop("_le", "_lt")
+    return df.withColumn(name, stepped(df, col, q.cast("double")).cast("double"))

@@ -8,6 +8,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from winnow.functions.textops import spare
 from winnow.plans.settle import settle
 
 #: Up to so many runs (one per partition and group that meet) go to every executor; beyond it they are joined by shuffle.
@@ -19,52 +20,46 @@ def ranked(df: DataFrame, by: Sequence[str], order: Sequence[Column | str], name
 
     Rows are range-partitioned by group and order, so a group of any size spans several sorted partitions;
     positions inside a partition come from the sort, and the start of each (partition, group) run from a
-    running sum over the runs, of which there are at most partitions + groups.
+    running sum over the runs, of which there are at most partitions + groups. Helper columns get names that ``df`` doesn't have.
     """
     keys = [F.col(c) for c in by]
-    placed = settle(
-        df.repartitionByRange(*keys, *order)
-        .sortWithinPartitions(*keys, *order)
-        .withColumn("_rk_at", F.monotonically_increasing_id())
-    )
-    placed = placed.withColumn("_rk_part", F.shiftright("_rk_at", 33)).withColumn(
-        "_rk_at", F.col("_rk_at").bitwiseAND(F.lit((1 << 33) - 1))
-    )
-    names = [f"_rk_k{i}" for i in range(len(by))]
-    runs = placed.groupBy(*[k.alias(n) for k, n in zip(keys, names, strict=True)], F.col("_rk_part").alias("_rk_p")).agg(
-        F.min("_rk_at").alias("_rk_first"), F.count(F.lit(1)).alias("_rk_n")
-    )
-    ahead = Window.partitionBy(*names).orderBy("_rk_p").rowsBetween(Window.unboundedPreceding, -1)
-    runs = settle(runs.withColumn("_rk_start", F.coalesce(F.sum("_rk_n").over(ahead), F.lit(0).cast("long"))))
-    if runs.count() <= RUNS_BROADCAST:
+    at, part, p, first, n, start = (spare(df, f"_rk_{x}") for x in ("at", "part", "p", "first", "n", "start"))
+    names = [spare(df, f"_rk_k{i}") for i in range(len(by))]
+    placed = settle(df.repartitionByRange(*keys, *order).sortWithinPartitions(*keys, *order).withColumn(at, F.monotonically_increasing_id()))
+    placed = placed.withColumn(part, F.shiftright(at, 33)).withColumn(at, F.col(at).bitwiseAND(F.lit((1 << 33) - 1)))
+    runs = placed.groupBy(*[k.alias(x) for k, x in zip(keys, names, strict=True)], F.col(part).alias(p)).agg(F.min(at).alias(first), F.count(F.lit(1)).alias(n))
+    ahead = Window.partitionBy(*names).orderBy(p).rowsBetween(Window.unboundedPreceding, -1)
+    runs = runs.withColumn(start, F.coalesce(F.sum(n).over(ahead), F.lit(0).cast("long")))
+    if by:  # without groups there is one run per partition
+        runs = settle(runs)
+    if not by or runs.count() <= RUNS_BROADCAST:
         runs = F.broadcast(runs)
-    same = [F.col("_rk_part") == F.col("_rk_p")] + [k.eqNullSafe(F.col(n)) for k, n in zip(keys, names, strict=True)]
-    return (
-        placed.join(runs, reduce(lambda x, y: x & y, same))
-        .withColumn(name, F.col("_rk_start") + F.col("_rk_at") - F.col("_rk_first"))
-        .drop("_rk_at", "_rk_part", "_rk_p", "_rk_first", "_rk_n", "_rk_start", *names)
-    )
+    same = [F.col(part) == F.col(p)] + [k.eqNullSafe(F.col(x)) for k, x in zip(keys, names, strict=True)]
+    return placed.join(runs, reduce(lambda x, y: x & y, same)).withColumn(name, F.col(start) + F.col(at) - F.col(first)).drop(at, part, p, first, n, start, *names)
 
 
-def running_total(df: DataFrame, by: Sequence[str], order: Sequence[Column | str], value: str, name: str = "cum") -> DataFrame:
+def running_total(df: DataFrame, by: Sequence[str], order: Sequence[Column | str], value: str, name: str = "cum", upto: int | None = None) -> DataFrame:
     """``df`` plus ``name``: the sum of ``value`` over the rows of the group up to this one, for groups of any size.
 
     Like ``ranked``: rows are range-partitioned, summed within partitions, and the sums of earlier partitions added.
+    With ``upto``, only rows whose partition begins at or below that sum go on, among them all whose own sum is at most it,
+    so that a small budget sorts and sums little more than itself. Null values count 0; rows equal in everything stand
+    next to each other in either order; helper columns get names that ``df`` doesn't have.
     """
     keys = [F.col(c) for c in by]
-    names = [f"_rt_k{i}" for i in range(len(by))]
-    placed = settle(
-        df.repartitionByRange(*keys, *order).sortWithinPartitions(*keys, *order).withColumns({"_rt_at": F.monotonically_increasing_id(), "_rt_part": F.spark_partition_id()})
-    )
-    runs = placed.groupBy(*[k.alias(n) for k, n in zip(keys, names, strict=True)], F.col("_rt_part").alias("_rt_p")).agg(F.sum(value).alias("_rt_n"))
-    ahead = Window.partitionBy(*names).orderBy("_rt_p").rowsBetween(Window.unboundedPreceding, -1)
-    runs = settle(runs.withColumn("_rt_start", F.coalesce(F.sum("_rt_n").over(ahead), F.lit(0).cast("long"))))
-    if runs.count() <= RUNS_BROADCAST:
+    at, part, p, n, start = (spare(df, f"_rt_{x}") for x in ("at", "part", "p", "n", "start"))
+    names = [spare(df, f"_rt_k{i}") for i in range(len(by))]
+    own = F.coalesce(F.col(value), F.lit(0))
+    placed = settle(df.repartitionByRange(*keys, *order).sortWithinPartitions(*keys, *order).withColumns({at: F.monotonically_increasing_id(), part: F.spark_partition_id()}))
+    runs = placed.groupBy(*[k.alias(x) for k, x in zip(keys, names, strict=True)], F.col(part).alias(p)).agg(F.sum(own).alias(n))
+    ahead = Window.partitionBy(*names).orderBy(p).rowsBetween(Window.unboundedPreceding, -1)
+    runs = runs.withColumn(start, F.coalesce(F.sum(n).over(ahead), F.lit(0).cast("long")))
+    if upto is not None:
+        runs = runs.where(F.col(start) <= upto)
+    if by:  # without groups there is one run per partition
+        runs = settle(runs)
+    if not by or runs.count() <= RUNS_BROADCAST:
         runs = F.broadcast(runs)
-    same = [F.col("_rt_part") == F.col("_rt_p")] + [k.eqNullSafe(F.col(n)) for k, n in zip(keys, names, strict=True)]
-    within = Window.partitionBy("_rt_part", *by).orderBy("_rt_at").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    return (
-        placed.join(runs, reduce(lambda x, y: x & y, same))
-        .withColumn(name, F.col("_rt_start") + F.sum(value).over(within))
-        .drop("_rt_at", "_rt_part", "_rt_p", "_rt_n", "_rt_start", *names)
-    )
+    same = [F.col(part) == F.col(p)] + [k.eqNullSafe(F.col(x)) for k, x in zip(keys, names, strict=True)]
+    within = Window.partitionBy(part, *by).orderBy(at).rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    return placed.join(runs, reduce(lambda x, y: x & y, same)).withColumn(name, F.col(start) + F.sum(own).over(within)).drop(at, part, p, n, start, *names)

@@ -2,20 +2,14 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from winnow.functions.textops import hash_uniform
+from winnow.functions.textops import hash_uniform, spare
 from winnow.operators import quantiles
+from winnow.operators.ranking import running_total
 from winnow.plans.settle import settle
 
-#: Up to so many rows a running sum over one window decides; beyond it the cut is refined by histograms.
-WINDOW_ROWS = 1_000_000
-BINS = 1024
-#: Rows of the last boundary bin that one task may sort.
-BOUNDARY_ROWS = 200_000
-
-
 def budget(docs: DataFrame, fraction: float, tokens: str = "n_tokens") -> int:
     """floor(fraction * total tokens)."""
     if not 0 <= fraction <= 1:
@@ -29,74 +23,32 @@ def order_score(score: str | Column) -> Column:
     return F.round(F.col(score) if isinstance(score, str) else score, 9)
 
 
-def hard(df: DataFrame, score: str, limit: int, tokens: str = "n_tokens", key: str = "doc_id", overshoot: str = "exclude", large: bool | None = None) -> DataFrame:
+def hard(df: DataFrame, score: str, limit: int, tokens: str = "n_tokens", key: str = "doc_id", overshoot: str = "exclude") -> DataFrame:
     """The longest prefix of the ranking (score from the top, then key) whose tokens fit in ``limit``; ``include`` adds the document that crosses it.
 
-    Null scores are never chosen. Documents come back with all their columns and cum_tokens in the window form.
+    Documents come back with all their columns and cum_tokens, the tokens up to and with them. The same plan serves every
+    size: rows are range-partitioned by rank and summed by partition, and only partitions that begin within the budget go on.
+
+    Defined cases: null and NaN scores are never chosen; null keys rank before all others of their score; keys may be of any
+    type that sorts, and rows that repeat one are rows of their own; null tokens count 0; an empty table gives none; a column
+    named cum_tokens is replaced.
     """
     if overshoot not in ("exclude", "include"):
         raise ValueError("overshoot is exclude or include")
-    rows = df.where(F.col(score).isNotNull())
-    if large is None:
-        large = rows.count() > WINDOW_ROWS
-    if large:
-        return _refined(rows, score, limit, tokens, key, overshoot)
-    w = Window.orderBy(order_score(score).desc(), F.col(key)).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    out = rows.withColumn("cum_tokens", F.sum(tokens).over(w))
-    before = F.col("cum_tokens") if overshoot == "exclude" else F.col("cum_tokens") - F.col(tokens)
-    return out.where(before <= limit if overshoot == "exclude" else before < limit)
-
-
-def _refined(rows: DataFrame, score: str, limit: int, tokens: str, key: str, overshoot: str) -> DataFrame:
-    """Bins of the score are summed, whole bins from the top are in, and the bin where the budget ends is binned again.
-
-    Each pass moves at most BINS rows per partition. Once the scores of a bin are one, the key is binned
-    instead; the rows of the last bin, which are few, are sorted.
-    """
-    narrow = settle(rows.select(F.col(key).alias("k"), order_score(score).alias("s"), F.col(tokens).alias("n")))
-    left, chosen, part, col, top_first = limit, [], narrow, "s", True
-    while True:
-        ends = part.agg(F.min(col).alias("lo"), F.max(col).alias("hi"), F.count(F.lit(1)).alias("c"), F.sum("n").alias("t")).first()
-        if not ends["c"] or ends["t"] <= left:
-            chosen.append(part)
-            break
-        if ends["c"] <= BOUNDARY_ROWS:
-            w = Window.orderBy(F.desc("s"), "k").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-            cum = F.sum("n").over(w)
-            fits = part.withColumn("c", cum if overshoot == "exclude" else cum - F.col("n"))
-            chosen.append(fits.where(F.col("c") <= left if overshoot == "exclude" else F.col("c") < left).drop("c"))
-            break
-        lo, hi = ends["lo"], ends["hi"]
-        if lo == hi:
-            col, top_first = "k", False
-            continue
-        at = F.least(F.floor((F.col(col) - F.lit(lo)) / F.lit((hi - lo) / BINS)), F.lit(BINS - 1)).cast("int")
-        part = part.withColumn("bin", at if top_first else F.lit(BINS - 1) - at)
-        sums = {r["bin"]: r["t"] for r in part.groupBy("bin").agg(F.sum("n").alias("t")).collect()}
-        edge = None
-        for b in range(BINS - 1, -1, -1):
-            if sums.get(b, 0) > left:
-                edge = b
-                break
-            left -= sums.get(b, 0)
-        if edge is None:
-            chosen.append(part.drop("bin"))
-            break
-        chosen.append(part.where(F.col("bin") > edge).drop("bin"))
-        part = settle(part.where(F.col("bin") == edge).drop("bin"))
-    ids = chosen[0].select(F.col("k").alias(key))
-    for c in chosen[1:]:
-        ids = ids.unionByName(c.select(F.col("k").alias(key)))
-    return rows.join(ids, key, "left_semi")
+    rows = df.where(F.col(score).isNotNull() & ~F.isnan(F.col(score).cast("double")))
+    out = running_total(rows, [], [order_score(score).desc(), F.col(key), F.col(tokens)], tokens, "cum_tokens", upto=limit)
+    return out.where(F.col("cum_tokens") <= limit if overshoot == "exclude" else F.col("cum_tokens") - F.coalesce(F.col(tokens), F.lit(0)) < limit)
 
 
 SOFT = ("exp_key", "bernoulli", "bernoulli_scaled")
 
 
-def soft(df: DataFrame, weight: str, limit: int | None, seed: int = 7, method: str = "exp_key", tokens: str = "n_tokens", key: str = "doc_id", large: bool | None = None) -> DataFrame:
+def soft(df: DataFrame, weight: str, limit: int | None, seed: int = 7, method: str = "exp_key", tokens: str = "n_tokens", key: str = "doc_id") -> DataFrame:
     """A draw with weights in (0, 1]. exp_key: without replacement to the budget, by -ln(u)/weight from the smallest.
     bernoulli: every document on its own with its weight. bernoulli_scaled: the same, with weights scaled so that
     the expected tokens are the budget. u is a seeded hash of the key, so retries and layouts draw alike.
+
+    Defined cases: null weights and weights of 0 are never drawn; null keys draw as one empty key, equal keys alike; an empty table gives none.
     """
     if method not in SOFT:
         raise ValueError(f"method must be one of {SOFT}")
@@ -106,8 +58,9 @@ def soft(df: DataFrame, weight: str, limit: int | None, seed: int = 7, method: s
         return rows.where(u < F.col(weight))
     if method == "bernoulli_scaled":
         return rows.where(u < F.least(F.lit(1.0), F.lit(scale_for(rows, weight, limit, tokens)) * F.col(weight)))
-    keyed = rows.withColumn("rank_key", F.round(-F.log(F.greatest(u, F.lit(2.0**-53))) / F.col(weight), 9)).withColumn("_neg", -F.col("rank_key"))
-    return hard(keyed, "_neg", limit, tokens, key, large=large).drop("_neg")
+    keyed = rows.withColumn("rank_key", F.round(-F.log(F.greatest(u, F.lit(2.0**-53))) / F.col(weight), 9))
+    order = spare(keyed, "_order")
+    return hard(keyed.withColumn(order, -F.col("rank_key")), order, limit, tokens, key).drop(order)
 
 
 def scale_for(rows: DataFrame, weight: str, limit: int, tokens: str = "n_tokens") -> float:
@@ -143,17 +96,17 @@ def blended(metrics: DataFrame, weights: tuple[float, float, float] = (1, 1, 1),
     return out.withColumn("blended", mean)
 
 
-def choose(metrics: DataFrame, selector: str, mode: str, fraction: float, seed: int = 7, soft_method: str = "exp_key", weight: str = "quantile", overshoot: str = "exclude", weights: tuple = (1, 1, 1), quantile: str = "exact", tokens: str = "n_tokens", large: bool | None = None) -> DataFrame:
+def choose(metrics: DataFrame, selector: str, mode: str, fraction: float, seed: int = 7, soft_method: str = "exp_key", weight: str = "quantile", overshoot: str = "exclude", weights: tuple = (1, 1, 1), quantile: str = "exact", tokens: str = "n_tokens") -> DataFrame:
     """A selection from the metric table by any of the engine's own selectors."""
     column = {"task_similar": "similarity", "novelty": "perplexity", "diversity": "entropy", "blended": "blended"}[selector]
     limit = budget(metrics, fraction, tokens)
     scored = settle(blended(metrics, weights, quantile)) if selector == "blended" else metrics
     if mode == "hard":
-        return hard(scored, column, limit, tokens, overshoot=overshoot, large=large)
+        return hard(scored, column, limit, tokens, overshoot=overshoot)
     if weight == "raw_minmax":
         scored, w = raw_weights(scored, column), "weight"
     elif selector == "blended":
         w = "blended"
     else:
         scored, w = settle(quantiles.normalise(scored, column, quantile)), f"q_{column}"
-    return soft(scored, w, limit, seed, soft_method, tokens, large=large)
+    return soft(scored, w, limit, seed, soft_method, tokens)

@@ -224,12 +224,6 @@ def quantile_exact(spark, d):
     return m.select("doc_id", "q_similarity", "q_perplexity", "q_entropy")
 
 
-@query("quantile_exact_ranged", sql("SELECT doc_id, q_entropy FROM quant"))
-def quantile_exact_ranged(spark, d):
-    """The same by range-partitioned ranks, the form for tables of any size."""
-    return quantiles.normalise(metrics_table.standard(spark, d), "entropy", large=True).select("doc_id", "q_entropy")
-
-
 @query("quantile_percent_rank", sql("SELECT doc_id, floor(100e0 * ((rank() OVER (ORDER BY similarity) - 1) / (count(*) OVER () - 1e0))) / 100e0 AS q_similarity FROM metrics"))
 def quantile_percent_rank(spark, d):
     return quantiles.normalise(metrics_table.standard(spark, d), "similarity", "percent_rank").select("doc_id", "q_similarity")

@@ -30,10 +30,6 @@ def _register_pair(name: str) -> None:
     def hard(spark, d):
         return _ids(select.choose(metrics_table.standard(spark, d), selector, "hard", FRACTION), "cum_tokens")
 
-    @query(f"hard_{name}_refined", sql("SELECT doc_id, n_tokens FROM chosen", chosen=hard_body(column, source)))
-    def refined(spark, d):
-        return _ids(select.choose(metrics_table.standard(spark, d), selector, "hard", FRACTION, large=True))
-
     @query(f"soft_{name}", sql(soft_body(weight, "blend" if name == "blended" else "quant")))
     def soft(spark, d):
         return _ids(select.choose(metrics_table.standard(spark, d), selector, "soft", FRACTION), "cum_tokens")

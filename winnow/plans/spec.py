@@ -33,11 +33,9 @@ class SelectionSpec:
     gamma: float = 1.0
 
 
-def choose_route(rows: int, terms: int, seed_terms: int) -> dict[str, str]:
-    """Which physical form each step takes, from counts that are known before it runs."""
+def choose_route(terms: int, seed_terms: int) -> dict[str, str]:
+    """Which physical form the joins take, from counts that are known before they run. Cuts and quantiles have one form at every size."""
     return {
-        "cut": "window" if rows <= select.WINDOW_ROWS else "refinement",
-        "quantiles": "window" if rows <= select.WINDOW_ROWS else "range ranks",
         "model": "broadcast" if terms <= lm.TERMS_BROADCAST else "shuffle or packed",
         "centroid": "broadcast" if seed_terms <= similarity.SEED_BROADCAST else "shuffle",
     }
