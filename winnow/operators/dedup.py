@@ -2,37 +2,53 @@
 
 from __future__ import annotations
 
+import hashlib
 import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from winnow.functions.textops import words
+from winnow.functions.textops import once, spare, words
 from winnow.operators.components import connected_components
+from winnow.operators.ranking import ranked
 from winnow.plans.settle import settle
 
 #: Bits of a gram's hash by which its frequency is bounded; the order of grams needs it, the result doesn't depend on it.
 SPOT_BITS = 20
 
 
+def _digest(text: str = "text") -> Column:
+    return F.sha2(F.col(text).cast("binary"), 256)
+
+
 def exact_clusters(docs: DataFrame) -> DataFrame:
     """(doc_id, keeper, copies): the smallest id with the same text, and how many rows have it.
 
-    Only ids and 32-byte digests are shuffled, pre-aggregated where many copies share one.
+    Only ids and 32-byte digests are shuffled, pre-aggregated where many copies share one. Null texts are copies of each
+    other; a null id is a keeper only where no other row has the text; repeated rows are listed and counted each.
     """
-    keyed = docs.select("doc_id", F.sha2(F.col("text").cast("binary"), 256).alias("digest"))
+    keyed = docs.select("doc_id", _digest().alias("digest"))
     groups = keyed.groupBy(F.col("digest").alias("_d")).agg(F.min("doc_id").alias("keeper"), F.count(F.lit(1)).alias("copies"))
     return keyed.join(groups, F.col("digest").eqNullSafe(F.col("_d"))).select("doc_id", "keeper", "copies")
 
 
 def exact(docs: DataFrame) -> DataFrame:
-    """``docs`` without later copies. Texts stay in place: keepers come back as ids, joined on the id."""
-    keyed = docs.select("doc_id", F.sha2(F.col("text").cast("binary"), 256).alias("digest"))
-    keepers = keyed.groupBy("digest").agg(F.min("doc_id").alias("doc_id")).select("doc_id")
-    return docs.join(keepers, "doc_id", "left_semi")
+    """``docs`` with one row of each text: of the rows with the smallest id (a null id comes last), the first by hash of the other columns.
+
+    Keepers are found from ids, digests and hashes; texts meet them by these keys, so copies of one text spread over tasks.
+    Null texts are one text; rows equal in every column leave one; an empty table stays empty; helper columns clash with none.
+    """
+    d, i, h, kd, ki, kh, r = (spare(docs, f"_ex_{x}") for x in ("d", "i", "h", "kd", "ki", "kh", "r"))
+    others = [c for c, kind in docs.dtypes if c not in ("doc_id", "text") and "map<" not in kind and kind != "variant"]
+    hashed = F.xxhash64(*others) if others else F.lit(0).cast("long")
+    keyed = docs.withColumns({d: F.coalesce(_digest(), F.lit("")), i: F.col("doc_id"), h: hashed})
+    first = keyed.groupBy(F.col(d).alias(kd)).agg(F.min(F.struct(F.col(i).isNull().alias("n"), F.col(i).alias("i"), F.col(h).alias("h"))).alias(r))
+    keepers = first.select(kd, F.col(f"{r}.i").alias(ki), F.col(f"{r}.h").alias(kh))
+    same = (F.col(d) == F.col(kd)) & F.col(i).eqNullSafe(F.col(ki)) & (F.col(h) == F.col(kh))
+    return keyed.join(keepers, same, "left_semi").dropDuplicates([d, i, h]).select(*docs.columns)
 
 
 def grams_of(docs: DataFrame, k: int = 5, text: str = "text") -> DataFrame:
@@ -41,57 +57,75 @@ def grams_of(docs: DataFrame, k: int = 5, text: str = "text") -> DataFrame:
     return w.select("doc_id", F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - k + 1, F.lit(1))), lambda i: F.array_join(F.slice("w", i, F.lit(k)), " ")).alias("grams"))
 
 
-def signatures(docs: DataFrame, k: int = 5, hashes: int = 64) -> DataFrame:
-    """(doc_id, grams, sig) of documents with words: shingles and min-hashes, by multiply-shift hashing of the shingle hashes."""
+def gram_sets(docs: DataFrame, k: int = 5, text: str = "text", least: int = 1) -> DataFrame:
+    """(doc_id, grams): the set of a text's word k-grams as sorted 64-bit hashes; a text of fewer than ``least`` words has no row. Words are hashed first and a gram is a hash of hashes, so no gram is ever a string."""
+    w = once(docs.select("doc_id", text), w=F.transform(words(text), lambda x: F.xxhash64(x))).where(F.size("w") >= least)
+    grams = F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - k + 1, F.lit(1))), lambda i: F.xxhash64(F.slice("w", i, F.lit(k))))
+    return w.select("doc_id", F.array_sort(F.array_distinct(grams)).alias("grams"))
+
+
+def set_digests(sets: DataFrame, hashes: int = 0) -> DataFrame:
+    """(doc_id, digest, sig): a 128-bit name of the gram set and its min-hashes, by multiply-shift hashing; ``hashes`` may be 0.
+
+    What a document needs to be grouped and banded is a few hundred bytes; gram sets are made again where two must be compared.
+    """
     rng = np.random.default_rng(7)
     mult = rng.integers(1 << 63, size=hashes, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
     plus = rng.integers(1 << 63, size=hashes, dtype=np.uint64)
 
     def signed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            sigs = []
+            names, sigs = [], []
             for g in b.column(1):
                 x = g.values.to_numpy(zero_copy_only=False).view(np.uint64)
+                names.append(hashlib.blake2b(x.tobytes(), digest_size=16).digest())
                 low = np.full(hashes, np.uint64(0xFFFFFFFFFFFFFFFF))
-                for at in range(0, len(x), 4096):  # a long text is hashed piece by piece
+                for at in range(0, len(x) if hashes else 0, 4096):  # a long text is hashed piece by piece
                     low = np.minimum(low, (x[at : at + 4096, None] * mult + plus).min(axis=0))
-                sigs.append((low >> np.uint64(32)).astype(np.int64))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(sigs, pa.list_(pa.int64()))], names=["doc_id", "grams", "sig"])
+                sigs.append((low >> np.uint64(32)).astype(np.uint32).view(np.int32))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(names, pa.binary()), pa.array(sigs, pa.list_(pa.int32()))], names=["doc_id", "digest", "sig"])
 
-    rows = grams_of(docs, k).select("doc_id", F.array_distinct(F.transform("grams", lambda g: F.xxhash64(g))).alias("grams"))
-    return rows.mapInArrow(signed, "doc_id long, grams array<long>, sig array<long>")
+    return sets.select("doc_id", "grams").mapInArrow(signed, "doc_id long, digest binary, sig array<int>")
 
 
-def near(docs: DataFrame, k: int = 5, hashes: int = 64, bands: int = 16, threshold: float = 0.8, crowd: int = 64) -> DataFrame:
+def near(docs: DataFrame, k: int = 5, hashes: int = 64, bands: int = 16, threshold: float = 0.8, block: int = 512) -> DataFrame:
     """(doc_id, keeper) of documents with a near copy: MinHash bands, exact Jaccard of what meets, components.
 
-    Equal shingle sets fold into one representative first. Buckets of up to ``crowd`` members compare all pairs. In
-    a larger one every member is first compared with the smallest and, in the order of ids, with its neighbour, which
-    links a group of near copies in linear cost; members that this leaves in different components are then compared
-    by the grams they share, so no pair that reaches the threshold is lost in a crowd.
+    Equal gram sets fold into their smallest document first. Every pair that shares a band is then either compared or already
+    linked: the members of a bucket are dealt into blocks and all pairs of blocks meet, a hub and the neighbour by id first, so
+    that a crowd of near copies is linked by a number of comparisons in proportion to it and only members that are still in
+    different components, and share enough of their rarest grams, are compared after that. No bucket is capped.
+
+    Defined cases: null texts and texts without words are copies of nothing; ids name documents (run ``exact`` first), and a
+    row without id is left out; an empty table gives none; other columns are not read.
     """
     rows = hashes // bands
-    sets = settle(signatures(docs, k, hashes).withColumn("digest", F.sha2(F.array_join(F.transform(F.array_sort("grams"), lambda g: g.cast("string")), ",").cast("binary"), 256)))
-    reps = sets.groupBy("digest").agg(F.min("doc_id").alias("rep"))
-    members = settle(sets.select("doc_id", "digest").join(reps, "digest").select("doc_id", "rep"))
-    unique = settle(sets.join(reps, F.col("doc_id") == F.col("rep"), "left_semi").select("doc_id", "grams", "sig"))
+    some = docs.where(F.col("doc_id").isNotNull()).select("doc_id", "text")
+    sets = gram_sets(some, k)
+    prints = settle(set_digests(sets, hashes))
+    reps = prints.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.min_by("sig", "doc_id").alias("sig"))
+    unique = settle(reps.select("digest", F.col("rep").alias("doc_id"), "sig"))
+    members = settle(prints.select("doc_id", "digest").join(unique.select("digest", F.col("doc_id").alias("rep")), "digest").select("doc_id", "rep"))
     keys = F.array(*[F.struct(F.lit(b).alias("band"), F.xxhash64(F.slice("sig", b * rows + 1, rows)).alias("key")) for b in range(bands)])
     banded = unique.select("doc_id", F.explode(keys).alias("at")).select("doc_id", "at.band", "at.key")
     hub = banded.groupBy("band", "key").agg(F.min("doc_id").alias("hub"), F.count(F.lit(1)).alias("n")).where("n > 1")
     met = settle(banded.join(hub, ["band", "key"]))
-    few = met.where(F.col("n") <= crowd)
-    a, b = few.select("band", "key", F.col("doc_id").alias("a")), few.select("band", "key", F.col("doc_id").alias("b"))
-    within = a.join(b, ["band", "key"]).where("a < b").select("a", "b")
-    many = met.where(F.col("n") > crowd).withColumn("prior", F.lag("doc_id").over(Window.partitionBy("band", "key").orderBy("doc_id"))).where("doc_id <> hub")
-    chained = many.select(F.explode(F.array(F.struct(F.col("hub").alias("a"), F.col("doc_id").alias("b")), F.struct(F.col("prior").alias("a"), F.col("doc_id").alias("b")))).alias("p"))
-    pairs = within.unionAll(chained.select("p.a", "p.b").where("a <> b")).distinct()
-    close = settle(_measured(pairs, unique, threshold).select("a", "b"))
-    crowded = settle(met.where(F.col("n") > crowd).select("doc_id").distinct())
-    if not crowded.isEmpty():
+    hubs = met.where("doc_id <> hub").select(F.col("hub").alias("a"), F.col("doc_id").alias("b"))
+    # neighbours by id in a bucket: range partitions, so a crowded bucket is sorted by many tasks
+    placed = ranked(met.where("n > 2").select("band", "key", "doc_id"), ["band", "key"], ["doc_id"], "place")
+    own, after = placed.select("band", "key", "place", F.col("doc_id").alias("a")), placed.select("band", "key", (F.col("place") - 1).alias("place"), F.col("doc_id").alias("b"))
+    chain = own.join(after, ["band", "key", "place"]).select("a", "b")
+    close = settle(_measured(hubs.unionAll(chain).distinct(), sets, threshold).select("a", "b"))
+    # what shares a bucket of three or more and is not linked yet
+    crowd = settle(met.where("n > 2").select("doc_id").distinct())
+    if not crowd.isEmpty():
         first = connected_components(close)
-        rooted = crowded.join(first, F.col("doc_id") == F.col("node"), "left").select("doc_id", F.coalesce("root", "doc_id").alias("root"))
-        among = unique.join(rooted, "doc_id").select("doc_id", "grams", "root")
-        close = close.unionAll(_measured(_sharing(among, threshold, apart="root"), unique, threshold).select("a", "b"))
+        rooted = settle(crowd.join(first, F.col("doc_id") == F.col("node"), "left").select("doc_id", F.coalesce("root", "doc_id").alias("root")))
+        mixed = met.where("n > 2").join(rooted, "doc_id").groupBy("band", "key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi")
+        open_ = settle(met.join(mixed, ["band", "key"], "left_semi").select("doc_id").distinct().join(rooted, "doc_id"))
+        if not open_.isEmpty():
+            among = sets.join(open_, "doc_id").select("doc_id", "grams", "root")
+            close = close.unionAll(_measured(_sharing(among, threshold, apart="root", block=block), sets, threshold).select("a", "b"))
     joined = connected_components(close)
     rooted = members.join(joined, F.col("rep") == F.col("node"), "left").select("doc_id", F.coalesce("root", "rep").alias("keeper"))
     sizes = rooted.groupBy(F.col("keeper").alias("_k")).agg(F.count(F.lit(1)).alias("_n")).where("_n > 1")
@@ -185,8 +219,8 @@ def resembling_pairs(docs: DataFrame, k: int = 5, threshold: float = 0.8) -> Dat
     Grams are 64-bit hashes. Equal sets fold into their smallest document, which is compared for all of them. The result
     itself grows with the square of a group of near copies.
     """
-    sets = settle(grams_of(docs, k).select("doc_id", F.array_sort(F.array_distinct(F.transform("grams", lambda g: F.xxhash64(g)))).alias("grams")))
-    keyed = sets.select("doc_id", F.sha2(F.array_join(F.transform("grams", lambda g: g.cast("string")), ",").cast("binary"), 256).alias("digest"))
+    sets = gram_sets(docs.where(F.col("doc_id").isNotNull()), k)
+    keyed = settle(set_digests(sets).select("doc_id", "digest"))
     reps = keyed.groupBy("digest").agg(F.min("doc_id").alias("rep"))
     members = settle(keyed.join(reps, "digest").select("doc_id", "rep"))
     close = _measured(_sharing(sets, threshold, members.where("doc_id = rep").select("doc_id")), sets, threshold)
@@ -197,9 +231,20 @@ def resembling_pairs(docs: DataFrame, k: int = 5, threshold: float = 0.8) -> Dat
 
 
 def repeated_lines(docs: DataFrame, min_docs: int = 3, min_chars: int = 10) -> DataFrame:
-    """(doc_id, text, dropped): texts without the lines that at least ``min_docs`` documents hold."""
-    lines = docs.select("doc_id", F.posexplode(F.split("text", "\n")).alias("pos", "line"))
-    shared = lines.where(F.length("line") >= min_chars).groupBy("line").agg(F.count_distinct("doc_id").alias("n")).where(F.col("n") >= min_docs).select("line", F.lit(True).alias("shared"))
-    kept = lines.join(shared, "line", "left")
-    parts = F.transform(F.array_sort(F.collect_list(F.when(F.col("shared").isNull(), F.struct("pos", "line")))), lambda x: x["line"])
-    return kept.groupBy("doc_id").agg(F.array_join(parts, "\n").alias("text"), F.count("shared").alias("dropped"))
+    """(doc_id, text, dropped): texts without the lines that at least ``min_docs`` documents hold.
+
+    Lines travel as 128-bit hashes and come back as positions; texts are shuffled once, to meet the positions of their own
+    document. A common line is counted after its documents are made distinct and meets a table of one row per line.
+
+    Defined cases: a null or empty text is one empty line; documents are rows told apart by id and text, and a line counts
+    once per id, rows without id together; repeated rows are returned each; empty tables give empty results.
+    """
+    keyed = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("_t", F.xxhash64("text"))
+    lines = keyed.select("doc_id", "_t", F.posexplode(F.split("text", "\n")).alias("pos", "line")).where(F.length("line") >= min_chars).select("doc_id", "_t", "pos", F.unhex(F.md5(F.col("line").cast("binary"))).alias("key"))
+    shared = lines.select("key", "doc_id").distinct().groupBy("key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= min_docs).select("key")
+    drops = lines.join(shared, "key").groupBy(F.col("doc_id").alias("_d"), F.col("_t").alias("_u")).agg(F.collect_set("pos").alias("gone"))
+    met = keyed.join(drops, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("_t") == F.col("_u")), "left").select("doc_id", "text", "gone")
+    held = F.array_except(F.sequence(F.lit(0), F.size(F.split("text", "\n")) - 1), "gone")
+    kept = F.array_join(F.transform("held", lambda i: F.get("parts", i)), "\n")
+    some = once(met.where("gone IS NOT NULL"), parts=F.split("text", "\n"), held=held).select("doc_id", kept.alias("text"), F.size("gone").cast("long").alias("dropped"))
+    return some.unionAll(met.where("gone IS NULL").select("doc_id", "text", F.lit(0).cast("long").alias("dropped")))

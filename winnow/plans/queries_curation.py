@@ -104,19 +104,14 @@ def repeated_lines(spark, d):
     return out.select("doc_id", F.md5(F.col("text").cast("binary")).alias("text_md5"), "dropped")
 
 
-_GRAMS = r"""w AS (SELECT doc_id, regexp_extract_all(lower(text), '[\p{L}\p{N}]+') AS w FROM corpus),
- g AS (SELECT DISTINCT doc_id, g FROM (SELECT doc_id, unnest(list_transform(range(1, greatest(len(w) - 4, 1) + 1), lambda i: array_to_string(w[i:i+4], ' '))) AS g FROM w) WHERE g <> '')"""
-
-
 @query(
     "near_dup_pairs_exact_jaccard",
     sql(
         """SELECT a, b, round(jaccard, 6) AS jaccard FROM (SELECT a, b, c / (x.n + y.n - c)::DOUBLE AS jaccard FROM
-        (SELECT p.doc_id AS a, q.doc_id AS b, count(*) AS c FROM g p JOIN g q ON p.g = q.g AND p.doc_id < q.doc_id JOIN r ON r.g = p.g GROUP BY ALL) JOIN gn x ON a = x.doc_id JOIN gn y ON b = y.doc_id) WHERE jaccard >= 0.8""",
+        (SELECT p.doc_id AS a, q.doc_id AS b, count(*) AS c FROM g p JOIN g q ON p.g = q.g AND p.doc_id < q.doc_id GROUP BY ALL) JOIN gn x ON a = x.doc_id JOIN gn y ON b = y.doc_id) WHERE jaccard >= 0.8""",
         w=r"SELECT doc_id, regexp_extract_all(lower(text), '[\p{L}\p{N}]+') AS w FROM corpus",
         g="SELECT DISTINCT doc_id, g FROM (SELECT doc_id, unnest(list_transform(range(1, greatest(len(w) - 4, 1) + 1), lambda i: array_to_string(w[i:i+4], ' '))) AS g FROM w) WHERE g <> ''",
         gn="SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id",
-        r="SELECT g FROM g GROUP BY g HAVING count(*) BETWEEN 2 AND 50",
     ),
 )
 def near_dup_pairs_exact_jaccard(spark, d):
@@ -167,7 +162,7 @@ def seed_tokens(spark, d):
     sql(
         """SELECT t.task, t.doc_id, md5('Decide.' || chr(10) || chr(10) || shown || chr(10) || chr(10) || 'Text: ' || t.text || chr(10) || 'Answer:') AS prompt_md5
         FROM tests t JOIN (SELECT task, test_id, string_agg('Text: ' || text || chr(10) || 'Answer: ' || label, chr(10) || chr(10) ORDER BY place) AS shown FROM shots WHERE place <= 5 GROUP BY ALL) s ON s.task = t.task AND s.test_id = t.doc_id""",
-        tests="SELECT * FROM pool WHERE rank > 50 AND rank <= 90",
+        tests="SELECT * FROM pool WHERE rank > 50",
         shots="SELECT p.task, t.doc_id AS test_id, p.text, p.label, row_number() OVER (PARTITION BY p.task, t.doc_id ORDER BY ('0x' || substr(md5(p.doc_id || '-' || t.doc_id || ':1'), 1, 13))::BIGINT, p.doc_id) AS place FROM pool p JOIN tests t ON p.task = t.task AND p.rank <= 50",
     ),
 )

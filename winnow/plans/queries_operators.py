@@ -128,18 +128,25 @@ def op_join_star(spark, d):
 @query(
     "op_join_self_band",
     sql(
-        "SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS shared FROM r8 a JOIN r8 b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL",
+        "SELECT a.doc_id, count(DISTINCT a.g) AS shared, count(*) AS meetings, min(b.doc_id) AS first_partner FROM g8 a JOIN g8 b ON a.g = b.g AND a.doc_id <> b.doc_id GROUP BY a.doc_id",
         w8=f"SELECT doc_id, regexp_extract_all(lower(text), '[\\p{{L}}\\p{{N}}]+') AS w FROM corpus",
         g8="SELECT DISTINCT doc_id, g FROM (SELECT doc_id, unnest(list_transform(range(1, len(w) - 6), lambda i: array_to_string(w[i:i+7], ' '))) AS g FROM w8 WHERE len(w) >= 8)",
-        r8="SELECT doc_id, g FROM g8 WHERE g IN (SELECT g FROM g8 GROUP BY g HAVING count(*) = 2)",
     ),
 )
 def op_join_self_band(spark, d):
-    """Pairs of documents that alone share an 8-gram."""
-    w = corpus(spark, d).select("doc_id", words("text").alias("w")).where(F.size("w") >= 8)
-    g = settle(w.select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 7), lambda i: F.array_join(F.slice("w", i, F.lit(8)), " ")))).alias("g")))
-    two = g.groupBy("g").agg(F.count(F.lit(1)).alias("n"), F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where("n = 2")
-    return two.groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared"))
+    """Documents joined with themselves on the 8-grams they share, one row per document: how many of its grams others hold, how often it meets others on them, and the smallest document met.
+
+    The count is pushed below the join: a gram's holders are counted and their two smallest found before documents meet it, so
+    a gram that a third of the documents hold gives one row per holder, not one per pair.
+    """
+    from winnow.operators.dedup import gram_sets
+
+    g = settle(gram_sets(corpus(spark, d), 8, least=8).select("doc_id", F.explode("grams").alias("g")))
+    held = g.groupBy("g").agg(F.count(F.lit(1)).alias("n"), F.min("doc_id").alias("least")).where("n > 1")
+    met = settle(g.join(held, "g"))
+    second = met.where("doc_id <> least").groupBy(F.col("g").alias("_g")).agg(F.min("doc_id").alias("next"))
+    own = met.join(second, F.col("g") == F.col("_g"))
+    return own.groupBy("doc_id").agg(F.count(F.lit(1)).alias("shared"), F.sum(F.col("n") - 1).alias("meetings"), F.min(F.when(F.col("doc_id") == F.col("least"), F.col("next")).otherwise(F.col("least"))).alias("first_partner"))
 
 
 @query("op_agg_basic", "SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum(l_quantity), 2) AS qty, round(avg(l_extendedprice), 4) AS price, min(l_discount) AS lo, max(l_tax) AS hi FROM lineitem GROUP BY ALL")
