@@ -5,6 +5,8 @@ import random
 from pyspark.sql import functions as F
 
 from winnow.operators import dedup, fewshot, lm, metrics, results, tasks
+from winnow.operators.components import connected_components
+from winnow.operators.skew import salted_join
 from winnow.plans import catalog
 from winnow.sources.tables import load_model, read_table, save_model
 
@@ -187,3 +189,18 @@ def test_distractors_are_others(spark):
     items = spark.createDataFrame([(i, f"p{i}", f"t{i}") for i in range(9)], "item long, prompt string, text string")
     rows = fewshot.with_distractors(items).collect()
     assert len(rows) == 36 and all((r.text == f"t{r.item}") == r.is_true for r in rows)
+
+
+def test_salted_join_equals_the_join_and_deals_a_heavy_key(spark):
+    left = spark.range(5000).select(F.when(F.col("id") < 4000, F.lit(7)).otherwise(F.col("id") % 50).cast("long").alias("k"), F.col("id").alias("x"))
+    right = spark.range(60).select(F.col("id").alias("k"), (F.col("id") * 2).alias("y"), F.lit("c").alias("_salt"))
+    got = salted_join(left, right, ["k"], 5000)
+    assert got.columns == ["k", "x", "y", "_salt"]
+    assert sorted(tuple(r) for r in got.collect()) == sorted(tuple(r) for r in left.join(right, "k").collect())
+    assert salted_join(left.limit(0), right, ["k"], 0).count() == 0
+
+
+def test_components_of_a_hub_and_a_chain(spark):
+    hub = [(0, i) for i in range(1, 900)] + [(5000 + i, 5001 + i) for i in range(60)] + [(3, 3), (None, 4), (899, 0)]
+    got = {r.node: r.root for r in connected_components(spark.createDataFrame(hub, "a long, b long")).collect()}
+    assert got == {i: 0 for i in range(1, 900)} | {5001 + i: 5000 for i in range(60)}

@@ -43,9 +43,9 @@ def hash_uniform(key: Column | str, seed: int | str) -> Column:
     return F.conv(digits, 16, 10).cast("long") / F.lit(float(1 << 52))
 
 
-def spare(df: DataFrame, stem: str) -> str:
-    """``stem``, or the first lengthening of it that is no column of ``df``: a name for a helper column that clashes with nothing."""
-    taken = {c.lower() for c in df.columns}
+def spare(df: DataFrame | list[str], stem: str) -> str:
+    """``stem``, or the first lengthening of it that is no column of ``df`` (or of a list of names): a name for a helper column that clashes with nothing."""
+    taken = {c.lower() for c in (df if isinstance(df, list) else df.columns)}
     while stem.lower() in taken:
         stem += "_"
     return stem

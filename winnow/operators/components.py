@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from winnow.operators.skew import salted_join
 from winnow.plans.settle import settle
 
 
@@ -26,19 +27,21 @@ def _signature(edges: DataFrame) -> tuple:
     return tuple(r)
 
 
-def _large_star(edges: DataFrame) -> DataFrame:
+def _large_star(edges: DataFrame, n: int) -> DataFrame:
     """Every larger neighbour of a node is hung on the smallest node of the neighbourhood."""
     both = edges.select(F.col("u").alias("x"), F.col("v").alias("y")).unionAll(
         edges.select(F.col("v").alias("x"), F.col("u").alias("y"))
     )
-    low = both.groupBy("x").agg(F.min("y").alias("m")).select("x", F.least("x", "m").alias("m"))
-    return both.join(low, "x").where("y > x").select(F.col("y").alias("u"), F.col("m").alias("v")).distinct()
+    found = both.groupBy("x").agg(F.min("y").alias("m"), F.count(F.lit(1)).alias("n"))
+    low = found.select("x", F.least("x", "m").alias("m"))
+    return salted_join(both, low, ["x"], 2 * n, found.select("x", "n")).where("y > x").select(F.col("y").alias("u"), F.col("m").alias("v")).distinct()
 
 
-def _small_star(edges: DataFrame) -> DataFrame:
+def _small_star(edges: DataFrame, n: int) -> DataFrame:
     """A node and its smaller neighbours are hung on the smallest of them."""
-    low = edges.groupBy("u").agg(F.min("v").alias("m"))
-    moved = edges.join(low, "u").where("v > m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+    found = edges.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n"))
+    low = found.select("u", "m")
+    moved = salted_join(edges, low, ["u"], 2 * n, found.select("u", "n")).where("v > m").select(F.col("v").alias("u"), F.col("m").alias("v"))
     return moved.unionAll(low.select("u", F.col("m").alias("v"))).distinct()
 
 
@@ -46,7 +49,7 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_round
     """(node, root) for every node with an edge; root is the smallest node reachable, and a root is not listed.
 
     Edges may repeat, run in either direction or be loops; null ends are left out. Each round is two
-    partially aggregated joins, so the work of a hub is shared by the skew handling of the joins, and a
+    joins with partially aggregated minima, in which the neighbours of a hub are dealt over many tasks, and a
     round is checkpointed. A handful of numbers per round reaches the driver, never nodes or edges.
     """
     edges = settle(
@@ -56,7 +59,7 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_round
     for _ in range(max_rounds):
         if before[0] == 0:
             break
-        edges = settle(_sized(_small_star(_large_star(edges)), before[0]))
+        edges = settle(_sized(_small_star(_large_star(edges, before[0]), 2 * before[0]), before[0]))
         after = _signature(edges)
         if after == before:
             break
