@@ -1,31 +1,41 @@
 """Chat formatting: a prefix tree over conversations.
 
-Turns are rendered with a template, conversations that share initial turns share tree nodes, and the nodes'
-texts are emitted once, depth-first, as one stream of code points. Each node has its place in the stream, the
-position ids it carries (places within its conversation) and the intervals of the stream it may attend to: its
+Turns are rendered with a template and written as tokens of a public vocabulary, control strings as two ids of their own
+beyond it. Conversations that share initial turns share tree nodes, and the nodes' tokens are emitted once, depth-first, as one
+stream. Each node has its place in the stream, the position ids of its tokens (places within its conversation, a run that
+starts at ``position``), the range of its tokens that a model learns from, and the intervals of the stream it may attend to: its
 ancestors' and its own, with touching ones merged.
 
+A conversation is read back from the stream alone: its last node's intervals name the tokens, position ids order them, and
+the mask's ranges give what is learned.
+
 A node is named by a 128-bit hash chained over the turns. How many conversations pass a node tells where the
 tree branches; a conversation's path lists only the nodes where that number falls, so a long unshared tail or a
 long common start costs one entry. Sorting nodes by (path, depth) is depth-first order, and ranges of that
-order are laid out in parallel, so a first turn that a third of all conversations share is no single task.
+order are laid out in parallel. Joins on nodes and on places of the stream are salted, so a first turn that a third of all
+conversations share is no single task.
 
 Defined cases: a null text or role is empty; turns go by number, nulls first, equal numbers by role and text,
-repeated rows stay; rows with a null id are one conversation; empty tables give empty streams.
+repeated rows stay; rows with a null id are one conversation; empty tables give empty streams; a very long text is one turn's
+tokens, of which one task holds one turn at a time.
 """
 
 from __future__ import annotations
 
+import base64
 import hashlib
 import re
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from winnow.llm.common import id_or_low, id_or_null, table
+from winnow.operators.skew import salted_join
 from winnow.plans.settle import settle
 
 #: The template's control strings. No escaped text holds the first two characters of either.
@@ -66,32 +76,76 @@ def parse(turn: str) -> tuple[str, str]:
     return unescape_role(role), unescape(text)
 
 
-_CHAIN = "conv long, depth long, node binary, parent binary, position long, chars long, piece string, learned boolean"
+class Codec:
+    """Texts to ids of a byte-level vocabulary of ranks and back, without loss; the two control strings have the next free ids."""
+
+    def __init__(self, path: str):
+        import tiktoken
+
+        pattern = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
+        with open(path, "rb") as f:
+            ranks = {base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}
+        self.ids = tiktoken.Encoding("ranks", pat_str=pattern, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+        self.start = max(ranks.values()) + 1
+        self.end = self.start + 1
+        self.bytes = [b""] * (self.end + 1)
+        for raw, i in ranks.items():
+            self.bytes[i] = raw
+        self.bytes[self.start], self.bytes[self.end] = START.encode(), END.encode()
+
+    def turn(self, role: str, text: str) -> tuple[np.ndarray, int, int]:
+        """(ids, lo, hi) of a rendered turn; ids lo to hi are its text, and nothing else."""
+        before = [self.start, *self.ids(escape_role(role) + "\n")]
+        said = self.ids(escape(text))
+        return np.array([*before, *said, self.end, *self.ids("\n")], "<u4"), len(before), len(before) + len(said)
+
+    def text(self, ids: np.ndarray) -> str:
+        known = self.bytes
+        return b"".join([known[i] for i in ids.tolist()]).decode("utf-8", "replace")
+
+
+def default_vocabulary() -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path("byte_bpe_50k.tiktoken")
 
 
-def chained(turns: DataFrame, conv_col: str = "conv_id", turn_col: str = "turn", role_col: str = "role", text_col: str = "text") -> DataFrame:
-    """One row per turn: its node, its parent's, its place in the conversation and the rendered piece.
+def _batch(rows: list[tuple], kinds: list, names: list[str]) -> pa.RecordBatch:
+    cols = zip(*rows, strict=True) if rows else [[]] * len(names)
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=names)
+
+
+def _shape(schema: str) -> tuple[list, list[str]]:
+    known = {"long": pa.int64(), "int": pa.int32(), "binary": pa.binary(), "string": pa.string()}
+    fields = [x.split() for x in schema.split(", ")]
+    return [known[k] for _, k in fields], [n for n, _ in fields]
+
+
+_CHAIN = "conv long, depth long, node binary, parent binary, position long, n long, tokens binary, lo long, hi long"
+
+
+def chained(turns: DataFrame, conv_col: str = "conv_id", turn_col: str = "turn", role_col: str = "role", text_col: str = "text", vocabulary: str | None = None) -> DataFrame:
+    """One row per turn: its node, its parent's, its first position id, its tokens and which of them (lo to hi) are learned.
 
     Conversations stream through partitions sorted by turn; only a hash and two numbers are carried from row to row.
     """
+    path = vocabulary or default_vocabulary()
 
     def chain(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         conv, node, depth, position = None, b"", 0, 0
+        codec, kinds = None, _shape(_CHAIN)
         for b in batches:
-            out = []
-            for c, role, text in zip(*(x.to_pylist() for x in b.columns), strict=True):
-                if c != conv:
-                    conv, node, depth, position = c, b"", 0, 0
-                piece = render(role, text)
-                parent, node = node, xxhash.xxh3_128_digest(node + xxhash.xxh3_128_digest(piece))
-                out.append((c, depth, node, parent or None, position, len(piece), piece, role == LEARNED))
-                depth, position = depth + 1, position + len(piece)
-            kinds = [pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.int64(), pa.int64(), pa.string(), pa.bool_()]
-            cols = zip(*out, strict=True) if out else [[]] * 8
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(c, k) for c, k in zip(cols, kinds, strict=True)],
-                names=["conv", "depth", "node", "parent", "position", "chars", "piece", "learned"],
-            )
+            for at in range(0, b.num_rows, 1024):  # bounds what one batch of tokens holds
+                out = []
+                for c, role, text in zip(*(x.to_pylist() for x in b.slice(at, 1024).columns), strict=True):
+                    codec = codec or Codec(path)
+                    if c != conv:
+                        conv, node, depth, position = c, b"", 0, 0
+                    ids, lo, hi = codec.turn(role, text)
+                    parent, node = node, xxhash.xxh3_128_digest(node + xxhash.xxh3_128_digest(render(role, text)))
+                    out.append((c, depth, node, parent or None, position, len(ids), ids.tobytes(), lo if role == LEARNED else 0, hi if role == LEARNED else 0))
+                    depth, position = depth + 1, position + len(ids)
+                yield _batch(out, *kinds)
 
     rows = turns.select(
         id_or_low(conv_col).alias("c"),
@@ -102,15 +156,19 @@ def chained(turns: DataFrame, conv_col: str = "conv_id", turn_col: str = "turn",
     return rows.repartition("c").sortWithinPartitions("c", "t", "r", "x").select("c", "r", "x").mapInArrow(chain, _CHAIN)
 
 
+_PLACED = "part long, local long, node binary, parent binary, depth long, position long, n long, tokens binary, lo long, hi long"
+
+
 def tree(chain: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(nodes, members) of a settled chain.
 
-    nodes: node, parent, depth, position, chars, piece, learned, start - the emitted stream, ``start`` being the
-    node's place in it. members: conv, depth, node - which conversation passes which node.
+    nodes: node, parent, depth, position, start, stop, tokens, lo, hi - the emitted stream; start to stop is the node's place in it
+    and lo to hi the places it is learned at. members: conv, depth, node, passes, owner - which conversation passes which
+    node, how many do, and the smallest of them.
     """
-    members = chain.select("conv", "depth", "node", "chars")
-    passes = members.groupBy("node").agg(F.count(F.lit(1)).alias("passes"), F.min("conv").alias("owner"))
-    counted = settle(members.join(passes, "node"))
+    rows = chain.select("conv", "depth", "node")
+    passes = settle(rows.groupBy("node").agg(F.count(F.lit(1)).alias("passes"), F.min("conv").alias("owner")))
+    counted = settle(salted_join(rows, passes, ["node"], rows.count(), passes.select("node", F.col("passes").alias("n"))))
 
     def paths(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Rows by (conv, depth) -> each owned node's path: the nodes up to it at which the number of passes falls."""
@@ -123,95 +181,120 @@ def tree(chain: DataFrame) -> tuple[DataFrame, DataFrame]:
                 if n != before:
                     path, before = path + node, n
                 if owner == c:
-                    out.append((node, path))
-            yield pa.RecordBatch.from_arrays(
-                [pa.array([x[0] for x in out], pa.binary()), pa.array([x[1] for x in out], pa.binary())], names=["node", "path"]
-            )
+                    out.append((c, node, path))
+            yield _batch(out, *_shape("conv long, node binary, path binary"))
+
+    def laid(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Nodes in depth-first order -> their places within this partition's stretch of the stream."""
+        local, part = 0, TaskContext.get().partitionId()
+        for b in batches:
+            n = b.column("n").to_numpy()
+            at = local + np.cumsum(n) - n
+            local += int(n.sum())
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(n), part, np.int64)), pa.array(at), *b.columns], names=_shape(_PLACED)[1])
 
     by_conv = counted.repartition("conv").sortWithinPartitions("conv", "depth").select("conv", "node", "passes", "owner")
-    pathed = by_conv.mapInArrow(paths, "node binary, path binary")
-    owned = chain.join(passes.select("node", "owner"), "node").where("conv = owner").join(pathed, "node")
-    placed = settle(
-        owned.select("path", "node", "parent", "depth", "position", "chars", "piece", "learned")
-        .repartitionByRange("path", "depth")
-        .sortWithinPartitions("path", "depth")
-        .withColumn("_at", F.monotonically_increasing_id())
-    ).withColumn("_part", F.shiftright("_at", 33))
-    # one row per partition: where its stretch of the stream begins
-    ahead = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
-    begins = placed.groupBy("_part").agg(F.sum("chars").alias("_sum")).select("_part", F.coalesce(F.sum("_sum").over(ahead), F.lit(0)).alias("_begin"))
-    within = Window.partitionBy("_part").orderBy("_at").rowsBetween(Window.unboundedPreceding, -1)
-    nodes = placed.join(F.broadcast(begins), "_part").withColumn("start", F.col("_begin") + F.coalesce(F.sum("chars").over(within), F.lit(0)))
-    return settle(nodes.drop("_at", "_part", "_begin", "path")), counted.select("conv", "depth", "node")
+    pathed = by_conv.mapInArrow(paths, "conv long, node binary, path binary")
+    # a node's row is that of its owner: joined on both, no node gathers the rows of all who pass it
+    owned = chain.join(passes.select("node", F.col("owner").alias("conv")), ["node", "conv"]).join(pathed, ["node", "conv"])
+    names = _shape(_PLACED)[1][2:]
+    placed = settle(owned.repartitionByRange("path", "depth").sortWithinPartitions("path", "depth").select(*names).mapInArrow(laid, _PLACED))
+    ahead = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # one row per partition
+    begins = placed.groupBy("part").agg(F.sum("n").alias("_sum")).select("part", F.coalesce(F.sum("_sum").over(ahead), F.lit(0)).alias("_begin"))
+    start = F.col("_begin") + F.col("local")
+    nodes = placed.join(F.broadcast(begins), "part").select("node", "parent", "depth", "position", start.alias("start"), (start + F.col("n")).alias("stop"), "tokens", (start + F.col("lo")).alias("lo"), (start + F.col("hi")).alias("hi"))
+    return nodes, counted.select("conv", "depth", "node", "passes", "owner")
 
 
 def attention(nodes: DataFrame, members: DataFrame) -> DataFrame:
-    """(node, position, start, stop, intervals): intervals lists [start, stop) of the node's ancestors and itself, merged where they touch."""
+    """(node, position, start, stop, intervals): intervals lists [start, stop) of the node's ancestors and itself, merged where they touch.
+
+    A node's list grows with the branches above it, not with its depth.
+    """
 
     def spans(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         conv, seen = None, []
         kind = pa.list_(pa.struct([("start", pa.int64()), ("stop", pa.int64())]))
         for b in batches:
             out = []
-            for c, node, start, chars, position, owner in zip(*(x.to_pylist() for x in b.columns), strict=True):
+            for c, node, start, stop, position, owner in zip(*(x.to_pylist() for x in b.columns), strict=True):
                 if c != conv:
                     conv, seen = c, []
                 if seen and seen[-1][1] == start:
-                    seen[-1] = (seen[-1][0], start + chars)
+                    seen[-1] = (seen[-1][0], stop)
                 else:
-                    seen.append((start, start + chars))
+                    seen.append((start, stop))
                 if owner == c:
-                    out.append((node, position, start, start + chars, [{"start": s, "stop": e} for s, e in seen]))
-            cols = list(zip(*out, strict=True)) if out else [[]] * 5
-            kinds = [pa.binary(), pa.int64(), pa.int64(), pa.int64(), kind]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=["node", "position", "start", "stop", "intervals"])
+                    out.append((node, position, start, stop, [{"start": s, "stop": e} for s, e in seen]))
+            yield _batch(out, [pa.binary(), pa.int64(), pa.int64(), pa.int64(), kind], ["node", "position", "start", "stop", "intervals"])
 
-    owner = members.groupBy("node").agg(F.min("conv").alias("owner"))
-    rows = members.join(nodes.select("node", "start", "chars", "position").join(owner, "node"), "node")
+    held = members.select("node", F.col("passes").alias("n")).distinct()
+    rows = salted_join(members.select("conv", "depth", "node", "owner"), nodes.select("node", "start", "stop", "position"), ["node"], members.count(), held)
     by_conv = rows.repartition("conv").sortWithinPartitions("conv", "depth")
-    return by_conv.select("conv", "node", "start", "chars", "position", "owner").mapInArrow(
+    return by_conv.select("conv", "node", "start", "stop", "position", "owner").mapInArrow(
         spans, "node binary, position long, start long, stop long, intervals array<struct<start:long,stop:long>>"
     )
 
 
 _DIGEST = "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long"
+#: Intervals meet the stream by stretches of so many tokens.
+STRETCH = 256
 
 
-def read_back(nodes: DataFrame, members: DataFrame) -> DataFrame:
-    """Digests of every conversation, from the emitted pieces and the loss mask on them."""
+def visible(nodes: DataFrame, seen: DataFrame, members: DataFrame) -> DataFrame:
+    """(conv, start, stop, position, tokens, lo, hi, s, e): what each conversation's last node may attend to, piece by piece of the stream.
 
-    def digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kinds = [pa.string() if x.endswith("string") else pa.int64() for x in _DIGEST.split(", ")]
-        names = [x.split()[0] for x in _DIGEST.split(", ")]
+    ``seen`` is the attention table. Pieces are those that begin within an interval s to e.
+    """
+    last = settle(members.groupBy("conv").agg(F.max_by("node", "depth").alias("node")))
+    spans = salted_join(last, seen.select("node", "intervals"), ["node"], last.count())
+    each = spans.select("conv", F.explode("intervals").alias("i")).select("conv", F.col("i.start").alias("s"), F.col("i.stop").alias("e"))
+    first, end = F.floor(F.col("s") / STRETCH), F.floor((F.greatest(F.col("e") - 1, F.col("s"))) / STRETCH)
+    wanted = settle(each.withColumn("at", F.explode(F.sequence(first, end))))
+    stream = nodes.select(F.floor(F.col("start") / STRETCH).alias("at"), "start", "stop", "position", "tokens", "lo", "hi")
+    return salted_join(wanted, stream, ["at"], wanted.count()).where("start >= s AND start < e").drop("at")
 
-        def batch(rows: list[tuple]) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=names)
+
+def read_back(nodes: DataFrame, seen: DataFrame, members: DataFrame, vocabulary: str | None = None) -> DataFrame:
+    """Digests of every conversation, read from the emitted stream by attention intervals, position ids and the loss mask."""
+    path = vocabulary or default_vocabulary()
+
+    def digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        shape = _shape(_DIGEST)
 
         def closed() -> tuple:
             return conv, n, turns.hexdigest(), lost, loss.hexdigest(), chars
 
-        conv = None
+        conv, codec = None, None
         turns, loss, n, lost, chars = hashlib.sha256(), hashlib.sha256(), 0, 0, 0
         for b in batches:
-            out = []
-            for c, piece, learned in zip(*(x.to_pylist() for x in b.columns), strict=True):
-                if c != conv:
-                    if conv is not None:
-                        out.append(closed())
-                    conv, turns, loss, n, lost, chars = c, hashlib.sha256(), hashlib.sha256(), 0, 0, 0
-                role, text = parse(piece)
-                turns.update(f"{role}\n{text}\n".encode())
-                if learned:
-                    loss.update(text.encode())
-                    lost += len(text)
-                n, chars = n + 1, chars + len(piece)
-            if out:
-                yield batch(out)
+            for at in range(0, b.num_rows, 1024):
+                out = []
+                for c, start, stop, raw, lo, hi, s, e in zip(*(x.to_pylist() for x in b.slice(at, 1024).columns), strict=True):
+                    codec = codec or Codec(path)
+                    if c != conv:
+                        if conv is not None:
+                            out.append(closed())
+                        conv, turns, loss, n, lost, chars = c, hashlib.sha256(), hashlib.sha256(), 0, 0, 0
+                    ids, upto = np.frombuffer(raw, "<u4"), min(stop, e)
+                    piece = codec.text(ids[: upto - start])
+                    try:
+                        role, text = parse(piece)
+                        turns.update(f"{role}\n{text}\n".encode())
+                    except ValueError:  # tokens that are no whole turn, as a wrong interval gives
+                        turns.update(piece.encode())
+                    if hi > lo:
+                        said = unescape(codec.text(ids[lo - start : min(hi, upto) - start]))
+                        loss.update(said.encode())
+                        lost += len(said)
+                    n, chars = n + 1, chars + len(piece)
+                if out:
+                    yield _batch(out, *shape)
         if conv is not None:
-            yield batch([closed()])
+            yield _batch([closed()], *shape)
 
-    rows = members.join(nodes.select("node", "piece", "learned"), "node")
-    by_conv = rows.repartition("conv").sortWithinPartitions("conv", "depth").select("conv", "piece", "learned")
+    rows = visible(nodes, seen, members)
+    by_conv = rows.repartition("conv").sortWithinPartitions("conv", "position", "start").select("conv", "start", "stop", "tokens", "lo", "hi", "s", "e")
     return by_conv.mapInArrow(digests, _DIGEST).withColumn("conv_id", id_or_null("conv_id"))
 
 
@@ -224,7 +307,7 @@ def probe(spark: SparkSession) -> DataFrame:
 def op8_chat_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = table(spark, sf_dir, "conversations").select(F.col("conv_id").cast("long"), F.col("turn").cast("long"), "role", "text")
     nodes, members = tree(settle(chained(turns.unionByName(probe(spark)))))
-    return read_back(nodes, members)
+    return read_back(nodes, settle(attention(nodes, members)), members)
 
 
 OP8_SQL = r"""
