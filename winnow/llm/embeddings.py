@@ -1,18 +1,20 @@
 """Embedding near-dedup: random-hyperplane sign hashing in several tables, exact cosine, connected components.
 
-Equal vectors of a label are folded into one class first. Each class emits one row per table, keyed by label
-and the signs of its projections on that table's hyperplanes; buckets of one class are dropped. A bucket larger
-than ``block`` classes is cut into blocks and every pair of blocks becomes a group of its own, so no task holds
-more than two blocks. Groups stream through sorted partitions; cosines are taken in double precision, block by
-block. A pair counts in the first table where it meets, so nothing is counted twice. Each group returns a count
-of links per class and a star per local cluster instead of all its pairs.
-
-The bits per table follow the number of classes, and the number of tables follows the bits, so that a pair
+Equal vectors of a label are folded into one class first. Each class has one bucket per table, named by a hash of table, label,
+length and the signs of its projections on that table's hyperplanes. Only class numbers and bucket names are shuffled to
+find which buckets hold more than one class; vectors then travel to those alone. A bucket larger than ``block`` classes is
+cut into blocks and every pair of blocks becomes a group of its own, so no task holds more than two blocks. Groups stream
+through sorted partitions; cosines are taken in double precision, block by block. A pair counts in the first table where
+it meets, so nothing is counted twice. Each group returns a count of links per class and a star per local cluster instead of
+all its pairs.
+
+The bits per table follow the number of rows, and the number of tables follows the bits, so that a pair
 exactly at the threshold is missed with probability ``miss`` at most at every input size.
 
 Defined cases: null labels, and vectors that are null, zero or hold null or non-finite components link with
 nothing, not even with their copies; vectors of different lengths never link; rows with equal ids are rows of
-their own; a row without id is counted as a partner and is never a component's id unless nothing else is in it.
+their own; a row without id is counted as a partner and is never a component's id unless nothing else is in it; an empty
+table gives none; other columns are not read.
 """
 
 from __future__ import annotations
@@ -27,88 +29,95 @@ from pyspark.sql import functions as F
 
 from winnow.llm.common import table
 from winnow.operators.components import connected_components
+from winnow.operators.skew import salted_join
 from winnow.plans.settle import settle
 
 THRESHOLD = 0.98
 MISS = 0.002
-BLOCK = 1024
+BLOCK = 256
 SEED = 20
 
 
 def plan_tables(n: int, threshold: float = THRESHOLD, miss: float = MISS) -> tuple[int, int]:
-    """(bits, tables) for n classes."""
-    bits = min(40, max(8, math.ceil(math.log2(max(n, 2))) - 4))
+    """(bits, tables) for n vectors: about a quarter of them would share a bucket by chance in one table."""
+    bits = min(40, max(8, math.ceil(math.log2(max(n, 2))) + 2))
     agree = (1 - math.acos(threshold) / math.pi) ** bits
     return bits, math.ceil(math.log(miss) / math.log(1 - agree))
 
 
-def _classes(vectors: DataFrame, id_col: str, vec_col: str, label_col: str) -> DataFrame:
-    """(class, label, vec, n, least): one row per distinct usable vector of a label; class is a 64-bit hash pair's string."""
-    v = F.col(vec_col).cast("array<double>")
+def _keyed(vectors: DataFrame, id_col: str, vec_col: str, label_col: str) -> DataFrame:
+    """(vec_id, label, vec, c1, c2): c1 and c2 are one 128-bit name of label and vector, null where the vector can't link."""
+    kind = dict(vectors.dtypes)[vec_col]
+    v = F.col(vec_col) if kind == "array<float>" else F.col(vec_col).cast("array<double>")
+    zero = F.lit(0.0).cast("float") if kind == "array<float>" else F.lit(0.0)
     usable = F.col(label_col).isNotNull() & F.col(vec_col).isNotNull() & ~F.exists(v, lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf"))) & F.exists(v, lambda x: x != 0)
     # adding 0.0 makes the two zeros one, as they are in every cosine
-    clean = F.transform(v, lambda x: x + F.lit(0.0))
-    label = F.col(label_col).cast("string")
-    name = F.substring(F.sha2(F.concat_ws("\0", label, F.to_json(clean)).cast("binary"), 256), 1, 32)
-    return vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.when(usable, name).alias("class"), F.when(usable, label).alias("label"), F.when(usable, clean).alias("vec"))
+    found = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.when(usable, F.col(label_col).cast("string")).alias("label"), F.when(usable, F.transform(v, lambda x: x + zero)).alias("vec"))
+    names = [F.when(F.col("vec").isNotNull(), F.xxhash64(F.lit(k), "label", F.size("vec"), "vec")) for k in (1, 2)]
+    return found.select("vec_id", "label", "vec", names[0].alias("c1"), names[1].alias("c2"))
 
 
 def _planes(dim: int, bits: int, table: int, seed: int) -> np.ndarray:
     return np.random.default_rng([seed, dim, table]).standard_normal((dim, bits))
 
 
-def _signed(rows: DataFrame, bits: int, tables: int, seed: int) -> DataFrame:
-    """(t, bucket, label, dim, class, vec, sig): one row per class and table; sig holds the buckets in all tables."""
+def _unit(flat: np.ndarray) -> np.ndarray:
+    x = flat.astype(np.float64)
+    x = x / np.abs(x).max(axis=1, keepdims=True)  # no overflow in the norm
+    return x / np.linalg.norm(x, axis=1, keepdims=True)
+
+
+_SIGNED = "c1 long, c2 long, label string, n long, least long, dim int, vec binary, sig binary, signs array<long>"
+
+
+def _signed(classes: DataFrame, bits: int, tables: int, seed: int, wide: str) -> DataFrame:
+    """Classes with their vector as bytes and their signs in every table; sig holds 32 bits of each, to tell where pairs met before."""
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         power = 1 << np.arange(bits, dtype=np.int64)
-        planes: dict[int, list[np.ndarray]] = {}
+        planes: dict[int, np.ndarray] = {}
         for b in batches:
-            cls, label, n = b.column(0), b.column(1), b.column(3)
-            lists = b.column(2)
+            lists = b.column(0)
             lengths = lists.value_lengths().to_numpy(zero_copy_only=False)
             flat = lists.flatten().to_numpy(zero_copy_only=False)
             start = np.cumsum(lengths) - lengths
             for dim in np.unique(lengths).tolist():
-                at = np.flatnonzero(lengths == dim)
-                x = flat[start[at][:, None] + np.arange(dim)]
-                x = x / np.abs(x).max(axis=1, keepdims=True)  # no overflow in the norm
-                x /= np.linalg.norm(x, axis=1, keepdims=True)
                 if dim not in planes:
-                    planes[dim] = [_planes(dim, bits, t, seed) for t in range(tables)]
-                sig = np.stack([(x @ p > 0) @ power for p in planes[dim]], axis=1).astype("<i8")
-                raw = pa.array([r.tobytes() for r in x.astype("<f8")], pa.binary())
-                sigs = pa.array([r.tobytes() for r in sig], pa.binary())
-                which = pa.array(at)
-                for t in range(tables):
+                    planes[dim] = np.concatenate([_planes(dim, bits, t, seed) for t in range(tables)], axis=1)
+                every = np.flatnonzero(lengths == dim)
+                for lo in range(0, len(every), 2048):
+                    at = every[lo : lo + 2048]
+                    x = flat[start[at][:, None] + np.arange(dim)]
+                    signs = (_unit(x) @ planes[dim] > 0).reshape(len(at), tables, bits) @ power
+                    short = (signs ^ (signs >> 32)).astype("<u4")
                     yield pa.RecordBatch.from_arrays(
-                        [pa.array(np.full(len(at), t, np.int32)), pa.array(sig[:, t]), label.take(which), pa.array(np.full(len(at), dim, np.int32)), cls.take(which), n.take(which), raw, sigs],
-                        names=["t", "bucket", "label", "dim", "class", "n", "vec", "sig"],
+                        [*[c.take(pa.array(at)) for c in b.columns[1:]], pa.array(np.full(len(at), dim, np.int32)), pa.array([r.tobytes() for r in x.astype(wide)], pa.binary()), pa.array([r.tobytes() for r in short], pa.binary()), pa.array(list(signs), pa.list_(pa.int64()))],
+                        names=[f.split()[0] for f in _SIGNED.split(", ")],
                     )
 
-    return rows.select("class", "label", "vec", "n").mapInArrow(hashed, "t int, bucket long, label string, dim int, class string, n long, vec binary, sig binary")
+    return classes.select("vec", "c1", "c2", "label", "n", "least").mapInArrow(hashed, _SIGNED)
 
 
-def _pairs(batches: Iterator[pa.RecordBatch], threshold: float) -> Iterator[pa.RecordBatch]:
-    """Sorted rows of groups (t, label, dim, bucket, i, j) -> (class, links, other): links met here first, and a star's edge."""
+def _pairs(batches: Iterator[pa.RecordBatch], threshold: float, wide: str) -> Iterator[pa.RecordBatch]:
+    """Sorted rows of groups (key, i, j, t, label, dim) -> (class, links, other): links met here first, and a star's edge."""
 
     def linked(rows: pa.Table | pa.RecordBatch) -> pa.RecordBatch | None:
         if rows.num_rows < 2:
             return None
         t, i, j = (rows.column(k)[0].as_py() for k in ("t", "i", "j"))
-        x = np.frombuffer(b"".join(rows.column("vec").to_pylist()), "<f8").reshape(rows.num_rows, -1)
-        sig = np.frombuffer(b"".join(rows.column("sig").to_pylist()), "<i8").reshape(rows.num_rows, -1)
-        side, n = (np.asarray(rows.column(k).to_pylist()) for k in ("side", "n"))
-        cls = np.array(rows.column("class").to_pylist())
+        sig = np.frombuffer(b"".join(rows.column("sig").to_pylist()), "<u4").reshape(rows.num_rows, -1)
+        side, n, cls = (rows.column(k).to_numpy() for k in ("side", "n", "cls"))
         a = np.flatnonzero(side == i)
         b = np.flatnonzero(side == j)
         if not len(a) or not len(b):
             return None
+        x = _unit(np.frombuffer(b"".join(rows.column("vec").to_pylist()), wide).reshape(rows.num_rows, -1))
         near = x[a] @ x[b].T >= threshold
-        for earlier in range(t):
-            near &= sig[a, earlier][:, None] != sig[b, earlier][None, :]
         if i == j:
             np.fill_diagonal(near, False)
+        p, q = np.nonzero(near)
+        before = (sig[a[p], :t] == sig[b[q], :t]).any(axis=1)
+        near[p[before], q[before]] = False
         if not near.any():
             return None
         links = np.zeros(rows.num_rows, np.int64)
@@ -130,7 +139,7 @@ def _pairs(batches: Iterator[pa.RecordBatch], threshold: float) -> Iterator[pa.R
         hit = np.flatnonzero(links)
         return pa.RecordBatch.from_arrays([pa.array(cls[hit]), pa.array(links[hit]), pa.array(cls[root[hit]])], names=["class", "links", "other"])
 
-    names = ["t", "label", "dim", "bucket", "i", "j"]
+    names = ["key", "i", "j", "t", "label", "dim"]
     held: pa.Table | None = None  # rows of the last group so far; at most two blocks
     key = None
     for batch in batches:
@@ -156,29 +165,37 @@ def near_duplicates(
     threshold: float = THRESHOLD, miss: float = MISS, block: int = BLOCK, seed: int = SEED,
 ) -> DataFrame:
     """(vec_id, n_links, component_id, kept) of every row."""
-    rows = settle(_classes(vectors, id_col, vec_col, label_col))
-    classes = settle(rows.where(F.col("class").isNotNull()).groupBy("class").agg(F.first("label").alias("label"), F.first("vec").alias("vec"), F.count(F.lit(1)).alias("n"), F.min("vec_id").alias("least")))
-    bits, tables = plan_tables(classes.count(), threshold, miss)
-    signed = _signed(classes, bits, tables, seed)
-    keys = ["t", "label", "dim", "bucket"]
-    sizes = settle(signed.groupBy(*keys).agg(F.count(F.lit(1)).alias("_size")).where("_size > 1"))
-    sized = signed.join(sizes, keys).withColumn("_blocks", F.ceil(F.col("_size") / F.lit(float(block))).cast("int"))
-    side = F.pmod(F.xxhash64("class"), F.col("_blocks")).cast("int")
-    spread = sized.withColumn("side", side).withColumn("_o", F.explode(F.sequence(F.lit(0), F.col("_blocks") - 1)))
-    groups = spread.select(*keys, F.least("side", "_o").alias("i"), F.greatest("side", "_o").alias("j"), "side", "class", "n", "vec", "sig")
-    order = [*keys, "i", "j"]
-    met = settle(groups.repartition(*order).sortWithinPartitions(*order).mapInArrow(lambda it: _pairs(it, threshold), "class string, links long, other string"))
-    counts = met.groupBy("class").agg(F.sum("links").alias("links"))
+    wide = "<f4" if dict(vectors.dtypes)[vec_col] == "array<float>" else "<f8"
+    rows = _keyed(vectors, id_col, vec_col, label_col)
+    total = vectors.count()
+    grouped = rows.where(F.col("c1").isNotNull()).groupBy("c1", "c2").agg(F.first("label").alias("label"), F.first("vec").alias("vec"), F.count(F.lit(1)).alias("n"), F.min("vec_id").alias("least"))
+    bits, tables = plan_tables(total, threshold, miss)
+    classes = settle(_signed(grouped, bits, tables, seed, wide).withColumn("cls", F.monotonically_increasing_id()))
+    # one row of two numbers per class and table
+    key = F.xxhash64("t", "label", "dim", "sign")
+    bucketed = classes.select("cls", "label", "dim", F.posexplode("signs").alias("t", "sign")).select(key.alias("key"), "cls", "t")
+    shared = settle(bucketed.groupBy("key").agg(F.count(F.lit(1)).alias("size")).where("size > 1"))
+    held = salted_join(bucketed, shared, ["key"], total * tables, shared.select("key", F.col("size").alias("n")))
+    # a class in a crowded bucket meets every block of it
+    blocks = F.ceil(F.col("size") / F.lit(float(block))).cast("int")
+    dealt = held.withColumn("blocks", blocks).withColumn("side", F.pmod(F.xxhash64("cls"), F.col("blocks")).cast("int"))
+    vector = classes.select("cls", "label", "dim", "n", "vec", "sig")
+    spread = dealt.join(vector, "cls").withColumn("_o", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    groups = spread.select("key", F.least("side", "_o").alias("i"), F.greatest("side", "_o").alias("j"), "t", "label", "dim", "side", "cls", "n", "vec", "sig")
+    met = settle(
+        groups.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "t", "label", "dim").mapInArrow(lambda it: _pairs(it, threshold, wide), "class long, links long, other long")
+    )
+    counts = met.groupBy(F.col("class").alias("cls")).agg(F.sum("links").alias("links"))
     # roots are joined as classes; the smallest id of a component follows from its classes' smallest ids
     joined = connected_components(met.select(F.col("class").alias("a"), F.col("other").alias("b")))
-    rooted = classes.select("class", "least").join(joined, F.col("class") == F.col("node"), "left").select("class", "least", F.coalesce("root", "class").alias("root"))
+    named = classes.select("cls", "c1", "c2", "least", "n")
+    rooted = named.join(joined, F.col("cls") == F.col("node"), "left").select("cls", "c1", "c2", "n", "least", F.coalesce("root", "cls").alias("root"))
     least = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    known = rooted.join(least, "root").join(counts, "class", "left").join(classes.select("class", "n"), "class").select(
-        "class", "component_id", (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links")
-    )
-    out = rows.select("vec_id", "class").join(known, "class", "left")
+    known = rooted.join(least, "root").join(counts, "cls", "left").select("c1", "c2", "n", "component_id", (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links"))
+    linked = salted_join(rows.where(F.col("c1").isNotNull()).select("vec_id", "c1", "c2"), known.drop("n"), ["c1", "c2"], total, known.select("c1", "c2", "n")).select("vec_id", "n_links", "component_id")
+    alone = rows.where(F.col("c1").isNull()).select("vec_id", F.lit(0).cast("long").alias("n_links"), F.lit(None).cast("long").alias("component_id"))
     component = F.coalesce("component_id", "vec_id")
-    return out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.col("vec_id").eqNullSafe(component).alias("kept"))
+    return linked.unionAll(alone).select("vec_id", F.col("n_links").cast("long").alias("n_links"), component.alias("component_id"), F.col("vec_id").eqNullSafe(component).alias("kept"))
 
 
 def op6_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
