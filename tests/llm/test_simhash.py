@@ -80,6 +80,17 @@ def test_crowded_halves_match_brute_force(spark):
     check(spark, spread(2) + near, 1)
 
 
+def test_links_equal_those_of_whole_word_balls(spark):
+    """Every pair within 3 bits, as the form around whole fingerprints and as brute force find it."""
+    rng = random.Random(9)
+    fps = sorted({*spread(4, 8, 8), *[0xFFFF << 48 ^ sum(1 << b for b in rng.sample(range(64), rng.randint(0, 3))) for _ in range(60)]})
+    nodes = spark.createDataFrame([(signed(f),) for f in fps], "fp long")
+    for radius in (3, 2, 1):
+        want = {tuple(sorted((signed(a), signed(b)))) for a, b in itertools.combinations(fps, 2) if (a ^ b).bit_count() <= radius}
+        for found in (simhash.links(nodes, radius), simhash.links_whole(nodes, radius)):
+            assert {(r.a, r.b) for r in found.collect()} == want and want
+
+
 def test_whole_table_against_brute_force(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()
     fps = {d.doc_id: plain_fingerprint(d.text) for d in docs}
@@ -94,7 +105,7 @@ def test_whole_table_against_brute_force(spark, sf):
 def test_odd_rows(spark):
     docs = spark.createDataFrame(
         [(3, None, "x"), (1, "", "y"), (2, " \t\n", None), (None, "one two three four", None), (9, "One two THREE four", "z"), (9, "One two THREE four", "z"), (9, "else", "z")],
-        "doc_id long, text string, fp string",
+        "doc_id long, text string, _sh_tkey string",
     )
     got = sorted((r.doc_id or -1, r.fp == 0, r.component_id) for r in simhash.near_duplicates(docs).collect())
     assert got == [(-1, False, 9), (1, True, 1), (2, True, 1), (3, True, 1), (9, False, 9), (9, False, 9), (9, False, 9)]

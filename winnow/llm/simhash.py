@@ -1,18 +1,21 @@
 """SimHash near-dedup by meet-in-the-middle ball hashing.
 
-Fingerprints within 3 bits differ by at most 1 bit in one of their 32-bit halves, and 1 is half the radius
-rounded down. So every distinct fingerprint emits, for each half, all variants within 1 bit (33 of them),
-is shuffled on the variant, and meets the fingerprints whose half is that variant exactly. Pairs that meet
-in several ways are kept once; all are verified on the whole word. (Variants of the whole word within half
-of an odd radius would have to reach 2 bits to lose nothing: 2,081 rows per fingerprint instead of 68.)
-
-Copies are folded into one fingerprint before anything is emitted. Where more than ``crowd`` distinct
-fingerprints share a half, as within a huge group of near copies, they aren't paired: their other halves
-are ball-hashed in turn and every meeting point links its members in a star, so links stay linear there.
+Half of a radius of 3 bits is 1 bit and a half, and balls of whole bits around whole words either lose pairs at 3 bits or cost 2,146
+rows per fingerprint (``links_whole`` does that, as the reference of tests). So each of three words is taken that leave one third of
+the bits out in turn. Two fingerprints within 3 bits differ in at most 2 bits of one of them, as soon as a third that
+holds one of the differing bits is out. Every distinct fingerprint emits all variants within 1 bit of each such word (some 130
+rows), rows are shuffled on the variant, and two that meet in a variant are a pair: each lies at most 1 bit from it. Pairs that meet in several
+ways are kept once; all are verified on the whole fingerprint. Chance meetings of n fingerprints number some 3e-10 * n^2.
+
+Copies are folded into one fingerprint before anything is emitted. Where more than ``crowd`` distinct fingerprints share a
+word exactly, as within a huge group of near copies, the buckets at all its variants (any bucket of more than 45 times
+``crowd`` rows is among them) list no pairs: the left-out bits of their rows are ball-hashed in turn and every meeting point links its
+members in a star, so links stay linear there.
 
 Defined cases: null, empty and blank texts have fingerprint 0 and link like any other; fewer than three
 words are one shingle; null ids are never a component's id unless nothing else is in it; rows with equal
-ids are fingerprinted each; empty tables give empty results.
+ids are fingerprinted each; empty tables give empty results; other columns are carried along by ``keep_one`` alone, and helper
+columns get names that the table doesn't have.
 """
 
 from __future__ import annotations
@@ -22,9 +25,10 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from winnow.functions.textops import spare
 from winnow.llm.common import ASCII_LOWER, WORD_BYTES, table, text_key
 from winnow.operators.components import connected_components
 from winnow.plans.settle import settle
@@ -32,7 +36,8 @@ from winnow.plans.settle import settle
 RADIUS = 3
 SHINGLE = 3
 SEED = 42
-CROWD = 256
+CROWD = 64
+PARTS = 3
 _CHUNK = 1 << 16  # shingles hashed at a time
 
 
@@ -66,20 +71,32 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return narrow.mapInArrow(hashed, "doc_id long, tkey long, fp long")
 
 
-def _half(word: str, h: str = "h"):
-    return F.when(F.col(h) == 0, F.shiftrightunsigned(word, 32)).otherwise(F.col(word).bitwiseAND(F.lit(0xFFFFFFFF)))
+def _masks() -> list[int]:
+    """The bits that each word leaves out, as signed longs: thirds of the 64."""
+    edges = [64 * k // PARTS for k in range(PARTS + 1)]
+    masks = [(1 << hi) - (1 << lo) for lo, hi in zip(edges, edges[1:], strict=False)]
+    return [m - (1 << 64) if m >> 63 else m for m in masks]
+
+
+def _flips(mask: int, radius: int) -> list[list[int]]:
+    """Flips of 0, 1, ... ``radius`` of the bits in ``mask``, as signed longs."""
+    bits = [1 << b for b in range(64) if mask >> b & 1]
+    out = [[0], bits, [x | y for k, x in enumerate(bits) for y in bits[:k]]][: radius + 1]
+    return [[x - (1 << 64) if x >> 63 else x for x in some] for some in out]
+
 
+def _longs(values: list[int]) -> Column:
+    return F.array(*[F.lit(v).cast("long") for v in values])
 
-def _flips(bits: int, radius: int) -> list[int]:
-    """Masks of up to ``radius`` of the low ``bits`` bits."""
-    out = [0] + [1 << i for i in range(bits)]
-    if radius == 2:
-        out += [1 << i | 1 << j for i in range(bits) for j in range(i)]
-    return out
 
+def _by_part(make) -> Column:
+    """An array that depends on the part ``h``."""
+    return F.element_at(F.array(*[make(m) for m in _masks()]), F.col("h") + 1)
 
-def _exploded(masks: list[int]):
-    return F.explode(F.array(*[F.lit(m).cast("long") for m in masks]))
+
+def _word() -> Column:
+    """The fingerprint without the bits of part ``h``."""
+    return F.col("fp").bitwiseAND(F.element_at(_longs([~m for m in _masks()]), F.col("h") + 1))
 
 
 def links(nodes: DataFrame, radius: int = RADIUS, crowd: int = CROWD) -> DataFrame:
@@ -88,36 +105,48 @@ def links(nodes: DataFrame, radius: int = RADIUS, crowd: int = CROWD) -> DataFra
     All such pairs are listed, except inside crowded buckets, where each meeting point lists a star instead.
     """
     if not 0 <= radius <= 3:
-        raise ValueError("two halves and one flipped bit reach a radius of 3")
-    near = (F.bit_count(F.col("fp").bitwiseXOR(F.col("fp2"))) <= radius) & (F.col("fp") != F.col("fp2"))
-    halves = nodes.select("fp", F.explode(F.array(F.lit(0), F.lit(1))).alias("h"))
-    centres = halves.select("h", _half("fp").alias("v"), "fp")
-    crowded = centres.groupBy("h", "v").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > crowd).select("h", "v")
-    balls = centres.select("h", "v", "fp", _exploded(_flips(32, min(1, radius))).alias("flip")).select("h", F.col("v").bitwiseXOR(F.col("flip")).alias("v"), "fp", (F.col("flip") != 0).cast("int").alias("t"))
+        raise ValueError("words without a third and one flipped bit reach a radius of 3")
+    centres = nodes.select("fp", F.explode(F.sequence(F.lit(0), F.lit(PARTS - 1))).alias("h")).select("h", _word().alias("v"), "fp")
+    ball = _by_part(lambda m: _longs(sum(_flips(~m, min(1, radius)), [])))
+    balls = centres.select("h", F.explode(F.transform(ball, lambda x: F.col("v").bitwiseXOR(x))).alias("v"), "fp")
+    hot = centres.groupBy("h", "v").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > crowd).select("h", "v")
+    crowded = settle(hot.select("h", F.explode(F.transform(ball, lambda x: F.col("v").bitwiseXOR(x))).alias("v")).distinct())
     some = not crowded.isEmpty()
-    calm_c, calm_b = (x.join(crowded, ["h", "v"], "left_anti") for x in (centres, balls)) if some else (centres, balls)
-    met = calm_b.join(calm_c.withColumnRenamed("fp", "fp2"), ["h", "v"]).where(near)
-    found = met.select(F.least("fp", "fp2").alias("a"), F.greatest("fp", "fp2").alias("b"))
+    calm = balls.join(crowded, ["h", "v"], "left_anti") if some else balls
+    near = F.bit_count(F.col("fp").bitwiseXOR(F.col("fp2"))) <= radius
+    found = calm.join(calm.withColumnRenamed("fp", "fp2"), ["h", "v"]).where((F.col("fp") < F.col("fp2")) & near).select(F.col("fp").alias("a"), F.col("fp2").alias("b"))
     if some:
-        found = found.unionAll(_stars(balls.join(crowded, ["h", "v"]), radius))
+        found = found.unionAll(_stars(balls.join(crowded, ["h", "v"], "left_semi"), radius))
     return found.distinct()
 
 
+def links_whole(nodes: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """The same pairs by balls around whole fingerprints: 1 bit on one side, 2 on the other, 65 and 2,081 rows for each. For small tables."""
+    if not 0 <= radius <= 3:
+        raise ValueError("balls of 1 and 2 bits reach a radius of 3")
+    small, large = (nodes.select("fp", F.explode(F.transform(_longs(sum(_flips((1 << 64) - 1, r), [])), lambda x: F.col("fp").bitwiseXOR(x))).alias("v")) for r in (1, 2))
+    near = F.bit_count(F.col("fp").bitwiseXOR(F.col("fp2"))) <= radius
+    met = small.join(large.withColumnRenamed("fp", "fp2"), "v").where((F.col("fp") != F.col("fp2")) & near)
+    return met.select(F.least("fp", "fp2").alias("a"), F.greatest("fp", "fp2").alias("b")).distinct()
+
+
 def _stars(rows: DataFrame, radius: int) -> DataFrame:
-    """Links of crowded buckets, from rows (h, v, fp, t) that lie t bits off the bucket's half.
+    """Links of crowded buckets, from rows (h, v, fp) that lie t = 0 or 1 bits off the bucket's word.
 
-    The other halves of two rows with t = 0 may differ in ``radius`` bits, with one t = 1 in one less. Rows
-    emit the variants of the other half within 1 bit, those with t = 0 also within 2. At a variant, a row with
-    t = 0 within 1 bit is a true neighbour of every member, so a star around one of them loses nothing; where
-    there is none, no two members need be neighbours.
+    Rows emit the variants of their left-out bits: those with t = 0 within 2 bits, the others within 1. A row is a hub at a
+    variant if it has t = 0 and lies within 1 bit of it, or t = 1 and lies on it: then every row there is its true neighbour, since
+    the bits of both sides add up to 3 at most. Of two neighbours in a bucket one is a hub where they meet: they differ in t + t' bits
+    of the word at most, so in 3, 2 or 1 bits of the rest. So a star around one hub of each meeting point loses nothing, and
+    where there is no hub, no two members need be neighbours.
     """
-    other = rows.withColumn("o", F.when(F.col("h") == 0, F.col("fp").bitwiseAND(F.lit(0xFFFFFFFF))).otherwise(F.shiftrightunsigned("fp", 32)))
-    one = other.select("h", "v", "fp", "t", "o", _exploded(_flips(32, 1)).alias("m")).withColumn("far", F.lit(0))
-    two = other.where("t = 0").select("h", "v", "fp", "t", "o", _exploded(_flips(32, 2)[33:]).alias("m")).withColumn("far", F.lit(1))
-    points = one.unionAll(two).select("h", "v", F.col("o").bitwiseXOR(F.col("m")).alias("p"), "fp", "t", "far")
-    hubs = points.where("t = 0 AND far = 0").groupBy("h", "v", "p").agg(F.min("fp").alias("hub"))
-    near = points.join(hubs, ["h", "v", "p"]).where("fp <> hub").where(F.bit_count(F.col("fp").bitwiseXOR(F.col("hub"))) <= radius)
-    return near.select(F.least("fp", "hub").alias("a"), F.greatest("fp", "hub").alias("b"))
+    off = rows.withColumn("t", (F.col("v") != _word()).cast("int")).withColumn("o", F.col("fp").bitwiseXOR(_word()))
+    far = lambda k: F.explode(F.transform(_by_part(lambda m: _longs(_flips(m, 2)[k])), lambda x: F.col("o").bitwiseXOR(x))).alias("p")
+    points = off.select("h", "v", "fp", F.lit(True).alias("hub"), F.col("o").alias("p"))
+    points = points.unionAll(off.select("h", "v", "fp", (F.col("t") == 0).alias("hub"), far(1)))
+    points = points.unionAll(off.where("t = 0").select("h", "v", "fp", F.lit(False).alias("hub"), far(2)))
+    hubs = points.where("hub").groupBy("h", "v", "p").agg(F.min("fp").alias("centre"))
+    near = points.join(hubs, ["h", "v", "p"]).where("fp <> centre").where(F.bit_count(F.col("fp").bitwiseXOR(F.col("centre"))) <= radius)
+    return near.select(F.least("fp", "centre").alias("a"), F.greatest("fp", "centre").alias("b"))
 
 
 def components(prints: DataFrame, radius: int = RADIUS, crowd: int = CROWD) -> DataFrame:
@@ -139,10 +168,10 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     """``docs`` with its columns and one row of each component: of the rows with the smallest id, the one with the smallest key."""
     found = near_duplicates(docs, id_col, text_col)
     first = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "tkey")).alias("f"))
-    chosen = first.select(F.col("f.doc_id").alias("_sh_id"), F.col("f.tkey").alias("_sh_key"))
-    keyed = docs.withColumn("_sh_tkey", text_key(text_col))
-    same = F.col(id_col).cast("long").eqNullSafe(F.col("_sh_id")) & (F.col("_sh_tkey") == F.col("_sh_key"))
-    return keyed.join(chosen, same, "left_semi").dropDuplicates([id_col, "_sh_tkey"]).select(*docs.columns)
+    name, key, own = (spare(docs, f"_sh_{x}") for x in ("id", "key", "tkey"))
+    chosen = first.select(F.col("f.doc_id").alias(name), F.col("f.tkey").alias(key))
+    same = F.col(id_col).cast("long").eqNullSafe(F.col(name)) & (F.col(own) == F.col(key))
+    return docs.withColumn(own, text_key(text_col)).join(chosen, same, "left_semi").dropDuplicates([id_col, own]).select(*docs.columns)
 
 
 def op4_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
