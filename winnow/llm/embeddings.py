@@ -34,7 +34,7 @@ from winnow.plans.settle import settle
 
 THRESHOLD = 0.98
 MISS = 0.002
-BLOCK = 256
+BLOCK = 128
 SEED = 20
 
 
