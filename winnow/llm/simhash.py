@@ -3,7 +3,7 @@
 Half of a radius of 3 bits is 1 bit and a half, and balls of whole bits around whole words either lose pairs at 3 bits or cost 2,146
 rows per fingerprint (``links_whole`` does that, as the reference of tests). So each of three words is taken that leave one third of
 the bits out in turn. Two fingerprints within 3 bits differ in at most 2 bits of one of them, as soon as a third that
-holds one of the differing bits is out. Every distinct fingerprint emits all variants within 1 bit of each such word (some 130
+holds one of the differing bits is out. Every distinct fingerprint emits all variants within 1 bit of each such word (131
 rows), rows are shuffled on the variant, and two that meet in a variant are a pair: each lies at most 1 bit from it. Pairs that meet in several
 ways are kept once; all are verified on the whole fingerprint. Chance meetings of n fingerprints number some 3e-10 * n^2.
 
@@ -71,32 +71,63 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return narrow.mapInArrow(hashed, "doc_id long, tkey long, fp long")
 
 
-def _masks() -> list[int]:
-    """The bits that each word leaves out, as signed longs: thirds of the 64."""
-    edges = [64 * k // PARTS for k in range(PARTS + 1)]
-    masks = [(1 << hi) - (1 << lo) for lo, hi in zip(edges, edges[1:], strict=False)]
-    return [m - (1 << 64) if m >> 63 else m for m in masks]
+_EDGES = [64 * k // PARTS for k in range(PARTS + 1)]
+
+
+def _signed(x: int) -> int:
+    return x - (1 << 64) if x >> 63 else x
+
+
+def _longs(values: list[int]) -> Column:
+    return F.array(*[F.lit(_signed(v)).cast("long") for v in values])
+
+
+def _mask(h: int) -> int:
+    """The bits that word ``h`` leaves out."""
+    return (1 << _EDGES[h + 1]) - (1 << _EDGES[h])
 
 
 def _flips(mask: int, radius: int) -> list[list[int]]:
-    """Flips of 0, 1, ... ``radius`` of the bits in ``mask``, as signed longs."""
+    """Flips of 0, 1, ... ``radius`` of the bits in ``mask``."""
     bits = [1 << b for b in range(64) if mask >> b & 1]
-    out = [[0], bits, [x | y for k, x in enumerate(bits) for y in bits[:k]]][: radius + 1]
-    return [[x - (1 << 64) if x >> 63 else x for x in some] for some in out]
+    return [[0], bits, [x | y for k, x in enumerate(bits) for y in bits[:k]]][: radius + 1]
 
 
-def _longs(values: list[int]) -> Column:
-    return F.array(*[F.lit(v).cast("long") for v in values])
+def _near(h: int, radius: int = 1) -> list[int]:
+    """No flip and single flips of word ``h``."""
+    return sum(_flips(~_mask(h) & ((1 << 64) - 1), min(1, radius)), [])
 
 
-def _by_part(make) -> Column:
-    """An array that depends on the part ``h``."""
-    return F.element_at(F.array(*[make(m) for m in _masks()]), F.col("h") + 1)
+def _word(h: int, fp: str = "fp") -> Column:
+    """Word ``h`` of a fingerprint; its number stands in the bits that are left out."""
+    return F.col(fp).bitwiseAND(F.lit(_signed(~_mask(h) & ((1 << 64) - 1)))).bitwiseOR(F.lit(_signed(h + 1 << _EDGES[h])))
 
 
-def _word() -> Column:
-    """The fingerprint without the bits of part ``h``."""
-    return F.col("fp").bitwiseAND(F.element_at(_longs([~m for m in _masks()]), F.col("h") + 1))
+def _choose(h: Column, of) -> Column:
+    return F.get(F.array(*[of(k) for k in range(PARTS)]), h.cast("int"))
+
+
+def _variants(nodes: DataFrame, radius: int) -> DataFrame:
+    """(v, d): every variant of every word within 1 bit; d holds the left-out bits, then which flip, then which word.
+
+    A fingerprint can be put together from both, so the shuffle carries two numbers a row, one of them short.
+    """
+
+    def of(h: int) -> Column:
+        rest = F.shiftrightunsigned(F.col("fp").bitwiseAND(F.lit(_signed(_mask(h)))), _EDGES[h])
+        return F.transform(_longs(_near(h, radius)), lambda x, k: F.struct(_word(h).bitwiseXOR(x).alias("v"), (rest + F.shiftleft(k.cast("long"), 24) + F.lit(h << 30)).alias("d")))
+
+    return nodes.select(F.inline(F.concat(*[of(h) for h in range(PARTS)])))
+
+
+def _fingerprint_of(v: str = "v", d: str = "d") -> Column:
+    k = F.shiftright(d, 24).bitwiseAND(F.lit(63)).cast("int")
+
+    def of(h: int) -> Column:
+        word = F.col(v).bitwiseXOR(F.get(_longs(_near(h)), k)).bitwiseAND(F.lit(_signed(~_mask(h) & ((1 << 64) - 1))))
+        return word.bitwiseOR(F.shiftleft(F.col(d).bitwiseAND(F.lit((1 << 24) - 1)), _EDGES[h]))
+
+    return _choose(F.shiftright(d, 30), of)
 
 
 def links(nodes: DataFrame, radius: int = RADIUS, crowd: int = CROWD) -> DataFrame:
@@ -106,17 +137,17 @@ def links(nodes: DataFrame, radius: int = RADIUS, crowd: int = CROWD) -> DataFra
     """
     if not 0 <= radius <= 3:
         raise ValueError("words without a third and one flipped bit reach a radius of 3")
-    centres = nodes.select("fp", F.explode(F.sequence(F.lit(0), F.lit(PARTS - 1))).alias("h")).select("h", _word().alias("v"), "fp")
-    ball = _by_part(lambda m: _longs(sum(_flips(~m, min(1, radius)), [])))
-    balls = centres.select("h", F.explode(F.transform(ball, lambda x: F.col("v").bitwiseXOR(x))).alias("v"), "fp")
-    hot = centres.groupBy("h", "v").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > crowd).select("h", "v")
-    crowded = settle(hot.select("h", F.explode(F.transform(ball, lambda x: F.col("v").bitwiseXOR(x))).alias("v")).distinct())
+    rows = _variants(nodes, radius)
+    hot = nodes.select(F.posexplode(F.array(*[_word(h) for h in range(PARTS)])).alias("h", "v")).groupBy("h", "v").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > crowd)
+    crowded = settle(hot.select(F.explode(F.transform(_choose(F.col("h"), lambda h: _longs(_near(h, radius))), lambda x: F.col("v").bitwiseXOR(x))).alias("v")).distinct())
     some = not crowded.isEmpty()
-    calm = balls.join(crowded, ["h", "v"], "left_anti") if some else balls
-    near = F.bit_count(F.col("fp").bitwiseXOR(F.col("fp2"))) <= radius
-    found = calm.join(calm.withColumnRenamed("fp", "fp2"), ["h", "v"]).where((F.col("fp") < F.col("fp2")) & near).select(F.col("fp").alias("a"), F.col("fp2").alias("b"))
+    calm = rows.join(crowded, "v", "left_anti") if some else rows
+    met = calm.join(calm.withColumnRenamed("d", "e"), "v").where("d < e").select(_fingerprint_of().alias("x"), _fingerprint_of("v", "e").alias("y"))
+    close = met.where((F.col("x") != F.col("y")) & (F.bit_count(F.col("x").bitwiseXOR(F.col("y"))) <= radius))
+    found = close.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
     if some:
-        found = found.unionAll(_stars(balls.join(crowded, ["h", "v"], "left_semi"), radius))
+        full = rows.join(crowded, "v", "left_semi").select(F.shiftright("d", 30).cast("int").alias("h"), "v", _fingerprint_of().alias("fp"))
+        found = found.unionAll(_stars(full, radius))
     return found.distinct()
 
 
@@ -139,8 +170,9 @@ def _stars(rows: DataFrame, radius: int) -> DataFrame:
     of the word at most, so in 3, 2 or 1 bits of the rest. So a star around one hub of each meeting point loses nothing, and
     where there is no hub, no two members need be neighbours.
     """
-    off = rows.withColumn("t", (F.col("v") != _word()).cast("int")).withColumn("o", F.col("fp").bitwiseXOR(_word()))
-    far = lambda k: F.explode(F.transform(_by_part(lambda m: _longs(_flips(m, 2)[k])), lambda x: F.col("o").bitwiseXOR(x))).alias("p")
+    off = rows.withColumn("t", (F.col("v") != _choose(F.col("h"), _word)).cast("int"))
+    off = off.withColumn("o", F.col("fp").bitwiseAND(_choose(F.col("h"), lambda h: F.lit(_signed(_mask(h))))))
+    far = lambda k: F.explode(F.transform(_choose(F.col("h"), lambda h: _longs(_flips(_mask(h), 2)[k])), lambda x: F.col("o").bitwiseXOR(x))).alias("p")
     points = off.select("h", "v", "fp", F.lit(True).alias("hub"), F.col("o").alias("p"))
     points = points.unionAll(off.select("h", "v", "fp", (F.col("t") == 0).alias("hub"), far(1)))
     points = points.unionAll(off.where("t = 0").select("h", "v", "fp", F.lit(False).alias("hub"), far(2)))
