@@ -75,6 +75,25 @@ def test_ledger_scans_only_what_is_new(spark, tmp_path):
     assert whole[5] == whole[1] and whole[5][0] == 1
 
 
+def test_versions_of_a_path_in_one_table(spark, tmp_path):
+    """Three versions of one path, one of them held by another path as well: each version has its findings, each blob one scan."""
+    rows = [(1, "token=abcdefgh"), (1, "token=abcdefgh and AKIAABCDEFGHIJKLMN"), (1, "clean now"), (2, "clean now"), (2, "token=abcdefgh")]
+    versions = spark.createDataFrame(rows, "doc_id long, text string")
+    ledger = secrets.update(spark, versions, str(tmp_path / "ledger"))
+    assert ledger.count() == 3 * len(secrets.RULES) and ledger.dropDuplicates(["blob", "rule"]).count() == ledger.count()
+    got = sorted((r.doc_id, r.n_assign, r.n_access) for r in secrets.digest(secrets.findings(secrets.paths(versions), ledger)).collect())
+    assert got == [(1, 0, 0), (1, 1, 0), (1, 1, 1), (2, 0, 0), (2, 1, 0)]
+
+
+def test_the_query_writes_and_reads_its_ledger(spark, sf, tmp_path):
+    path = str(tmp_path / "ledger")
+    first = rows_of(secrets.op2_secret_scan(spark, sf, path))
+    ledger = spark.read.parquet(path)
+    blobs = len({hashlib.sha256((r.text or "").encode()).hexdigest() for r in spark.read.parquet(f"{sf}/documents.parquet").collect()})
+    assert ledger.count() == blobs * len(secrets.RULES)
+    assert rows_of(secrets.op2_secret_scan(spark, sf, path)) == first and spark.read.parquet(path).count() == ledger.count()
+
+
 def test_empty_and_odd_tables(spark):
     none = spark.createDataFrame([], "doc_id long, text string, blob string")
     v = secrets.paths(none)

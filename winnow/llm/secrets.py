@@ -4,6 +4,10 @@ Every historical version of a text is addressed by the SHA-256 of its bytes. The
 (blob, rule, rule version) triples were scanned and what was found. A scan takes only the triples the ledger
 lacks, reads each such blob once however many paths hold it, and joins the findings back to all paths.
 
+A path may have any number of versions in one table: every row is a version of its own, its blob is scanned once however many
+versions and paths share it, and each version gets its blob's findings. The ledger lies in a folder of the caller's, which later
+runs go on with; it holds no text.
+
 Defined cases: a null text is the empty blob; ids may be null or repeat, every row gets its findings;
 empty tables give empty results; other columns are never read.
 """
@@ -12,6 +16,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -20,6 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from winnow.llm.common import table
+from winnow.plans.settle import checkpoint_dir
 
 
 @dataclass(frozen=True)
@@ -156,7 +162,11 @@ def digest(found: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     )
 
 
-def op2_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Against an empty ledger every blob is unseen, so each is scanned once under every rule."""
-    versions = paths(table(spark, sf_dir, "documents"))
-    return digest(findings(versions, scan(unseen(versions, None))))
+def op2_secret_scan(spark: SparkSession, sf_dir: str, ledger_path: str | None = None) -> DataFrame:
+    """Brings the ledger up to date with every blob of the table and reads the findings back from it.
+
+    Without a ``ledger_path`` the ledger is a new one in the shared checkpoint folder, to which every blob is unseen.
+    """
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    ledger = update(spark, docs, ledger_path or f"{checkpoint_dir(spark)}/secret-ledger-{uuid.uuid4().hex}")
+    return digest(findings(paths(docs), ledger))
