@@ -86,6 +86,53 @@ def test_a_stream_cut_short_gives_zeros():
     assert media.lzw_decode(b"", 8, 5) == b"\0" * 5
 
 
+def whole_frames(stream):
+    out = []
+    for f in media.decode_gif(stream):
+        assert f["canvas"].shape[2] == 4
+        out.append(f)
+    return out
+
+
+def test_every_prefix_decodes_without_failing():
+    payload = media.padded(bytes(random.Random(1).randrange(256) for _ in range(70_000)))
+    for stream in (media.encode_gif(media.padded(b"abc" * 100)), gif([(0, 0, 4, 2, [1] * 8, 1, None, 5, False), (1, 0, 2, 1, [2, 3], 2, 3, 7, True)])):
+        n = len(whole_frames(stream))
+        for at in range(len(stream)):
+            assert len(whole_frames(stream[:at])) <= n
+    stream = media.encode_gif(payload)
+    whole = whole_frames(stream)
+    assert len(whole) == 2
+    for at in random.Random(2).sample(range(len(stream)), 25):
+        for f, g in zip(whole_frames(stream[:at])[:-1], whole, strict=False):
+            assert (f["canvas"] == g["canvas"]).all()  # frames before the broken one are whole
+    assert whole_frames(None) == whole_frames(b"") == whole_frames(b"PNG" * 9) == []
+
+
+def test_damaged_bytes_decode_without_failing():
+    rng = random.Random(3)
+    base = [media.encode_gif(media.padded(b"some text " * 30)), gif([(0, 0, 4, 2, [1] * 8, 1, None, 5, False), (3, 1, 1, 1, [2], 3, None, 9, False)])]
+    for k in range(600):
+        stream = bytearray(base[k % 2])
+        for _ in range(rng.randint(1, 6)):
+            stream[rng.randrange(len(stream))] = rng.randrange(256)
+        whole_frames(bytes(stream))
+    wide = bytearray(base[0])
+    wide[6:10] = b"\xff\xff\xff\xff"
+    assert whole_frames(bytes(wide)) == []
+
+
+def test_damaged_streams_in_a_table(spark):
+    good = media.encode_gif(media.padded(b"text"))
+    rows = spark.createDataFrame([(1, 4, bytearray(good)), (2, 4, bytearray(good[:20])), (3, 0, None), (4, 4, bytearray(b"no gif"))], "id long, n_bytes long, media binary")
+    assert [r.id for r in media.frames(rows).collect()] == [1] and [r.doc_id for r in media.measure(rows).collect()] == [1]
+
+
+def test_long_codes_across_a_full_table():
+    data = bytes(random.Random(5).randrange(256) for _ in range(60_000))
+    assert media.lzw_decode(media.lzw_encode(data), 8, len(data)) == data
+
+
 def test_measures_of_odd_rows(spark):
     texts = [None, "", "x", "é" * 40, "a" * 100_000, "a" * 100_000]
     docs = spark.createDataFrame([(i if i != 3 else None, t, "z") for i, t in enumerate(texts)], "doc_id long, text string, media string")

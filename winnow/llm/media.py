@@ -6,8 +6,10 @@ as a viewer would. The encoder stores any bytes losslessly as 8-bit samples: 64
 1024 rows to a frame, one palette that maps every byte to a colour of its own.
 
 Defined cases: a null text is empty, and an empty payload is one row of 64 zero samples; any id may be
-null or repeat; a stream that ends early yields the frames that are whole and samples 0 for the rest of a
-broken one; empty tables give empty results. A text is handled frame by frame, never as pixels at once.
+null or repeat; decoding never fails: a stream that ends early or is damaged yields the frames up to there, with samples 0
+for what is missing of the last one's codes, and a null stream, one that is no GIF, or one whose canvas or a frame has more than
+``MOST_PIXELS`` yields none from there on; a frame that leaves the canvas is cut to it; empty tables give empty results. A text is
+handled frame by frame, never as pixels at once.
 """
 
 from __future__ import annotations
@@ -25,6 +27,8 @@ from pyspark.sql import functions as F
 from winnow.llm.common import table
 
 WIDTH, ROWS = 64, 1024
+#: A canvas or frame of more pixels counts as damaged, whatever its header says.
+MOST_PIXELS = 1 << 25
 DELAY_CS = 10  # hundredths of a second that a stored frame stays
 
 _B = np.arange(256)
@@ -181,11 +185,19 @@ def encode_gif(payload: bytes) -> bytes:
     return b"".join([*out, b"\x3b"])
 
 
-def decode_gif(media: bytes) -> Iterator[dict]:
+def decode_gif(media: bytes | None) -> Iterator[dict]:
     """Composed frames in order: number, delay_ms, left, top, width, height and canvas, an array of RGBA rows.
 
-    Disposal 2 clears the frame's rectangle to transparent before the next frame, 3 puts back what was there.
+    Disposal 2 clears the frame's rectangle to transparent before the next frame, 3 puts back what was there. Where the
+    stream is damaged, it ends.
     """
+    try:
+        yield from _decoded(media or b"")
+    except (ValueError, IndexError, struct.error):  # a field or block beyond the end, or one that can't be
+        return
+
+
+def _decoded(media: bytes) -> Iterator[dict]:
     if media[:3] != b"GIF":
         raise ValueError("not a GIF stream")
     wide, high, flags, _, _ = struct.unpack_from("<HHBBB", media, 6)
@@ -194,6 +206,8 @@ def decode_gif(media: bytes) -> Iterator[dict]:
         n = 2 << (flags & 7)
         shared = np.frombuffer(media, np.uint8, 3 * n, at).reshape(n, 3)
         at += 3 * n
+    if wide * high > MOST_PIXELS:
+        raise ValueError("a canvas beyond the limit")
     canvas = np.zeros((high, wide, 4), np.uint8)
     delay = disposal = number = 0
     clear: int | None = None
@@ -223,6 +237,8 @@ def decode_gif(media: bytes) -> Iterator[dict]:
             palette = np.frombuffer(media, np.uint8, 3 * n, at).reshape(n, 3)
             at += 3 * n
         min_bits = media[at]
+        if not 1 <= min_bits <= 8 or w * h > MOST_PIXELS:
+            raise ValueError("no frame of a GIF")
         codes, at = blocks(at + 1)
         index = np.frombuffer(lzw_decode(codes, min_bits, w * h), np.uint8).reshape(h, w)
         if packed & 0x40:
@@ -234,8 +250,8 @@ def decode_gif(media: bytes) -> Iterator[dict]:
         if palette is not None:
             colours[: len(palette), :3] = palette
         colours[:, 3] = 255
-        box = (slice(top, min(top + h, high)), slice(left, min(left + w, wide)))
-        index = index[: box[0].stop - top, : box[1].stop - left]
+        box = (slice(min(top, high), min(top + h, high)), slice(min(left, wide), min(left + w, wide)))
+        index = index[: box[0].stop - box[0].start, : box[1].stop - box[1].start]
         before = canvas[box].copy() if disposal == 3 else None
         if clear is None:
             canvas[box] = colours[index]
@@ -283,65 +299,80 @@ def store(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
     )
 
 
-FRAMES = "id long, number int, start_ms long, delay_ms long, width int, height int, pixels binary, reds array<long>, greens array<long>, blues array<long>"
+FRAMES = "id long, n_bytes long, media_bytes long, media_sha256 string, number int, start_ms long, delay_ms long, width int, height int, pixels binary, reds array<long>, greens array<long>, blues array<long>"
+_KINDS = {"long": pa.int64(), "int": pa.int32(), "string": pa.string(), "binary": pa.binary(), "array<long>": pa.list_(pa.int64())}
+#: An Arrow batch of frames leaves when it holds so many bytes of pixels.
+BATCH_BYTES = 1 << 22
+
 
+def _batch(rows: list[tuple], schema: str) -> pa.RecordBatch:
+    fields = [x.split() for x in schema.split(", ")]
+    cols = zip(*rows, strict=True) if rows else [[]] * len(fields)
+    return pa.RecordBatch.from_arrays([pa.array(c, _KINDS[k]) for c, (_, k) in zip(cols, fields, strict=True)], names=[n for n, _ in fields])
 
-def frames(stored: DataFrame) -> DataFrame:
-    """One row per timed frame: when it starts and how long it stays, its composed RGBA canvas and histogram columns."""
+
+def frames(stored: DataFrame, as_samples: bool = False) -> DataFrame:
+    """One row per timed frame: when it starts and how long it stays, its composed canvas and histogram columns, and its stream's facts.
+
+    Pixels are the RGBA canvas; ``as_samples`` gives the stored bytes of the frame's rectangle instead, for streams of
+    ``store``, with the histogram of that rectangle. A stream's frames follow each other in order.
+    """
 
     def decoded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for i, media in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                start = 0
-                for f in decode_gif(media) if media else ():
-                    h, w = f["canvas"].shape[:2]
-                    x = histogram(f["canvas"])
-                    yield pa.RecordBatch.from_arrays(
-                        [
-                            pa.array([i], pa.int64()),
-                            pa.array([f["number"]], pa.int32()),
-                            pa.array([start], pa.int64()),
-                            pa.array([f["delay_ms"]], pa.int64()),
-                            pa.array([w], pa.int32()),
-                            pa.array([h], pa.int32()),
-                            pa.array([f["canvas"].tobytes()], pa.binary()),
-                            *(pa.array([x[s]], pa.list_(pa.int64())) for s in (slice(0, 8), slice(8, 16), slice(16, 20))),
-                        ],
-                        names=["id", "number", "start_ms", "delay_ms", "width", "height", "pixels", "reds", "greens", "blues"],
-                    )
-                    start += f["delay_ms"]
-
-    return stored.select("id", "media").mapInArrow(decoded, FRAMES)
+            out, held = [], 0
+            for i, n, media in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                start, facts = 0, (i, n, len(media or b""), hashlib.sha256(media or b"").hexdigest())
+                for f in decode_gif(media):
+                    t, l = f["top"], f["left"]  # noqa: E741
+                    seen = f["canvas"][t : t + f["height"], l : l + f["width"]] if as_samples else f["canvas"]
+                    pixels = samples(f) if as_samples else seen.tobytes()
+                    x = histogram(seen).tolist()
+                    out.append((*facts, f["number"], start, f["delay_ms"], seen.shape[1], seen.shape[0], pixels, x[:8], x[8:16], x[16:]))
+                    start, held = start + f["delay_ms"], held + len(pixels)
+                    if held >= BATCH_BYTES:
+                        yield _batch(out, FRAMES)
+                        out, held = [], 0
+            if out:
+                yield _batch(out, FRAMES)
+
+    return stored.select("id", "n_bytes", "media").mapInArrow(decoded, FRAMES)
 
 
 MEASURES = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, n_frames long, duration_ms long, feature string"
 
 
 def measure(stored: DataFrame) -> DataFrame:
-    """Reads the payload back from the frames of each stored text and sums their histograms."""
-
-    def one(i: int | None, n: int, media: bytes) -> tuple:
-        whole, tail, size, count, shown, hist = hashlib.sha256(), b"", 0, 0, 0, np.zeros(20, np.int64)
-        for f in decode_gif(media):
-            part = samples(f)
-            whole.update(part)
-            size += len(part)
-            tail = part[-64:]
-            t, l = f["top"], f["left"]  # noqa: E741
-            hist += histogram(f["canvas"][t : t + f["height"], l : l + f["width"]])
-            count, shown = count + 1, shown + f["delay_ms"]
-        feature = ",".join(map(str, hist.tolist()))
-        return i, n, size, whole.hexdigest(), zlib.crc32(tail), len(media), hashlib.sha256(media).hexdigest(), count, shown, feature
+    """Reads the payload back from the timed frames of each stored text and sums their histograms.
+
+    The frames of a stream stand together in their partition, frame 0 first, so they are read as they come and nothing is shuffled.
+    """
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = [x.split()[0] for x in MEASURES.split(", ")]
-        kinds = [pa.string() if x.endswith("string") else pa.int64() for x in MEASURES.split(", ")]
-        for b in batches:
-            out = [one(*x) for x in zip(*(c.to_pylist() for c in b.columns), strict=True)]
-            cols = zip(*out, strict=True) if out else [[]] * len(names)
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=names)
+        facts = None
 
-    return stored.select("id", "n_bytes", "media").mapInArrow(rows, MEASURES)
+        def closed() -> tuple:
+            i, n, media_bytes, media_sha = facts
+            return i, n, size, whole.hexdigest(), zlib.crc32(tail), media_bytes, media_sha, count, shown, ",".join(map(str, hist))
+
+        for b in batches:
+            out = []
+            for i, n, media_bytes, media_sha, number, delay, pixels, *hues in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                if number == 0:
+                    if facts is not None:
+                        out.append(closed())
+                    facts, whole, size, count, shown, hist = (i, n, media_bytes, media_sha), hashlib.sha256(), 0, 0, 0, [0] * 20
+                whole.update(pixels)
+                size, tail = size + len(pixels), pixels[-64:]
+                hist = [x + y for x, y in zip(hist, (v for h in hues for v in h), strict=True)]
+                count, shown = count + 1, shown + delay
+            if out:
+                yield _batch(out, MEASURES)
+        if facts is not None:
+            yield _batch([closed()], MEASURES)
+
+    timed = frames(stored, as_samples=True)
+    return timed.select("id", "n_bytes", "media_bytes", "media_sha256", "number", "delay_ms", "pixels", "reds", "greens", "blues").mapInArrow(rows, MEASURES)
 
 
 def op3_gif_media(spark: SparkSession, sf_dir: str) -> DataFrame:
