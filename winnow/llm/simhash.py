@@ -110,14 +110,16 @@ def _choose(h: Column, of) -> Column:
 def _variants(nodes: DataFrame, radius: int) -> DataFrame:
     """(v, d): every variant of every word within 1 bit; d holds the left-out bits, then which flip, then which word.
 
-    A fingerprint can be put together from both, so the shuffle carries two numbers a row, one of them short.
+    A fingerprint can be put together from both, so the shuffle carries two numbers a row, one of them short. What differs from
+    variant to variant is a table of constants, so that a row is a few bit operations.
     """
-
-    def of(h: int) -> Column:
-        rest = F.shiftrightunsigned(F.col("fp").bitwiseAND(F.lit(_signed(_mask(h)))), _EDGES[h])
-        return F.transform(_longs(_near(h, radius)), lambda x, k: F.struct(_word(h).bitwiseXOR(x).alias("v"), (rest + F.shiftleft(k.cast("long"), 24) + F.lit(h << 30)).alias("d")))
-
-    return nodes.select(F.inline(F.concat(*[of(h) for h in range(PARTS)])))
+    one = lambda x: F.lit(_signed(x)).cast("long")
+    table = [
+        F.struct(one(~_mask(h) & ((1 << 64) - 1)).alias("keep"), one(flip ^ (h + 1 << _EDGES[h])).alias("turn"), one(_mask(h)).alias("out"), F.lit(_EDGES[h]).alias("low"), one((k << 24) + (h << 30)).alias("what"))
+        for h in range(PARTS)
+        for k, flip in enumerate(_near(h, radius))
+    ]
+    return nodes.select("fp", F.inline(F.array(*table))).select(F.expr("(fp & keep) ^ turn").alias("v"), F.expr("shiftrightunsigned(fp & out, low) + what").alias("d"))
 
 
 def _fingerprint_of(v: str = "v", d: str = "d") -> Column:
@@ -137,7 +139,9 @@ def links(nodes: DataFrame, radius: int = RADIUS, crowd: int = CROWD) -> DataFra
     """
     if not 0 <= radius <= 3:
         raise ValueError("words without a third and one flipped bit reach a radius of 3")
-    rows = _variants(nodes, radius)
+    # so many fingerprints unfold to some two million rows, whatever their few bytes suggest
+    nodes = settle(nodes)
+    rows = _variants(nodes.repartition(-(-nodes.count() // 15_000) or 1, "fp"), radius)
     hot = nodes.select(F.posexplode(F.array(*[_word(h) for h in range(PARTS)])).alias("h", "v")).groupBy("h", "v").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > crowd)
     crowded = settle(hot.select(F.explode(F.transform(_choose(F.col("h"), lambda h: _longs(_near(h, radius))), lambda x: F.col("v").bitwiseXOR(x))).alias("v")).distinct())
     some = not crowded.isEmpty()
