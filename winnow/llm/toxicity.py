@@ -1,11 +1,13 @@
 """Toxicity: a counterfactual-regularised classifier.
 
 A logistic model over the presence of words and of word beginnings, fitted with an L1 penalty that leaves only words that matter and
-with a penalty on (score before - score after)^2 of counterfactual pairs: sentences in which one identity term
-is swapped for another. A neutral mention of a group then moves the score little, however the labels lean.
+with a penalty on (score before - score after)^2 of counterfactual pairs: sentences of the labelled texts in which one identity term
+is swapped for each other of its kind, in four languages. A neutral mention of a group then moves the score little, however the
+labels lean.
 
 The vocabulary and weights come from a bounded sample of labelled rows: the ``max_rows`` smallest by hash of
-the id. Everything else covers all data. The model is a dictionary of at most ``max_features`` weights.
+the id. Words enter the vocabulary that at least ``min_docs`` rows of the sample hold and whose share of label 1 stands out by
+``MIN_STRENGTH`` deviations, the ``max_features`` strongest of them; these are parameters of the fit. Everything else covers all data.
 
 Defined cases: a null or empty text has no words and gets the intercept's score; ids without label, or with a
 null one, don't train; an id labelled more than once trains with each label; with labels of one kind or none
@@ -33,12 +35,14 @@ FOLDS = 5
 MAX_ROWS = 20_000
 MAX_FEATURES = 20_000
 MIN_DOCS = 4
+#: The fit: weight of the L1 penalty, weight of the counterfactual penalty, rounds at most.
+L1, SWAP_PENALTY, ROUNDS = 1e-3, 1.0, 300
 #: A feature enters the fit if its share of label 1 lies so many standard deviations from the sample's.
 MIN_STRENGTH = 3.0
 #: Beginnings of these lengths of longer words are features too.
 STEMS = range(4, 10)
 
-#: Terms that name groups of people, by kind. A swap stays within a kind.
+#: Terms that name groups of people, by kind and language. A swap stays within a line.
 IDENTITY = (
     ("women", "men", "girls", "boys"),
     ("woman", "man", "girl", "boy"),
@@ -49,10 +53,35 @@ IDENTITY = (
     ("immigrants", "refugees", "foreigners", "locals", "natives"),
     ("old", "young", "elderly"),
     ("deaf", "blind", "disabled"),
+    ("femmes", "hommes", "filles", "garçons"),
+    ("femme", "homme", "fille", "garçon"),
+    ("musulmans", "chrétiens", "juifs", "hindous", "bouddhistes", "athées"),
+    ("homosexuels", "hétérosexuels", "lesbiennes", "bisexuels"),
+    ("noirs", "blancs", "arabes", "asiatiques", "africains", "européens"),
+    ("immigrés", "réfugiés", "étrangers"),
+    ("sourds", "aveugles", "handicapés"),
+    ("frauen", "männer", "mädchen", "jungen"),
+    ("frau", "mann"),
+    ("muslime", "christen", "juden", "hindus", "buddhisten", "atheisten"),
+    ("homosexuelle", "heterosexuelle", "lesben", "bisexuelle"),
+    ("schwarze", "weiße", "araber", "asiaten", "afrikaner", "europäer"),
+    ("einwanderer", "flüchtlinge", "ausländer", "einheimische"),
+    ("gehörlose", "blinde", "behinderte"),
+    ("mujeres", "hombres", "niñas", "niños"),
+    ("mujer", "hombre", "niña", "niño"),
+    ("musulmanes", "cristianos", "judíos", "hindúes", "budistas", "ateos"),
+    ("homosexuales", "heterosexuales", "lesbianas", "bisexuales"),
+    ("negros", "blancos", "árabes", "asiáticos", "africanos", "europeos"),
+    ("inmigrantes", "refugiados", "extranjeros"),
+    ("sordos", "ciegos", "discapacitados"),
 )
 
 _LETTERS = re.compile(r"[^\W\d_]+")
-_KIND = {w: kind for kind in IDENTITY for w in kind}
+_ENDS = re.compile(r"[.!?\n]+")
+_KIND: dict[str, tuple[str, ...]] = {}
+for _line in IDENTITY:
+    for _term in _line:
+        _KIND[_term] = tuple(dict.fromkeys((*_KIND.get(_term, ()), *_line)))  # a term of two languages swaps within both lines
 
 
 def words(text: str | None) -> set[str]:
@@ -64,12 +93,29 @@ def features(word: str) -> list[str]:
     return [word, *(word[:k] + "+" for k in STEMS if k < len(word))]
 
 
-def swapped(found: set[str]) -> list[set[str]]:
-    """One counterfactual per identity term of the set: the next term of its kind takes its place."""
-    out = []
-    for w in sorted(found & _KIND.keys()):
-        kind = _KIND[w]
-        out.append((found - {w}) | {kind[(kind.index(w) + 1) % len(kind)]})
+def mentions(text: str | None) -> list[list[str]]:
+    """The distinct sentences of a text that hold identity terms, as sorted words."""
+    found = (words(x) for x in _ENDS.split(text or ""))
+    return [list(x) for x in sorted({tuple(sorted(x)) for x in found if not x.isdisjoint(_KIND)})]
+
+
+def swapped(found: set[str]) -> list[tuple[str, set[str]]]:
+    """The counterfactuals of a sentence: for each identity term, every other term of its kind in its place."""
+    return [(w, (found - {w}) | {t}) for w in sorted(found & _KIND.keys()) for t in _KIND[w] if t != w]
+
+
+def differences(sentences: list[set[str]], at: dict[str, int]) -> Counter:
+    """How often each difference of features occurs over all counterfactual pairs: ((feature, +1 or -1), ...) -> pairs.
+
+    The score before less the score after depends on these features alone, so equal pairs are one row of the fit.
+    """
+    out: Counter = Counter()
+    for s in sentences:
+        times = Counter(f for w in s for f in features(w) if f in at)
+        for w, after in swapped(s):
+            new = {f for x in after - s for f in features(x) if f in at}
+            gone = {f for f in features(w) if f in at and times[f] == 1}
+            out[tuple(sorted([(at[f], 1) for f in gone - new] + [(at[f], -1) for f in new if not times[f]]))] += 1
     return out
 
 
@@ -98,10 +144,13 @@ def _soft(x: np.ndarray, by: float) -> np.ndarray:
     return np.sign(x) * np.maximum(np.abs(x) - by, 0)
 
 
-def fit(examples: list[tuple[set[str], int]], vocabulary: list[str], l1: float = 1e-3, swap_penalty: float = 1.0, rounds: int = 300) -> Model:
-    """Accelerated proximal gradient on mean log loss + swap_penalty * mean swap^2 + l1 * |weights|.
+def fit(
+    examples: list[tuple[set[str], int]], vocabulary: list[str], sentences: list[set[str]] | None = None, l1: float = L1, swap_penalty: float = SWAP_PENALTY, rounds: int = ROUNDS
+) -> Model:
+    """Accelerated proximal gradient on mean log loss + swap_penalty * mean (score before - score after)^2 + l1 * |weights|.
 
-    Classes count alike in the loss.
+    The mean is over all counterfactual pairs of ``sentences`` (by default the examples themselves), and scores are those
+    before the logistic function. Classes count alike in the loss.
     """
     y = np.array([label for _, label in examples], float)
     if not len(y) or y.min() == y.max():
@@ -114,15 +163,11 @@ def fit(examples: list[tuple[set[str], int]], vocabulary: list[str], l1: float =
         return np.repeat(np.arange(len(cols)), [len(c) for c in cols]), np.array([i for c in cols for i in sorted(c)], int)
 
     row, col = sparse([s for s, _ in examples])
-    before, after = [], []
-    for s, _ in examples:
-        for t in swapped(s):
-            before.append(s)
-            after.append(t)
-    (r1, c1), (r2, c2) = sparse(before), sparse(after)
-    d_row, d_col = np.concatenate([r1, r2]), np.concatenate([c1, c2])
-    d_sign = np.concatenate([np.ones(len(c1)), -np.ones(len(c2))])
-    pairs = max(1, len(before))
+    swaps = differences([s for s, _ in examples] if sentences is None else sentences, at)
+    swaps.pop((), None)  # pairs that no feature tells apart cost nothing
+    d_row = np.repeat(np.arange(len(swaps)), [len(x) for x in swaps])
+    d_col, d_sign = np.array([f for x in swaps for f in x], int).reshape(-1, 2).T
+    share = np.array(list(swaps.values()), float) / max(1, sum(swaps.values()))
     n, k = len(y), len(vocabulary)
     weight = np.where(y == 1, 0.5 / y.sum(), 0.5 / (n - y.sum()))
     longest = max(1, np.bincount(row, minlength=n).max(initial=1))
@@ -141,9 +186,9 @@ def fit(examples: list[tuple[set[str], int]], vocabulary: list[str], l1: float =
         g = weight * (1 / (1 + np.exp(-z)) - y)
         grad = np.bincount(col, g[row], k)
         if len(d_col):
-            d = np.bincount(d_row, v[d_col] * d_sign, pairs)
-            loss += swap_penalty * float(d @ d) / pairs
-            grad = grad + np.bincount(d_col, 2 * swap_penalty / pairs * d[d_row] * d_sign, k)
+            d = np.bincount(d_row, v[d_col] * d_sign, len(share))
+            loss += swap_penalty * float(share @ (d * d))
+            grad = grad + np.bincount(d_col, 2 * swap_penalty * (share * d)[d_row] * d_sign, k)
         return loss, grad * scale, float(g.sum())
 
     for _ in range(rounds):
@@ -165,8 +210,11 @@ def fit(examples: list[tuple[set[str], int]], vocabulary: list[str], l1: float =
     return Model(b, {vocabulary[i]: float(v[i]) for i in np.flatnonzero(v)})
 
 
+_ROWS = "label int, words array<string>, mentions array<array<string>>"
+
+
 def training_rows(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic") -> DataFrame:
-    """(label, words) of the bounded sample; rows of the held-out fold are never read."""
+    """(label, words, mentions) of the bounded sample; rows of the held-out fold are never read."""
     fold = F.pmod(F.crc32(F.col("_tx_id").cast("string").cast("binary")), F.lit(FOLDS))
     chosen = (
         labels.select(F.col(id_col).cast("long").alias("_tx_id"), F.col(label_col).cast("int").alias("label"))
@@ -178,14 +226,16 @@ def training_rows(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS,
 
     def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([sorted(words(x)) for x in b.column(1).to_pylist()], pa.list_(pa.string()))], names=["label", "words"])
+            texts = b.column(1).to_pylist()
+            found = pa.array([sorted(words(x)) for x in texts], pa.list_(pa.string()))
+            yield pa.RecordBatch.from_arrays([b.column(0), found, pa.array([mentions(x) for x in texts], pa.list_(pa.list_(pa.string())))], names=["label", "words", "mentions"])
 
-    return joined.select("label", "text").mapInArrow(of, "label int, words array<string>")
+    return joined.select("label", "text").mapInArrow(of, _ROWS)
 
 
-def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, max_features: int = MAX_FEATURES, min_docs: int = MIN_DOCS, swap_penalty: float = 1.0, **cols) -> Model:
+def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, max_features: int = MAX_FEATURES, min_docs: int = MIN_DOCS, swap_penalty: float = SWAP_PENALTY, **cols) -> Model:
     """Fits on the sample. The driver gets at most ``max_rows`` rows of words that bear one of ``max_features`` features."""
-    rows = settle(training_rows(docs, labels, max_rows, **cols).dropDuplicates(["label", "words"]))
+    rows = settle(training_rows(docs, labels, max_rows, **cols).dropDuplicates(["label", "words", "mentions"]))
     total = rows.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("label"), F.lit(0)).alias("n1")).first()
 
     def counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -208,11 +258,23 @@ def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, max_feat
     vocabulary = sorted({r["f"] for r in strong.select("f").collect()} | set(_KIND))
     known = frozenset(vocabulary)
 
-    def bearing(found):
-        return [w for w in found if any(f in known for f in features(w))]
+    def bearing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Leaves out words that bear no feature of the vocabulary."""
+        bears: dict[str, bool] = {}
+
+        def some(found: list[str]) -> list[str]:
+            for w in found:
+                if w not in bears:
+                    bears[w] = any(f in known for f in features(w))
+            return [w for w in found if bears[w]]
+
+        for b in batches:
+            few = pa.array([some(x) for x in b.column(1).to_pylist()], pa.list_(pa.string()))
+            yield pa.RecordBatch.from_arrays([b.column(0), few, pa.array([[some(x) for x in s] for s in b.column(2).to_pylist()], pa.list_(pa.list_(pa.string())))], names=["label", "words", "mentions"])
 
-    examples = [(set(r["words"]), r["label"]) for r in rows.select("label", F.udf(bearing, "array<string>")("words").alias("words")).collect()]
-    return fit(sorted(examples, key=lambda x: (x[1], sorted(x[0]))), vocabulary, swap_penalty=swap_penalty)
+    sample = rows.mapInArrow(bearing, _ROWS).collect()
+    examples = sorted(((set(r["words"]), r["label"]) for r in sample), key=lambda x: (x[1], sorted(x[0])))
+    return fit(examples, vocabulary, [set(s) for r in sample for s in r["mentions"]], swap_penalty=swap_penalty)
 
 
 def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
