@@ -18,12 +18,14 @@ import zlib
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from winnow.functions.textops import spare
 from winnow.llm.common import id_or_low, id_or_null, table, text_key
 from winnow.plans.settle import settle
 
@@ -93,9 +95,9 @@ def _first_occurrences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordB
         yield rows(_CLAIM, ends[:, 0], ends[:, 1], np.array([opened, owner]), np.zeros(2, np.int64), np.zeros(2, np.int32))
 
 
-def _packed(positions: list[int]) -> bytes:
+def _packed(positions: np.ndarray) -> bytes:
     """Bit i, from the lowest of the first byte on, tells whether line i stays; lines beyond the last bit stay."""
-    bits = np.ones((max(positions) // 8 + 1) * 8, np.uint8)
+    bits = np.ones((int(max(positions)) // 8 + 1) * 8, np.uint8)
     bits[positions] = 0
     return zlib.compress(np.packbits(bits, bitorder="little").tobytes(), 6)
 
@@ -120,26 +122,36 @@ def keep_bitmaps(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     claims = marks.where(F.col("kind") == _CLAIM).groupBy("h1", "h2").agg(F.min("doc").alias("owner"))
     late = marks.where(F.col("kind") == _WAIT).join(F.broadcast(claims), ["h1", "h2"]).where("doc > owner")
     drops = marks.where(F.col("kind") == _DROP).select("doc", "tkey", "pos").unionAll(late.select("doc", "tkey", "pos"))
-    return drops.groupBy("doc", "tkey").agg(F.collect_set("pos").alias("at")).select("doc", "tkey", F.udf(_packed, "binary")("at").alias("keep"))
 
+    @F.pandas_udf("binary")
+    def packed(at: pd.Series) -> pd.Series:
+        return at.map(_packed)
 
-def _with_bitmaps(docs: DataFrame, bitmaps: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    keyed = docs.withColumns({"_ld_doc": id_or_low(id_col), "_ld_tkey": text_key(text_col)})
-    found = bitmaps.select(F.col("doc").alias("_ld_doc"), F.col("tkey").alias("_ld_tkey"), F.col("keep").alias("_ld_keep"))
-    return keyed.join(found, ["_ld_doc", "_ld_tkey"], "left")
+    return drops.groupBy("doc", "tkey").agg(F.collect_set("pos").alias("at")).select("doc", "tkey", packed("at").alias("keep"))
+
+
+def _with_bitmaps(docs: DataFrame, bitmaps: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, str, str]:
+    """``docs`` plus keep, under a name that it doesn't have, which comes back as well."""
+    doc, key, keep, bdoc, bkey = (spare(docs, f"_ld_{x}") for x in ("doc", "tkey", "keep", "bdoc", "bkey"))
+    keyed = docs.withColumns({doc: id_or_low(id_col), key: text_key(text_col)})
+    found = bitmaps.select(F.col("doc").alias(bdoc), F.col("tkey").alias(bkey), F.col("keep").alias(keep))
+    return keyed.join(found, (F.col(doc) == F.col(bdoc)) & (F.col(key) == F.col(bkey)), "left"), doc, keep
 
 
 def apply_bitmaps(docs: DataFrame, bitmaps: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``docs`` with the same columns, where texts that lose lines hold what stays, joined by newlines."""
 
-    @F.udf("string")
-    def rebuilt(text, keep):
+    def one(text: str | None, keep: bytes) -> str:
         lines = (text or "").split("\n")
         return "\n".join([x for x, k in zip(lines, kept_lines(keep, len(lines)), strict=True) if k])
 
-    left = _with_bitmaps(docs, bitmaps, id_col, text_col)
-    loses = F.col("_ld_keep").isNotNull()
-    new = F.when(loses, rebuilt(F.when(loses, F.col(text_col)), "_ld_keep")).otherwise(F.col(text_col))  # other texts don't go to Python
+    @F.pandas_udf("string")
+    def rebuilt(text: pd.Series, keep: pd.Series) -> pd.Series:
+        return pd.Series([None if k is None else one(x, k) for x, k in zip(text, keep, strict=True)], dtype=object)
+
+    left, _, keep = _with_bitmaps(docs, bitmaps, id_col, text_col)
+    loses = F.col(keep).isNotNull()
+    new = F.when(loses, rebuilt(F.when(loses, F.col(text_col)), keep)).otherwise(F.col(text_col))  # other texts don't go to Python
     return left.withColumn(text_col, new).select(*docs.columns)
 
 
@@ -163,8 +175,8 @@ def digest(docs: DataFrame, bitmaps: DataFrame, id_col: str = "doc_id", text_col
                 names=["doc_id", "n_lines", "n_dropped", "kept_sha256"],
             )
 
-    joined = _with_bitmaps(docs, bitmaps, id_col, text_col)
-    out = joined.select("_ld_doc", F.col(text_col).cast("string"), "_ld_keep").mapInArrow(
+    joined, doc, keep = _with_bitmaps(docs, bitmaps, id_col, text_col)
+    out = joined.select(doc, F.col(text_col).cast("string"), keep).mapInArrow(
         measured, "doc_id long, n_lines long, n_dropped long, kept_sha256 string"
     )
     return out.withColumn("doc_id", id_or_null("doc_id"))
