@@ -59,7 +59,11 @@ def targets(sizes: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, mo
 
 
 def rates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: str = SEED, **how) -> DataFrame:
-    """``docs`` plus _mx_size, _mx_source_size, _mx_target and _mx_copies."""
+    """``docs`` plus _mx_size, _mx_source_size, _mx_target and _mx_copies; columns of these names are replaced.
+
+    Words are counted once to sum them by source and once on the rows that are returned; nothing is stored in between.
+    """
+    docs = docs.drop("_mx_size", "_mx_source_size", "_mx_target", "_mx_copies", "_mx_source")
     sized = docs.withColumn("_mx_size", size_of(text_col))
     sums = sized.groupBy(F.col(source_col).alias("source")).agg(F.sum("_mx_size").alias("source_size"))
     goal = settle(targets(sums, **how)).select(F.col("source").alias("_mx_source"), F.col("source_size").alias("_mx_source_size"), F.col("target").alias("_mx_target"))
@@ -73,8 +77,9 @@ def rates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sourc
 
 def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: str = SEED, **how) -> DataFrame:
     """``docs`` with its columns, every row as often as the mix takes it."""
-    found = rates(docs, id_col, text_col, source_col, seed, **how)
-    return found.where("_mx_copies > 0").withColumn("_mx_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_mx_copies")))).select(*docs.columns)
+    inner = docs.select(*[F.col(c).alias(f"d_{c}") for c in docs.columns])  # so that no column of theirs is one of ours
+    found = rates(inner, f"d_{id_col}", f"d_{text_col}", f"d_{source_col}", seed, **how)
+    return found.where("_mx_copies > 0").withColumn("_mx_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_mx_copies")))).select(*[F.col(f"d_{c}").alias(c) for c in docs.columns])
 
 
 def op5_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
