@@ -1,8 +1,8 @@
 """Packing by order-preserving dynamic programming.
 
 Documents stay in the order of the table. Their tokens form one stream per input partition, which windows of at
-most ``length`` tokens cover. Window cuts are chosen among document ends, sentence ends and, where neither is
-near, fallback places, so that padding plus penalties for cut documents is least. With P(j) the place of
+most ``length`` tokens cover. Window cuts are chosen among document ends and sentence ends (and, only where a single sentence is
+longer than a window, places inside it), so that padding plus penalties for cut documents is least. With P(j) the place of
 candidate j and c(j) its penalty, cost(j) = c(j) + length - P(j) + min(cost(i) + P(i)) over the i at most
 ``length`` before j; a queue of rising values gives each minimum in constant time.
 
@@ -31,7 +31,7 @@ LENGTH = 2048
 END_ID = 1
 #: Penalties in padding tokens: a document's end costs nothing.
 SENTENCE, ANYWHERE = 24, 96
-#: Where no end of a sentence or document lies within so many tokens, one fallback place is offered each so many.
+#: Where two neighbouring ends lie more than a window apart, so that some cut must fall inside a sentence, a place is offered each so many tokens.
 EVERY = 128
 BLOCK = 256
 
@@ -114,7 +114,7 @@ def cuts(places: np.ndarray, penalties: np.ndarray, total: int, length: int = LE
 
 
 def candidates(ids: np.ndarray, doc_ends: np.ndarray, ends: np.ndarray, length: int = LENGTH) -> tuple[np.ndarray, np.ndarray]:
-    """(places, penalties) of a stream: document ends, sentence ends within documents and fallbacks between distant ones."""
+    """(places, penalties) of a stream: document ends, sentence ends within documents, and fallbacks between ends more than a window apart."""
     penalty = np.full(len(ids) + 1, -1, np.int64)
     penalty[np.flatnonzero(ends[ids]) + 1] = SENTENCE
     natural = penalty >= 0
@@ -122,7 +122,7 @@ def candidates(ids: np.ndarray, doc_ends: np.ndarray, ends: np.ndarray, length:
     natural[0] = natural[len(ids)] = True
     at = np.flatnonzero(natural)
     step = max(1, min(EVERY, length))
-    for i in np.flatnonzero(np.diff(at) > step):
+    for i in np.flatnonzero(np.diff(at) > length):
         extra = np.arange(at[i] + step, at[i + 1], step)
         penalty[extra] = ANYWHERE
     penalty[doc_ends] = 0
