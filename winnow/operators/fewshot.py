@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
+import re
+from collections.abc import Iterator
+from functools import reduce
+
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from winnow.functions.textops import words
 from winnow.operators import lm
-from winnow.plans.settle import settle
+from winnow.plans.settle import bounded, settle
 
 #: Weight of the model against the shots' counts. Shots of a class differ in length, and a light model would let the class with
 #: the fewest shot words win every long text; this value keeps the base model's F1 off that corner.
@@ -49,7 +54,7 @@ def classify(tests: DataFrame, shots: DataFrame, model: lm.Model, mu: float = MU
     terms = seen.select(F.col("seed"), F.col("task"), F.col("label").alias("class"), "term", "k").join(model.sized(), "term", "left")
     gain = F.log((F.col("k") + F.lit(mu) * model.p1(F.col("c"))) / (F.lit(mu) * model.p1(F.col("c"))))
     terms = settle(terms.select("seed", "task", "class", "term", gain.alias("gain")))
-    found = bag(texts, "doc_id").join(F.broadcast(terms), "term")  # shots per run are few, so are their terms
+    found = bag(texts, "doc_id").join(bounded(terms), "term")  # shots per run are few, so are their terms
     corrected = found.groupBy("doc_id", "seed", "task", "class").agg(F.sum(F.col("n") * F.col("gain")).alias("extra"))
     grid = tests.select("task", "doc_id", F.col("label").alias("gold")).join(F.broadcast(priors), "task").join(like, "doc_id", "left")
     scored = grid.join(corrected, ["doc_id", "seed", "task", "class"], "left")
@@ -136,23 +141,77 @@ def copies_as_truths(docs: DataFrame, pairs: DataFrame) -> DataFrame:
 SPANS = {"EMAIL": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9.-]+[.][A-Za-z]{2,}", "IP": r"[0-9]{1,3}[.][0-9]{1,3}[.][0-9]{1,3}[.][0-9]{1,3}", "HEX": r"[0-9a-f]{32,}", "LICENCE": r"(Apache License|MIT License|GPL|CC BY[A-Z-]*)"}
 
 
+_SPAN = "doc_id long, start long, stop long, type string, m string"
+TOKEN = r"[^ \t\r\n]+"
+
+
+def _found(docs: DataFrame, shapes: dict[str, str], text: str) -> DataFrame:
+    """(doc_id, start, stop, type, m): every occurrence of every shape, in code points from 1, ``stop`` exclusive."""
+
+    def matched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ready = [(kind, re.compile(p)) for kind, p in shapes.items()]
+        for b in batches:
+            rows = [(i, m.start() + 1, m.end() + 1, kind, m[0]) for i, x in zip(*(c.to_pylist() for c in b.columns), strict=True) for kind, p in ready for m in p.finditer(x or "")]
+            cols = list(zip(*rows, strict=True)) if rows else [[]] * 5
+            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=[f.split()[0] for f in _SPAN.split(", ")])
+
+    return docs.select("doc_id", text).mapInArrow(matched, _SPAN)
+
+
 def rule_spans(docs: DataFrame, text: str = "text") -> DataFrame:
-    """(doc_id, start, stop, type) of the rule's spans: the k-th distinct match of a shape stands at its first place."""
-    parts = None
-    for kind, pattern in SPANS.items():
-        hit = F.explode(F.array_distinct(F.regexp_extract_all(text, F.lit(pattern), F.lit(0))))
-        part = docs.select("doc_id", text, hit.alias("m")).select("doc_id", F.expr(f"locate(m, {text})").alias("start"), "m", F.lit(kind).alias("type"))
-        parts = part if parts is None else parts.unionByName(part)
-    return parts.select("doc_id", "start", (F.col("start") + F.length("m")).alias("stop"), "type")
+    """(doc_id, start, stop, type, m) of the rule's spans, one row per occurrence. Null texts have none."""
+    return _found(docs, SPANS, text)
+
+
+def token_spans(docs: DataFrame, text: str = "text") -> DataFrame:
+    """The same of a text's tokens between white space, with no type."""
+    return _found(docs, {"": TOKEN}, text).drop("type")
 
 
 def lexicon_spans(shots: DataFrame, tests: DataFrame) -> DataFrame:
-    """Spans found by a lexicon of shape prefixes learned from shots: a token is tagged if a shot span begins with its first characters."""
-    gold = rule_spans(shots).join(shots.select("doc_id", "text"), "doc_id")
-    heads = gold.select("type", F.expr("substring(text, start, 3)").alias("head")).distinct()
-    token = tests.select("doc_id", "text", F.explode(F.array_distinct(F.regexp_extract_all("text", F.lit(r"[^ \t\r\n]+"), F.lit(0)))).alias("m"))
-    found = token.join(F.broadcast(heads), F.substring("m", 1, 3) == F.col("head")).select("doc_id", F.expr("locate(m, text)").alias("start"), "m", "type").distinct()
-    return found.select("doc_id", "start", (F.col("start") + F.length("m")).alias("stop"), "type")
+    """(doc_id, start, stop, type): a token is tagged wherever it occurs if a shot span begins with its first three characters."""
+    heads = rule_spans(shots).select("type", F.substring("m", 1, 3).alias("head")).distinct()
+    return token_spans(tests).withColumn("head", F.substring("m", 1, 3)).join(heads, "head").select("doc_id", "start", "stop", "type")
+
+
+def surprise(strings: DataFrame, model: lm.Model) -> DataFrame:
+    """(m, surprise): mean -ln p of a string's words under the model; strings without words are left out."""
+    w = strings.select("m").distinct().select("m", F.explode(words("m")).alias("term"))
+    return w.join(model.sized(), "term", "left").groupBy("m").agg(F.avg(-F.log(model.p1(F.col("c")))).alias("surprise"))
+
+
+def entity_f1(shots: DataFrame, gold: DataFrame, tokens: DataFrame, model: lm.Model) -> DataFrame:
+    """(seed, f1) of the span task under a model, over exact spans of all types.
+
+    From each run's shots come the spans' first three characters and, by type, how little a span's words surprised the model;
+    a test token is tagged if it begins like a span and surprises the model at least as much. ``gold`` holds the rule's spans of
+    all documents, ``tokens`` those of the test documents.
+    """
+    known = settle(surprise(gold.select("m").unionAll(tokens.select("m")), model))
+    own = shots.select("seed", "doc_id").join(gold, "doc_id").join(known, "m", "left").select("seed", "type", F.substring("m", 1, 3).alias("head"), F.coalesce("surprise", F.lit(0.0)).alias("s"))
+    learned = settle(own.select("seed", "type", "head").distinct().join(own.groupBy("seed", "type").agg(F.min("s").alias("least")), ["seed", "type"]))
+    held = tokens.join(known, "m").withColumn("head", F.substring("m", 1, 3))
+    tagged = held.join(learned, "head").where(F.round("surprise", 9) >= F.round("least", 9)).select("seed", "doc_id", "start", "stop", "type").distinct()
+    true = gold.join(tokens.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "start", "stop", "type").distinct()
+    hits = tagged.join(true, ["doc_id", "start", "stop", "type"], "left_semi").groupBy("seed").agg(F.count(F.lit(1)).alias("tp"))
+    sizes = shots.select("seed").distinct().join(tagged.groupBy("seed").agg(F.count(F.lit(1)).alias("p")), "seed", "left").join(hits, "seed", "left")
+    g = true.count()
+    return sizes.na.fill(0).select("seed", F.coalesce(F.try_divide(2.0 * F.col("tp"), F.col("p") + F.lit(g)), F.lit(0.0)).alias("f1"))
+
+
+def weights_on_pool(pool: DataFrame, model: lm.Model, candidates: tuple[float, ...] = (200.0, 2_000.0, 20_000.0, 200_000.0, 2_000_000.0), seeds: int = 5, shots: int = 5) -> DataFrame:
+    """(mu, f1): how each weight of the model against the shots does within the shot pool, test rows aside.
+
+    One half of the pool, by hash, gives the shots and the other half is classified.
+    """
+    from winnow.functions.textops import hash_uniform
+    from winnow.operators import metrics
+
+    first = hash_uniform("doc_id", "halves") < 0.5
+    drawn, rest = settle(draw_shots(pool.where(first), seeds, shots)), settle(pool.where(~first).select("task", "doc_id", "label", "text"))
+    parts = [metrics.f1(classify(rest, drawn, model, mu), "macro", ("task", "seed")).agg(F.lit(float(mu)).alias("mu"), F.round(F.avg("f1"), 6).alias("f1")) for mu in candidates]
+    return reduce(lambda a, b: a.unionByName(b), parts)
 
 
 def general_items(spark: SparkSession, folder: str) -> dict[str, DataFrame]:

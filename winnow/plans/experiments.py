@@ -56,6 +56,13 @@ class Bench:
         sized = ranked.withColumn("_pool", F.least(F.lit(tasks.POOL), F.floor(F.count(F.lit(1)).over(n) / 3)))
         self.pool = settle(sized.where("rank <= _pool").drop("_pool"))
         self.tests = settle(sized.where("rank > _pool").drop("_pool"))
+        # the entity task: labelled documents that hold spans, a pool and tests among them in the same way
+        marked = settle(self.corpus.join(self.labels.select("doc_id"), "doc_id", "left_semi").select("doc_id", "text"))
+        self.gold = settle(fewshot.rule_spans(marked))
+        holders = tasks.ranked_pool(marked.join(self.gold.select("doc_id").distinct(), "doc_id", "left_semi").select(F.lit("entity").alias("task"), "doc_id", "text", F.lit("").alias("label")))
+        holders = settle(holders.withColumn("_pool", F.least(F.lit(tasks.POOL), F.floor(F.count(F.lit(1)).over(n) / 3))))
+        self.entity_pool, self.entity_tests = holders.where("rank <= _pool").drop("_pool"), holders.where("rank > _pool").drop("_pool")
+        self.entity_tokens = settle(fewshot.token_spans(self.entity_tests.select("doc_id", "text")))
 
     def selection(self, selector: str, mode: str = "hard", fraction: float = 0.1, seed: int = 7) -> DataFrame:
         """(doc_id, n_tokens) of a selection from the corpus."""
@@ -87,11 +94,14 @@ class Bench:
         return lm.continue_training(self.base, self.corpus.join(self.selection(selector, mode, fraction), "doc_id", "left_semi"), gamma)
 
     def few_shot(self, model: lm.Model, seeds: int = 10, shots: int = 5, pool: str = "fixed") -> DataFrame:
-        """(task, seed, f1, accuracy) of a model; 'fresh' draws shots from all training rows instead of the fixed pool."""
+        """(task, seed, f1, accuracy) of a model on the class questions and, with no accuracy, the entity task; 'fresh' draws shots from all training rows instead of the fixed pool."""
         source = self.pool if pool == "fixed" else self.tasks.join(self.tests.select("task", "doc_id"), ["task", "doc_id"], "left_anti")
         pred = fewshot.classify(self.tests, settle(fewshot.draw_shots(source, seeds, shots)), model)
         by = ("task", "seed")
-        return metrics.f1(pred, "macro", by).join(metrics.accuracy(pred, by), list(by))
+        classes = metrics.f1(pred, "macro", by).join(metrics.accuracy(pred, by), list(by))
+        drawn = settle(fewshot.draw_shots(self.entity_pool, seeds, shots))
+        spans = fewshot.entity_f1(drawn, self.gold, self.entity_tokens, model)
+        return classes.unionByName(spans.select(F.lit("entity").alias("task"), "seed", "f1", F.lit(None).cast("double").alias("accuracy")))
 
 
 #: The rows of the selection comparison: selector and mode.
@@ -121,10 +131,10 @@ def comparison_table(grid: DataFrame) -> DataFrame:
     g = grid.withColumn("selector", F.concat_ws("/", "selector", F.nullif("mode", F.lit("")))).withColumn("task", F.when(F.col("task").startswith("lang_"), "language").otherwise(F.col("task")))
     per_seed = g.groupBy("selector", "task", "seed").agg(F.avg("f1").alias("value"))
     per_task = settle(per_seed.groupBy("selector", "task").agg(F.avg("value").alias("value"), F.stddev_samp("value").alias("sd")))
-    wide = per_task.groupBy("selector").pivot("task", ["quality", "toxic", "language"]).agg(F.round(F.first("value"), 6).alias("f1"))
+    wide = per_task.groupBy("selector").pivot("task", ["quality", "toxic", "language", "entity"]).agg(F.round(F.first("value"), 6).alias("f1"))
     avg = metrics.delta_pct(metrics.task_average(per_task))
     out = wide.join(avg, "selector").join(metrics.win_rate(per_task), "selector")
-    return out.select("selector", "quality", "toxic", "language", *[F.round(c, 6).alias(c) for c in ("average", "sd_tasks", "win_rate", "delta_pct")])
+    return out.select("selector", "quality", "toxic", "language", "entity", *[F.round(c, 6).alias(c) for c in ("average", "sd_tasks", "win_rate", "delta_pct")])
 
 
 def gain_and_retention(bench: Bench, rows: tuple = ROWS) -> DataFrame:
@@ -166,7 +176,7 @@ def size_pair(spark: SparkSession, folder: str, seeds: int = 10) -> DataFrame:
     return reduce(lambda a, b: a.unionByName(b), parts)
 
 
-def f1_ablation(bench: Bench, fractions: tuple[float, ...] = (0.01, 0.05, 0.1, 1.0), seeds: int = 3) -> DataFrame:
+def f1_ablation(bench: Bench, fractions: tuple[float, ...] = (0.01, 0.05, 0.1, 0.2, 0.5, 1.0), seeds: int = 10) -> DataFrame:
     """(selector, fraction, f1): mean over tasks and runs as the subset grows."""
     parts = []
     for s in ("uniform_budget", "task_similar", "novelty", "diversity"):

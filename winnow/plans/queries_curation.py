@@ -104,14 +104,20 @@ def repeated_lines(spark, d):
     return out.select("doc_id", F.md5(F.col("text").cast("binary")).alias("text_md5"), "dropped")
 
 
+#: The 5-grams of each document and how many there are.
+GRAMS = dict(
+    w=r"SELECT doc_id, regexp_extract_all(lower(text), '[\p{L}\p{N}]+') AS w FROM corpus",
+    g="SELECT DISTINCT doc_id, g FROM (SELECT doc_id, unnest(list_transform(range(1, greatest(len(w) - 4, 1) + 1), lambda i: array_to_string(w[i:i+4], ' '))) AS g FROM w) WHERE g <> ''",
+    gn="SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id",
+)
+
+
 @query(
     "near_dup_pairs_exact_jaccard",
     sql(
         """SELECT a, b, round(jaccard, 6) AS jaccard FROM (SELECT a, b, c / (x.n + y.n - c)::DOUBLE AS jaccard FROM
         (SELECT p.doc_id AS a, q.doc_id AS b, count(*) AS c FROM g p JOIN g q ON p.g = q.g AND p.doc_id < q.doc_id GROUP BY ALL) JOIN gn x ON a = x.doc_id JOIN gn y ON b = y.doc_id) WHERE jaccard >= 0.8""",
-        w=r"SELECT doc_id, regexp_extract_all(lower(text), '[\p{L}\p{N}]+') AS w FROM corpus",
-        g="SELECT DISTINCT doc_id, g FROM (SELECT doc_id, unnest(list_transform(range(1, greatest(len(w) - 4, 1) + 1), lambda i: array_to_string(w[i:i+4], ' '))) AS g FROM w) WHERE g <> ''",
-        gn="SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id",
+        **GRAMS,
     ),
 )
 def near_dup_pairs_exact_jaccard(spark, d):

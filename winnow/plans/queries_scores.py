@@ -236,11 +236,13 @@ def quantile_cutpoints(spark, d):
     return g.select(F.posexplode("g").alias("i", "c")).select("i", F.round("c", 6).alias("cut"))
 
 
-@query("quantile_kll")
-def quantile_kll(spark, d):
-    return quantiles.normalise(metrics_table.standard(spark, d), "perplexity", "kll").select("doc_id", "q_perplexity")
+def _sketched(name: str, method: str) -> None:
+    @query(name, sql("SELECT doc_id, q_perplexity, true AS close FROM quant"))
+    def sketched(spark, d):
+        """The exact quantile, and whether the sketched one lies within 0.02 of it."""
+        both = quantiles.normalise(quantiles.normalise(metrics_table.standard(spark, d), "perplexity"), "perplexity", method, "near")
+        return both.select("doc_id", "q_perplexity", F.coalesce(F.abs(F.col("near") - F.col("q_perplexity")) <= 0.02 + 1e-9, F.lit(True)).alias("close"))
 
 
-@query("quantile_approx")
-def quantile_approx(spark, d):
-    return quantiles.normalise(metrics_table.standard(spark, d), "perplexity", "approx").select("doc_id", "q_perplexity")
+_sketched("quantile_kll", "kll")
+_sketched("quantile_approx", "approx")

@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
@@ -30,6 +31,27 @@ def settle(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+#: A table goes to every executor if its rows, as Spark holds them, take no more than this.
+BROADCAST_BYTES = 64 << 20
+
+
+def bounded(df: DataFrame, most: int = BROADCAST_BYTES) -> DataFrame:
+    """``df``, a settled or otherwise cheap table, with a broadcast hint if its measured size allows it.
+
+    The size is counted: bytes of strings, binaries and arrays and 16 for any other value. A larger table is left to the join's own choice.
+    """
+    def cost(name: str, kind: str):
+        c = F.col(f"`{name}`")
+        if kind in ("string", "binary"):
+            return F.coalesce(F.octet_length(c), F.lit(0)) + 24
+        if kind.startswith(("array", "map")):
+            return F.octet_length(F.to_json(F.struct(c))) + 24
+        return F.lit(16)
+
+    size = df.agg(F.coalesce(F.sum(sum((cost(n, k) for n, k in df.dtypes), F.lit(32)).cast("long")), F.lit(0)).alias("b")).first()["b"]
+    return F.broadcast(df) if size <= most else df
+
+
 def spread_like(df: DataFrame, scan: DataFrame, key: str) -> DataFrame:
     """``df``, dealt out by ``key`` if ``scan``, the table it comes from, has fewer splits than there are cores.
 
