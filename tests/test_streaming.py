@@ -1,7 +1,8 @@
 from pyspark.sql import functions as F
 
-from winnow.functions.textops import hash_uniform
-from winnow.operators import quantiles
+from winnow.functions.textops import hash_uniform, n_tokens
+from winnow.operators import lm, metrics_table, quantiles, similarity
+from winnow.plans.settle import settle
 from winnow.sources import replay
 from winnow.sources.tables import SCHEMAS, read_table
 from winnow.streaming import refresh
@@ -26,9 +27,35 @@ def test_hard_replay_equals_the_batch_filter(spark, sf):
     assert got == {r.doc_id for r in refresh.scored(docs).where("entropy >= 2.0").collect()}
 
 
-def test_budget_per_period_is_kept(spark, sf):
-    out = refresh.drain(refresh.budgeted(stream(spark, sf), 20_000))
-    assert all(r.t <= 20_000 for r in out.groupBy("period").agg(F.sum("n_tokens").alias("t")).collect()) and out.count() > 0
+def test_budget_per_period_equals_the_sequential_rule(spark, sf):
+    """In order of arrival, each document that still fits, documents longer than an eighth of the budget among them."""
+    for limit in (3_000, 20_000):
+        got = {(str(r.period), r.doc_id) for r in refresh.drain(refresh.budgeted(stream(spark, sf), limit)).collect()}
+        spent, want = {}, set()
+        rows = refresh.arrivals(read_table(spark, sf, "documents")).select("doc_id", "arrival", n_tokens("text").alias("n"), F.date_trunc("day", "arrival").alias("period"))
+        for r in rows.orderBy("arrival", "doc_id").collect():
+            if spent.get(r.period, 0) + r.n <= limit:
+                spent[r.period] = spent.get(r.period, 0) + r.n
+                want.add((str(r.period), r.doc_id))
+        assert got == want and len(want) < rows.count()
+
+
+def test_frozen_scores_equal_the_batch_and_admit_alike(spark, sf):
+    docs = read_table(spark, sf, "documents")
+    model, centre = lm.train(read_table(spark, sf, "conversations")), similarity.centroid(read_table(spark, sf, "benchmark").withColumnRenamed("item_id", "seed_id"))
+    table = metrics_table.score_all(docs, centre, model)
+    frozen = refresh.freeze(model, centre, settle(table))
+    want = {r.doc_id: r for r in table.collect()}
+    for r in refresh.scored_by(docs, frozen).collect():
+        w = want[r.doc_id]
+        assert r.n_tokens == w.n_tokens and abs(r.similarity - w.similarity) < 1e-8 and (r.perplexity is None) == (w.perplexity is None)
+        assert r.perplexity is None or abs(r.perplexity / w.perplexity - 1) < 1e-8
+    batch = refresh.scored_by(docs, frozen)
+    for selector, cut in (("task_similar", 0.05), ("novelty", 2000.0), ("blended", 0.6)):
+        got = {r.doc_id for r in refresh.drain(refresh.admit(stream(spark, sf), frozen, selector, cut).select("doc_id")).collect()}
+        assert got == {r.doc_id for r in batch.where(F.col(refresh.SCORES[selector]) >= cut).collect()} and 0 < len(got) < docs.count()
+    drawn = {r.doc_id for r in refresh.drain(refresh.admit_drawn(stream(spark, sf), frozen, "blended", 0.4).select("doc_id")).collect()}
+    assert drawn == {r.doc_id for r in batch.where(hash_uniform("doc_id", 7) < 0.4 * F.col("blended")).collect()} and drawn
 
 
 def test_replay_source_in_batches_and_as_stream(spark, sf):

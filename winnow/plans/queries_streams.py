@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import functions as F
 
 from winnow.plans.catalog import query
-from winnow.plans.oracle import sql
+from winnow.plans.oracle import sql, uniform
 from winnow.plans.settle import checkpoint_dir
 from winnow.sources.tables import SCHEMAS, read_table
 from winnow.streaming import refresh
@@ -29,12 +29,54 @@ def stream_admit_hard(spark, d):
     return out.select("doc_id", F.round("entropy", 6).alias("entropy"))
 
 
-@query("stream_admit_soft")
+#: Entropy of every arriving document: a copy has that of the text's first row.
+_ARRIVING = "SELECT d.doc_id, m.n_tokens, m.similarity, m.perplexity, m.entropy FROM documents d JOIN corpus c ON c.text = d.text JOIN metrics m ON m.doc_id = c.doc_id"
+
+
+@query(
+    "stream_admit_soft",
+    sql(
+        f"SELECT doc_id, n_tokens FROM (SELECT a.doc_id, a.n_tokens, (SELECT count(*) FROM cuts WHERE i > 0 AND cut <= a.entropy) / 100e0 AS q FROM arriving a WHERE a.entropy IS NOT NULL) WHERE {uniform('doc_id', 7)} < least(1e0, 0.2e0 * q)",
+        arriving=_ARRIVING,
+        cuts="SELECT unnest(range(0, 101)) AS i, unnest(quantile_cont(entropy, [x / 100e0 for x in range(0, 101)])) AS cut FROM arriving",
+    ),
+)
 def stream_admit_soft(spark, d):
-    cuts = refresh.frozen_grid(read_table(spark, d, "documents"))
+    cuts = refresh.frozen_grid(read_table(spark, d, "documents"), "percentile")
     return refresh.drain(refresh.admit_soft(_docs(spark, d), cuts, 0.2).select("doc_id", "n_tokens"))
 
 
+def _frozen(spark, d):
+    from winnow.operators import lm, metrics_table, similarity
+    from winnow.plans.queries_scores import general, seed_of
+
+    return refresh.freeze(lm.train(general(spark, d)), similarity.centroid(seed_of(spark, d)), metrics_table.standard(spark, d))
+
+
+def _register(selector: str, threshold: float) -> None:
+    column = refresh.SCORES[selector]
+
+    @query(f"stream_admit_{column}", sql(f"SELECT doc_id FROM arriving WHERE {column} >= {threshold}", arriving=_ARRIVING))
+    def admitted(spark, d):
+        """The frozen cut of a selector other than entropy on arriving documents, each scored without state."""
+        return refresh.drain(refresh.admit(_docs(spark, d), _frozen(spark, d), selector, threshold).select("doc_id"))
+
+
+_register("task_similar", 0.05)
+_register("novelty", 2000.0)
+
+
+@query("stream_admit_blended")
+def stream_admit_blended(spark, d):
+    return refresh.drain(refresh.admit(_docs(spark, d), _frozen(spark, d), "blended", 0.6).select("doc_id"))
+
+
+@query("stream_admit_drawn")
+def stream_admit_drawn(spark, d):
+    """Coin flips by the blended score."""
+    return refresh.drain(refresh.admit_drawn(_docs(spark, d), _frozen(spark, d), "blended", 0.2).select("doc_id"))
+
+
 @query("stream_dedup", "SELECT count(DISTINCT text) AS docs FROM documents")
 def stream_dedup(spark, d):
     """With a horizon beyond all arrivals, what stays is one row per text."""
@@ -56,7 +98,11 @@ def stream_sliding(spark, d):
     return refresh.drain(refresh.sliding(_events(spark, d)), "complete").select(F.col("start").cast("timestamp_ntz").alias("start"), "n")
 
 
-@query("stream_session")
+@query(
+    "stream_session",
+    "WITH g AS (SELECT user_id, ts, sum(CASE WHEN before IS NULL OR ts >= before + INTERVAL 30 MINUTE THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM (SELECT user_id, ts, lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS before FROM events))"
+    " SELECT user_id, min(ts) AS start, count(*) AS n FROM g GROUP BY user_id, k HAVING max(ts) + INTERVAL 30 MINUTE <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR",
+)
 def stream_session(spark, d):
     return refresh.drain(refresh.sessions(_events(spark, d)), "append").select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "n")
 
