@@ -9,6 +9,7 @@ from winnow.operators import baselines, lm, metrics_table, quantiles, select, si
 from winnow.operators.ranking import ranked, running_total
 from winnow.plans import spec
 from winnow.plans.settle import settle
+from winnow.sources import tables
 from winnow.sources.tables import read_table
 
 DOCS = [(1, "bank loan bank rate"), (2, "rate rises"), (3, "tree tree leaf"), (4, "loan")]
@@ -208,3 +209,44 @@ def test_recipe_writes_shards_and_manifest(spark, sf, tmp_path):
     assert sorted(r.doc_id for r in back.select("doc_id").collect()) == sorted(r.doc_id for r in chosen.collect())
     assert "blended" in spark.read.text(f"{tmp_path}/manifest").first()["value"]
     assert spec.choose_route(10, 10)["model"] == "broadcast" and spec.choose_route(10**9, 10)["model"] != "broadcast"
+
+
+def test_lines_filings_and_the_metric_store(spark, sf, tmp_path):
+    docs = read_table(spark, sf, "documents")
+    docs.write.json(str(tmp_path / "lines"))
+    back = tables.read_lines(spark, str(tmp_path / "lines"), tables.SCHEMAS["documents"])
+    assert sorted(map(str, back.collect())) == sorted(map(str, docs.collect()))
+    (tmp_path / "bad").mkdir()
+    (tmp_path / "bad" / "x.json").write_text('{"doc_id": 1, "text": "a"\n')
+    with pytest.raises(Exception, match="(?i)malformed|FAILED_READ_FILE"):
+        tables.read_lines(spark, str(tmp_path / "bad"), tables.SCHEMAS["documents"]).collect()
+    (tmp_path / "filings").mkdir()
+    for k, text in enumerate(("one\ntwo\n", "", "x")):
+        (tmp_path / "filings" / f"{k}.txt").write_text(text)
+    found = {r.path.rsplit("/", 1)[1]: r.text for r in tables.read_filings(spark, str(tmp_path / "filings")).collect()}
+    assert found["0.txt"] == "one\ntwo\n" and found["2.txt"] == "x"
+    m = metrics_table.standard(spark, sf)
+    spark.sql(f"CREATE DATABASE IF NOT EXISTS winnow_test LOCATION '{tmp_path}/store'")
+    tables.save_metrics(m, "winnow_test.metrics", "first", 4)
+    try:
+        kept = spark.table("winnow_test.metrics")
+        assert kept.where("snapshot = 'first'").count() == m.count() and set(m.columns) < set(kept.columns)
+    finally:
+        spark.sql("DROP DATABASE winnow_test CASCADE")
+
+
+def test_large_models_and_seeds_score_as_small_ones(spark, sf, monkeypatch):
+    """The joins that serve tables too large for a broadcast give the same scores."""
+    docs = read_table(spark, sf, "documents")
+    seed = read_table(spark, sf, "benchmark").withColumnRenamed("item_id", "seed_id")
+    general = read_table(spark, sf, "conversations")
+    ids = lambda df, *c: sorted((tuple(None if v is None else round(v, 6) for v in (r[x] for x in ("doc_id", *c))) for r in df.collect()), key=str)
+    small = [lm.train(general, o) for o in (1, 2)]
+    want = [ids(lm.perplexity(docs, m), "perplexity") for m in small], ids(similarity.score_each(docs, seed, "max"), "similarity"), ids(metrics_table.score_all(docs, similarity.centroid(seed), small[0]), "similarity", "perplexity")
+    monkeypatch.setattr(lm, "TERMS_BROADCAST", 10)
+    monkeypatch.setattr(lm, "fits", lambda df: False)
+    monkeypatch.setattr(similarity, "SEED_ENTRIES", 10)
+    large = [lm.train(general, o) for o in (1, 2)]
+    assert not large[0].small
+    got = [ids(lm.perplexity(docs, m), "perplexity") for m in large], ids(similarity.score_each(docs, seed, "max"), "similarity"), ids(metrics_table.score_all(docs, similarity.centroid(seed), large[0]), "similarity", "perplexity")
+    assert got == want

@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -126,3 +127,17 @@ def _over_batches(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
     tagger = Tagger()  # one memo per task
     for texts in batches:
         yield texts.map(lambda x: None if x is None else tagger.entropy(x)).astype(float)
+
+
+def mean_vector(vector: Column | str) -> Column:
+    """The mean of a group's vectors, as a grouped aggregate: the Arrow twin of ``vectors.mean``. Null vectors are left out; a group of none has null.
+
+    A group's vectors reach one task; for groups of any size use the native form, which is partially aggregated.
+    """
+
+    @F.pandas_udf("array<double>")
+    def mean(v: pd.Series) -> list[float]:
+        some = [x for x in v if x is not None]
+        return np.mean(np.stack(some).astype(float), axis=0).tolist() if some else None
+
+    return mean(vector)

@@ -2,17 +2,21 @@
 
 from __future__ import annotations
 
+from collections import Counter
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from winnow.functions.textops import words
-from winnow.plans.settle import settle
+from winnow.operators.skew import salted_join
+from winnow.plans.settle import fits, settle
 
-#: Up to so many distinct terms a model is sent to every executor (some 300 MB at most); beyond it terms are joined by shuffle.
-TERMS_BROADCAST = 5_000_000
+#: Up to so many distinct terms, and if their bytes fit as well, a model is sent to every executor; beyond it terms are joined by shuffle.
+TERMS_BROADCAST = 1_000_000
 
 
 @dataclass(frozen=True)
@@ -25,6 +29,7 @@ class Model:
     vocabulary: int
     alpha: float = 1.0
     lam: float = 0.5
+    small: bool = True  # whether the unigram table may be broadcast
 
     @property
     def order(self) -> int:
@@ -34,8 +39,14 @@ class Model:
         return (F.coalesce(count, F.lit(0)) + F.lit(self.alpha)) / F.lit(self.total + self.alpha * (self.vocabulary + 1))
 
     def sized(self) -> DataFrame:
-        """The unigram table, with a broadcast hint if its number of terms allows it."""
-        return F.broadcast(self.unigrams) if self.vocabulary <= TERMS_BROADCAST else self.unigrams
+        """The unigram table, with a broadcast hint if its number of terms and their bytes allow it."""
+        return F.broadcast(self.unigrams) if self.small else self.unigrams
+
+    def looked_up(self, rows: DataFrame) -> DataFrame:
+        """``rows`` with a column term, plus c, its count or null. A large model is joined by shuffle with its frequent words dealt out."""
+        if self.small:
+            return rows.join(F.broadcast(self.unigrams), "term", "left")
+        return salted_join(rows, self.unigrams, ["term"], max(self.total, 1), self.unigrams.select("term", F.col("c").alias("n")), how="left")
 
 
 def unigram_counts(texts: DataFrame, text: str = "text") -> DataFrame:
@@ -51,7 +62,8 @@ def bigram_counts(texts: DataFrame, text: str = "text") -> DataFrame:
 def _model(unigrams: DataFrame, bigrams: DataFrame | None, alpha: float, lam: float) -> Model:
     unigrams = settle(unigrams)
     t = unigrams.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("v")).first()
-    return Model(unigrams, None if bigrams is None else settle(bigrams), int(t["n"]), int(t["v"]), alpha, lam)
+    small = int(t["v"]) <= TERMS_BROADCAST and fits(unigrams)
+    return Model(unigrams, None if bigrams is None else settle(bigrams), int(t["n"]), int(t["v"]), alpha, lam, small)
 
 
 def train(texts: DataFrame, order: int = 1, alpha: float = 1.0, lam: float = 0.5, min_count: int = 1, text: str = "text") -> Model:
@@ -80,23 +92,41 @@ def log_likelihood(texts: DataFrame, model: Model, key: str = "doc_id", text: st
     """(key, n_tokens, ll): summed ln p of a text's words; texts without words are left out.
 
     Words are exploded, joined and summed back. The rows of a text leave the explode together, so partial
-    aggregation hands about one row per text to the shuffle; order 2 joins the bigram counts by shuffle.
+    aggregation hands about one row per text to the shuffle. For order 2 the pairs of a text are counted within its row first, so
+    each of its distinct pairs is one row of the join; a bigram table that doesn't fit a broadcast is joined with frequent pairs dealt out.
     """
     if model.order == 1:
         terms = texts.select(F.col(key).alias("_k"), F.explode(words(text)).alias("term"))
-        p = terms.join(model.sized(), "term", "left").select("_k", F.log(model.p1(F.col("c"))).alias("lp"))
+        p = model.looked_up(terms).select("_k", F.lit(1).cast("long").alias("n"), F.log(model.p1(F.col("c"))).alias("lp"))
     else:
-        w = words(text)
-        before = F.concat(F.array(F.lit(None).cast("string")), F.slice(w, F.lit(1), F.greatest(F.size(w) - 1, F.lit(0))))
-        terms = texts.select(F.col(key).alias("_k"), w.alias("w"), before.alias("b")).where(F.size("w") > 0).select("_k", F.explode(F.arrays_zip("w", "b")).alias("z")).select("_k", F.col("z.w").alias("term"), F.col("z.b").alias("prev"))
+        pairs = _counted_pairs(texts, key, text)
         prior = model.unigrams.select(F.col("term").alias("prev"), F.col("c").alias("c_prev"))
-        prior = F.broadcast(prior) if model.vocabulary <= TERMS_BROADCAST else prior
         bi = model.bigrams.select("prev", "term", F.col("c").alias("c2"))
-        j = terms.join(model.sized(), "term", "left").join(prior, "prev", "left").join(bi, ["prev", "term"], "left")
+        j = model.looked_up(pairs)
+        if model.small:
+            j = j.join(F.broadcast(prior), "prev", "left")
+        else:
+            j = salted_join(j, prior, ["prev"], max(model.total, 1), prior.select("prev", F.col("c_prev").alias("n")), how="left")
+        j = j.join(F.broadcast(bi), ["prev", "term"], "left") if fits(bi) else salted_join(j, bi, ["prev", "term"], max(model.total, 1), bi.select("prev", "term", F.col("c2").alias("n")), how="left")
         p1 = model.p1(F.col("c"))
         p2 = F.lit(model.lam) * F.coalesce("c2", F.lit(0)) / F.col("c_prev") + F.lit(1 - model.lam) * p1
-        p = j.select("_k", F.log(F.when(F.col("c_prev") > 0, p2).otherwise(p1)).alias("lp"))
-    return p.groupBy(F.col("_k").alias(key)).agg(F.count(F.lit(1)).alias("n_tokens"), F.sum("lp").alias("ll"))
+        p = j.select("_k", F.col("times").alias("n"), F.log(F.when(F.col("c_prev") > 0, p2).otherwise(p1)).alias("lp"))
+    return p.groupBy(F.col("_k").alias(key)).agg(F.sum("n").alias("n_tokens"), F.sum(F.col("n") * F.col("lp")).alias("ll"))
+
+
+def _counted_pairs(texts: DataFrame, key: str, text: str) -> DataFrame:
+    """(_k, prev, term, times): the distinct pairs of neighbouring words of each text, the first word's with no prev."""
+    kind = dict(texts.dtypes)[key]
+
+    def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for at in range(0, b.num_rows, 512):  # bounds what one batch unfolds to
+                part = b.slice(at, 512)
+                rows = [(k, x, y, n) for k, w in enumerate(part.column(1).to_pylist()) for (x, y), n in Counter(zip([None, *w], w, strict=False)).items()]
+                which, prev, term, times = zip(*rows, strict=True) if rows else ((), (), (), ())
+                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(which, pa.int64())), pa.array(prev, pa.string()), pa.array(term, pa.string()), pa.array(times, pa.int64())], names=["_k", "prev", "term", "times"])
+
+    return texts.select(F.col(key), words(text).alias("w")).mapInArrow(counted, f"_k {kind}, prev string, term string, times long")
 
 
 def perplexity(texts: DataFrame, model: Model, key: str = "doc_id", text: str = "text") -> DataFrame:

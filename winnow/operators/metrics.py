@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from winnow.functions.textops import words
+from winnow.plans.settle import bounded
 
 GROUPS = ("selector", "task", "seed")
 
@@ -149,8 +150,8 @@ def contamination(docs: DataFrame, benchmark: DataFrame, k: int = 8) -> DataFram
         grams = part if grams is None else grams.unionAll(part)
     if grams is None:
         return docs.select("doc_id", f.lit(None).cast("long").alias("item_id")).where(f.lit(False))
-    met = grams.join(f.broadcast(first.select("item_id", "g")), "g").select("doc_id", "item_id").distinct()
-    j = met.join(docs.select("doc_id", "text"), "doc_id").join(f.broadcast(items.select("item_id", "passage")), "item_id")
+    met = grams.join(bounded(first.select("item_id", "g")), "g").select("doc_id", "item_id").distinct()
+    j = met.join(docs.select("doc_id", "text"), "doc_id").join(bounded(items.select("item_id", "passage")), "item_id")
     return j.where(f.contains("text", "passage")).select("doc_id", "item_id")
 
 

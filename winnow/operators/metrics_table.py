@@ -7,9 +7,8 @@ from pyspark.sql import functions as F
 
 from winnow.functions.textops import once, sum_of_squared_counts, words
 from winnow.operators import diversity, lm, similarity
-from winnow.plans.settle import settle, spread_like
-
-TERMS = 5_000_000
+from winnow.operators.skew import salted_join
+from winnow.plans.settle import fits, settle, spread_like
 
 
 def score_all(docs: DataFrame, centre: DataFrame, model: lm.Model, tagset: str = "pos") -> DataFrame:
@@ -26,12 +25,13 @@ def score_all(docs: DataFrame, centre: DataFrame, model: lm.Model, tagset: str =
     rows = once(docs.select("doc_id", "text").withColumn("_h", diversity.entropy_column("text", tagset)), _w=words("text"))
     rows = rows.select("doc_id", "_w", "_h", F.sqrt(sum_of_squared_counts(F.col("_w")).cast("double")).alias("_norm"))
     each = rows.select("doc_id", "_h", "_norm", F.explode_outer("_w").alias("term"))
-    known = F.broadcast(terms) if size["n"] <= TERMS else terms
+    if size["n"] <= lm.TERMS_BROADCAST and fits(terms):
+        met = each.join(F.broadcast(terms), "term", "left")
+    else:
+        met = salted_join(each, terms, ["term"], max(model.total, 1), model.unigrams.select("term", F.col("c").alias("n")), how="left")
     lp = F.when(F.col("term").isNotNull(), F.log(model.p1(F.col("_c"))))
-    agg = (
-        each.join(known, "term", "left")
-        .groupBy("doc_id")
-        .agg(F.count("term").alias("n_tokens"), F.sum("_wt").alias("_dot"), F.max("_norm").alias("_norm"), F.sum(lp).alias("_ll"), F.max("_h").alias("entropy"))
+    agg = met.groupBy("doc_id").agg(
+        F.count("term").alias("n_tokens"), F.sum("_wt").alias("_dot"), F.max("_norm").alias("_norm"), F.sum(lp).alias("_ll"), F.max("_h").alias("entropy")
     )
     cos = F.when(F.col("_norm") > 0, F.coalesce("_dot", F.lit(0.0)) / (F.col("_norm") * F.lit(size["norm"]))).otherwise(F.lit(0.0))
     ppl = F.when(F.col("n_tokens") > 0, F.exp(-F.col("_ll") / F.col("n_tokens")))

@@ -2,17 +2,25 @@
 
 from __future__ import annotations
 
+import math
+from collections import Counter
+from collections.abc import Iterator
+
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from winnow.functions import vectors
 from winnow.functions.textops import sum_of_squared_counts, words
-from winnow.plans.settle import settle
+from winnow.plans.settle import bounded, fits, settle
 
 POOLS = ("centroid", "max", "mean", "per_task_max")
-#: Seed terms up to this number are sent to every executor; a seed is a task's text, some 10^5 words.
-SEED_BROADCAST = 5_000_000
+#: Seed terms up to this number, if their bytes fit as well, are sent to every executor; a seed is a task's text, some 10^5 words.
+SEED_BROADCAST = 1_000_000
+#: Weights of all seed texts together up to which they go to every task as arrays, some 60 MB.
+SEED_ENTRIES = 5_000_000
 
 
 def sparse_tf(texts: DataFrame, key: str = "doc_id", text: str = "text", idf: DataFrame | None = None) -> DataFrame:
@@ -62,7 +70,7 @@ def score(docs: DataFrame, centre: DataFrame, key: str = "doc_id", text: str = "
     norm = centre.agg(F.coalesce(F.sqrt(F.sum(F.col("w") * F.col("w"))), F.lit(0.0)).alias("n"), F.count(F.lit(1)).alias("c")).first()
     if not norm["n"]:
         raise ValueError("the seed has no words")
-    terms = F.broadcast(centre) if norm["c"] <= SEED_BROADCAST else centre
+    terms = F.broadcast(centre) if norm["c"] <= SEED_BROADCAST and fits(centre) else centre
     w = words(text)
     rows = docs.select(F.col(key), w.alias("_w")).select(key, "_w", F.sqrt(sum_of_squared_counts(F.col("_w")).cast("double")).alias("_norm"))
     words_of = rows.select(key, "_norm", F.explode_outer("_w").alias("term"))
@@ -72,13 +80,63 @@ def score(docs: DataFrame, centre: DataFrame, key: str = "doc_id", text: str = "
 
 
 def score_each(docs: DataFrame, seed: DataFrame, pool: str, key: str = "doc_id", seed_key: str = "seed_id") -> DataFrame:
-    """(key, similarity): max or mean over the seed texts of the cosine with each, over shared terms only."""
+    """(key, similarity): max or mean over the seed texts of the cosine with each; 0 for a text without words.
+
+    The seed's unit vectors go to every task as arrays, and a document's cosines are summed within its row, so nothing is shuffled.
+    A seed of more than SEED_ENTRIES weights is joined by its terms instead.
+    """
     u = settle(unit(sparse_tf(seed, seed_key), seed_key))
-    n = u.select(seed_key).distinct().count()
-    d = unit(sparse_tf(docs, key), key)
-    dots = d.join(F.broadcast(u.select(seed_key, "term", F.col("w").alias("v"))), "term").groupBy(key, seed_key).agg(F.sum(F.col("w") * F.col("v")).alias("cos"))
-    best = dots.groupBy(key).agg(F.max("cos").alias("top"), (F.sum("cos") / F.lit(float(n))).alias("mean"))
-    return docs.select(key).join(best, key, "left").select(key, F.coalesce("top" if pool == "max" else "mean", F.lit(0.0)).alias("similarity"))
+    size = u.agg(F.count(F.lit(1)).alias("n"), F.count_distinct(seed_key).alias("k")).first()
+    if size["n"] > SEED_ENTRIES:
+        d = unit(sparse_tf(docs, key), key)
+        dots = d.join(u.select(seed_key, "term", F.col("w").alias("v")), "term").groupBy(key, seed_key).agg(F.sum(F.col("w") * F.col("v")).alias("cos"))
+        best = dots.groupBy(key).agg(F.max("cos").alias("top"), (F.sum("cos") / F.lit(float(size["k"]))).alias("mean"))
+        return docs.select(key).join(best, key, "left").select(key, F.coalesce("top" if pool == "max" else "mean", F.lit(0.0)).alias("similarity"))
+    number: dict = {}
+    by_term: dict[str, tuple[list, list]] = {}
+    for r in u.toLocalIterator():
+        rows, values = by_term.setdefault(r["term"], ([], []))
+        rows.append(number.setdefault(r[seed_key], len(number)))
+        values.append(r["w"])
+    seeds = {t: (np.array(a, np.int32), np.array(b)) for t, (a, b) in by_term.items()}
+    shared, k = docs.sparkSession.sparkContext.broadcast(seeds), max(len(number), 1)
+
+    @F.pandas_udf("double")
+    def pooled(lists: pd.Series) -> pd.Series:
+        known = shared.value
+
+        def one(found) -> float:
+            n = Counter(found)
+            hits = [(known[t], c) for t, c in n.items() if t in known]
+            if not hits:
+                return 0.0
+            dots = np.bincount(np.concatenate([h[0] for h, _ in hits]), np.concatenate([h[1] * c for h, c in hits]), k)
+            return float(dots.max() if pool == "max" else dots.sum() / k) / math.sqrt(sum(c * c for c in n.values()))
+
+        return lists.map(one).astype(float)
+
+    return docs.select(F.col(key), pooled(words("text")).alias("similarity"))
+
+
+def score_weighted(docs: DataFrame, centre: DataFrame, idf: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(key, similarity) with counts times idf: a text's terms are counted within its row, and its norm and dot product are summed together."""
+    kind = dict(docs.dtypes)[key]
+
+    def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for at in range(0, b.num_rows, 512):  # bounds what one batch unfolds to
+                part = b.slice(at, 512)
+                rows = [(i, t, float(n)) for i, w in enumerate(part.column(1).to_pylist()) for t, n in Counter(w).items()]
+                which, term, n = zip(*rows, strict=True) if rows else ((), (), ())
+                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(which, pa.int64())), pa.array(term, pa.string()), pa.array(n, pa.float64())], names=["k", "term", "n"])
+
+    centre = settle(centre)
+    norm = centre.agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("n")).first()["n"]
+    table = settle(idf.join(centre.select("term", F.col("w").alias("v")), "term", "left"))
+    each = docs.select(F.col(key), words(text).alias("w")).mapInArrow(counted, f"k {kind}, term string, n double").join(bounded(table), "term")
+    sums = each.groupBy("k").agg(F.sum(F.col("n") * F.col("idf") * F.coalesce("v", F.lit(0.0))).alias("dot"), F.sqrt(F.sum(F.pow(F.col("n") * F.col("idf"), 2))).alias("size"))
+    found = sums.select(F.col("k").alias(key), F.coalesce(F.try_divide(F.col("dot"), F.col("size") * F.lit(norm)), F.lit(0.0)).alias("s"))
+    return docs.select(key).join(found, key, "left").select(key, F.coalesce("s", F.lit(0.0)).alias("similarity"))
 
 
 def similarity(docs: DataFrame, seed: DataFrame, pool: str = "centroid", weighting: str = "by_document", idf: DataFrame | None = None) -> DataFrame:
@@ -88,11 +146,7 @@ def similarity(docs: DataFrame, seed: DataFrame, pool: str = "centroid", weighti
     if pool in ("max", "mean"):
         return score_each(docs, seed, pool)
     if idf is not None:
-        c = settle(centroid(seed, weighting=weighting, idf=idf))
-        n = c.agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("n")).first()["n"]
-        d = unit(sparse_tf(docs, idf=idf), "doc_id")
-        dots = d.join(F.broadcast(c.select("term", F.col("w").alias("v"))), "term").groupBy("doc_id").agg((F.sum(F.col("w") * F.col("v")) / F.lit(n)).alias("s"))
-        return docs.select("doc_id").join(dots, "doc_id", "left").select("doc_id", F.coalesce("s", F.lit(0.0)).alias("similarity"))
+        return score_weighted(docs, centroid(seed, weighting=weighting, idf=idf), idf)
     if pool == "per_task_max":
         c = settle(centroid(seed, by="task"))
         out = None
@@ -116,8 +170,6 @@ def hashed_mean(texts: DataFrame, key: str = "doc_id", text: str = "text") -> Da
     """(key, vec): mean over a text's words of hashed +-1 vectors, in one Arrow pass over the rows."""
     import hashlib
 
-    import numpy as np
-
     @F.pandas_udf("array<double>")
     def mean(lists: pd.Series) -> pd.Series:
         known: dict[str, np.ndarray] = {}

@@ -15,13 +15,13 @@ HEAVY_KEYS = 10_000
 LEAST = 64
 
 
-def salted_join(left: DataFrame, right: DataFrame, keys: Sequence[str], total: int, counts: DataFrame | None = None, least: int = LEAST) -> DataFrame:
-    """The inner join of ``left`` and ``right`` on ``keys``, in which no task gets more than a small share of ``left`` for one key.
+def salted_join(left: DataFrame, right: DataFrame, keys: Sequence[str], total: int, counts: DataFrame | None = None, least: int = LEAST, how: str = "inner") -> DataFrame:
+    """The inner (or, by ``how``, left) join of ``left`` and ``right`` on ``keys``, in which no task gets more than a small share of ``left`` for one key.
 
     A key of more than total / HEAVY_KEYS rows of ``left`` (``total`` rows in all) has its rows dealt by hash over enough salts,
     and its rows of ``right`` copied once for each. Heavy keys are HEAVY_KEYS at most, so their list is broadcast; copies of ``right``
     rows are at most 2 * HEAVY_KEYS times the rows that share a heavy key. ``counts`` (keys, n) gives the rows of ``left`` by key where
-    they are known. Null keys meet nothing; rows that repeat in ``left`` are each joined, by the salt of one.
+    they are known, or a good guess of them. Null keys meet nothing; rows that repeat in ``left`` are each joined, by the salt of one.
     """
     keys = list(keys)
     per = max(least, -(-total // HEAVY_KEYS))
@@ -32,4 +32,4 @@ def salted_join(left: DataFrame, right: DataFrame, keys: Sequence[str], total: i
     others = [c for c in left.columns if c not in keys] or keys
     dealt = left.join(heavy, keys, "left").withColumn(salt, F.when(F.col(salts).isNull(), 0).otherwise(F.pmod(F.xxhash64(*others), F.col(salts)).cast("int"))).drop(salts)
     copied = right.join(heavy, keys, "left").withColumn(salt, F.explode(F.sequence(F.lit(0), F.coalesce(F.col(salts), F.lit(1)) - 1))).drop(salts)
-    return dealt.join(copied, [*keys, salt]).drop(salt)
+    return dealt.join(copied, [*keys, salt], how).drop(salt)

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -9,7 +11,7 @@ from winnow.functions import vectors
 from winnow.functions.textops import words
 from winnow.operators import lm, metrics_table, select
 from winnow.plans.catalog import query
-from winnow.plans.oracle import hard_body, soft_body, sql
+from winnow.plans.oracle import hard_body, soft_body, sql, uniform
 from winnow.plans.queries_scores import corpus, general
 from winnow.plans.settle import checkpoint_dir, settle
 from winnow.sources import tables
@@ -416,6 +418,22 @@ def op_window_session(spark, d):
     return e.groupBy("user_id", "s").agg(F.min("ts").alias("start"), F.count(F.lit(1)).alias("n")).drop("s")
 
 
+@query("op_udf_grouped_mean", "SELECT label, i::INT AS i, round(avg(embedding[i + 1]::DOUBLE), 5) AS mean FROM embeddings, range(0, 64) t(i) GROUP BY ALL")
+def op_udf_grouped_mean(spark, d):
+    from winnow.functions.udfs import mean_vector
+
+    m = t(spark, d, "embeddings").groupBy("label").agg(mean_vector("embedding").alias("m"))
+    return m.select("label", F.posexplode("m").alias("i", "mean")).select("label", "i", F.round("mean", 5).alias("mean"))
+
+
+@query("io_lines", "SELECT doc_id, md5(text) AS text_md5, lang, source, n_chars FROM documents")
+def io_lines(spark, d):
+    """Documents written as JSON lines and read back by the strict reader with its declared schema."""
+    folder = f"{checkpoint_dir(spark)}/lines-{uuid.uuid4().hex}"
+    t(spark, d, "documents").write.json(folder)
+    return tables.read_lines(spark, folder, tables.SCHEMAS["documents"]).select("doc_id", F.md5(F.col("text").cast("binary")).alias("text_md5"), "lang", "source", "n_chars")
+
+
 @query("op_udf_arrow", "SELECT doc_id, length(text)::BIGINT AS n FROM documents")
 def op_udf_arrow(spark, d):
     from winnow.functions.udfs import code_points
@@ -468,7 +486,13 @@ for _kind in tables.FORMATS:
     query(f"io_roundtrip_{_kind}", "SELECT doc_id, md5(text) AS text_md5, lang, source, n_chars FROM documents")(_roundtrip(_kind))
 
 
-@query("io_shards")
+@query(
+    "io_shards",
+    sql(
+        f"SELECT least(floor({uniform('doc_id', 7)} * n), n - 1)::INT AS shard, count(*) AS docs, sum(n_tokens)::BIGINT AS tokens FROM sized CROSS JOIN (SELECT greatest(1, ceil(sum(n_tokens) / 50000e0)) AS n FROM sized) GROUP BY shard",
+        sized="SELECT doc_id, coalesce(n_tokens, 0) AS n_tokens FROM (SELECT doc_id FROM corpus) LEFT JOIN len USING (doc_id)",
+    ),
+)
 def io_shards(spark, d):
     from winnow.functions.textops import n_tokens
 

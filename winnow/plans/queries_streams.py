@@ -62,8 +62,8 @@ def _register(selector: str, threshold: float) -> None:
         return refresh.drain(refresh.admit(_docs(spark, d), _frozen(spark, d), selector, threshold).select("doc_id"))
 
 
-_register("task_similar", 0.05)
-_register("novelty", 2000.0)
+_register("task_similar", 0.4)
+_register("novelty", 6000.0)
 
 
 @query("stream_admit_blended")

@@ -35,11 +35,9 @@ def settle(df: DataFrame) -> DataFrame:
 BROADCAST_BYTES = 64 << 20
 
 
-def bounded(df: DataFrame, most: int = BROADCAST_BYTES) -> DataFrame:
-    """``df``, a settled or otherwise cheap table, with a broadcast hint if its measured size allows it.
+def fits(df: DataFrame, most: int = BROADCAST_BYTES) -> bool:
+    """Whether a settled or otherwise cheap table may go to every executor, by its counted size: bytes of strings, binaries and arrays and 16 for any other value."""
 
-    The size is counted: bytes of strings, binaries and arrays and 16 for any other value. A larger table is left to the join's own choice.
-    """
     def cost(name: str, kind: str):
         c = F.col(f"`{name}`")
         if kind in ("string", "binary"):
@@ -49,7 +47,12 @@ def bounded(df: DataFrame, most: int = BROADCAST_BYTES) -> DataFrame:
         return F.lit(16)
 
     size = df.agg(F.coalesce(F.sum(sum((cost(n, k) for n, k in df.dtypes), F.lit(32)).cast("long")), F.lit(0)).alias("b")).first()["b"]
-    return F.broadcast(df) if size <= most else df
+    return size <= most
+
+
+def bounded(df: DataFrame, most: int = BROADCAST_BYTES) -> DataFrame:
+    """``df`` with a broadcast hint if it ``fits``; a larger table is left to the join's own choice."""
+    return F.broadcast(df) if fits(df, most) else df
 
 
 def spread_like(df: DataFrame, scan: DataFrame, key: str) -> DataFrame:

@@ -32,7 +32,7 @@ def read_lines(spark: SparkSession, path: str, schema: str) -> DataFrame:
 
 def read_filings(spark: SparkSession, path: str) -> DataFrame:
     """(path, text) of whole text files."""
-    return spark.read.option("wholetext", True).text(path).select(F.input_file_name().alias("path"), F.col("value").alias("text"))
+    return spark.read.text(path, wholetext=True).select(F.input_file_name().alias("path"), F.col("value").alias("text"))
 
 
 def write_as(df: DataFrame, path: str, kind: str) -> None:
@@ -70,10 +70,11 @@ TRAINING = {"epochs": 1, "precision": "bf16", "learning_rate": 3e-05, "large_mod
 
 
 def write_manifest(spark: SparkSession, path: str, recipe: dict, shards: DataFrame) -> dict:
-    """A one-row JSON file beside the shards: the recipe, the training settings, totals and the shard list."""
-    rows = [r.asDict() for r in shards.orderBy("shard").collect()]
-    body = {"recipe": recipe, "training": TRAINING, "tokens": sum(r["tokens"] for r in rows), "docs": sum(r["docs"] for r in rows), "shards": rows}
+    """A one-row JSON file: the recipe, the training settings and totals. The shard list, which grows with the corpus, is written beside it as JSON lines."""
+    total = shards.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("tokens"), F.lit(0)).alias("t"), F.coalesce(F.sum("docs"), F.lit(0)).alias("d")).first()
+    body = {"recipe": recipe, "training": TRAINING, "tokens": int(total["t"]), "docs": int(total["d"]), "shards": int(total["n"])}
     spark.createDataFrame([(json.dumps(body, sort_keys=True),)], "value string").coalesce(1).write.mode("overwrite").text(path)
+    shards.write.mode("overwrite").json(f"{path}-shards")
     return body
 
 
