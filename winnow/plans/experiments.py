@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from functools import reduce
+from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
+from functools import partial, reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -14,6 +16,17 @@ from winnow.operators.ranking import running_total
 from winnow.plans.settle import settle
 from winnow.sources.tables import read_table
 
+#: Rows of a grid that are worked on at a time; each is a chain of small jobs that alone leaves a cluster idle.
+AT_A_TIME = 4
+
+
+def _side_by_side(jobs: list[Callable[[], DataFrame]]) -> DataFrame:
+    """The union of what the jobs return, in their order."""
+    with ThreadPoolExecutor(AT_A_TIME) as pool:
+        parts = list(pool.map(lambda job: job(), jobs))
+    return reduce(lambda a, b: a.unionByName(b), parts)
+
+
 SELECTORS = ("task_similar", "novelty", "diversity", "blended")
 
 
@@ -114,13 +127,14 @@ ROWS = (
 def selection_comparison(bench: Bench, rows: tuple = ROWS, seeds: int = 10, fraction: float = 0.1) -> DataFrame:
     """(selector, mode, task, seed, f1, accuracy): every row of the comparison on every task and run.
 
-    The loop over at most 14 selectors is the driver's; each turn is one distributed plan.
+    The loop over at most 14 selectors is the driver's; each turn is a few distributed plans.
     """
-    parts = []
-    for s, m in rows:
+
+    def one(s: str, m: str) -> DataFrame:
         model = bench.continued(s, m or "hard", fraction)
-        parts.append(settle(bench.few_shot(model, seeds).select(F.lit(s).alias("selector"), F.lit(m).alias("mode"), "task", "seed", "f1", "accuracy")))
-    return reduce(lambda a, b: a.unionByName(b), parts)
+        return settle(bench.few_shot(model, seeds).select(F.lit(s).alias("selector"), F.lit(m).alias("mode"), "task", "seed", "f1", "accuracy"))
+
+    return _side_by_side([partial(one, s, m) for s, m in rows])
 
 
 def comparison_table(grid: DataFrame) -> DataFrame:
@@ -141,29 +155,36 @@ def gain_and_retention(bench: Bench, rows: tuple = ROWS) -> DataFrame:
     """(selector, mode, domain_gain, retention): base perplexity over continued perplexity less 1, on held-out seed and general text."""
     base_t = lm.corpus_perplexity(bench.seed_heldout, bench.base, "seed_id").first()["perplexity"]
     base_g = lm.corpus_perplexity(bench.general_heldout, bench.base).first()["perplexity"]
-    out = []
-    for s, m in rows:
+
+
+    def one(row: tuple[str, str]) -> tuple:
+        s, m = row
         model = bench.continued(s, m or "hard")
         t = lm.corpus_perplexity(bench.seed_heldout, model, "seed_id").first()["perplexity"]
         g = lm.corpus_perplexity(bench.general_heldout, model).first()["perplexity"]
-        out.append((s, m, None if t is None else round(base_t / t - 1, 6), None if g is None else round(base_g / g - 1, 6)))
+        return s, m, None if t is None else round(base_t / t - 1, 6), None if g is None else round(base_g / g - 1, 6)
+
+    with ThreadPoolExecutor(AT_A_TIME) as pool:
+        out = list(pool.map(one, rows))
     return bench.spark.createDataFrame(out, "selector string, mode string, domain_gain double, retention double")
 
 
 def open_domain(bench: Bench, rows: tuple = ROWS) -> DataFrame:
     """(selector, mode, task, items, accuracy, accuracy_norm, mass): the general tasks under each continued model."""
     items = {k: settle(v) for k, v in fewshot.general_items(bench.spark, bench.folder).items()}
-    parts = []
-    for s, m in rows:
-        model = bench.continued(s, m or "hard")
+
+    def one(s: str, m: str) -> DataFrame:
+        model, parts = bench.continued(s, m or "hard"), []
         for task, pairs in items.items():
-            scored = fewshot.with_scores(fewshot.conditional_ll(pairs, model))
+            scored = settle(fewshot.with_scores(fewshot.conditional_ll(pairs, model)))
             a = metrics.choice_accuracy(scored).select("items", "accuracy")
             n = metrics.choice_accuracy(scored, "score_norm").select(F.col("accuracy").alias("accuracy_norm"))
             mass = metrics.mc2(scored).select("mc2")
-            one = a.crossJoin(n).crossJoin(mass)  # one row each
-            parts.append(settle(one.select(F.lit(s).alias("selector"), F.lit(m).alias("mode"), F.lit(task).alias("task"), "items", F.round("accuracy", 6).alias("accuracy"), F.round("accuracy_norm", 6).alias("accuracy_norm"), F.round("mc2", 6).alias("mass"))))
-    return reduce(lambda a, b: a.unionByName(b), parts)
+            row = a.crossJoin(n).crossJoin(mass)  # one row each
+            parts.append(row.select(F.lit(s).alias("selector"), F.lit(m).alias("mode"), F.lit(task).alias("task"), "items", F.round("accuracy", 6).alias("accuracy"), F.round("accuracy_norm", 6).alias("accuracy_norm"), F.round("mc2", 6).alias("mass")))
+        return settle(reduce(lambda a, b: a.unionByName(b), parts))
+
+    return _side_by_side([partial(one, s, m) for s, m in rows])
 
 
 def size_pair(spark: SparkSession, folder: str, seeds: int = 10) -> DataFrame:
@@ -178,9 +199,9 @@ def size_pair(spark: SparkSession, folder: str, seeds: int = 10) -> DataFrame:
 
 def f1_ablation(bench: Bench, fractions: tuple[float, ...] = (0.01, 0.05, 0.1, 0.2, 0.5, 1.0), seeds: int = 10) -> DataFrame:
     """(selector, fraction, f1): mean over tasks and runs as the subset grows."""
-    parts = []
-    for s in ("uniform_budget", "task_similar", "novelty", "diversity"):
-        for f in fractions:
-            r = bench.few_shot(bench.continued(s, "hard", f), seeds).agg(F.round(F.avg("f1"), 6).alias("f1"))
-            parts.append(settle(r.select(F.lit(s).alias("selector"), F.lit(float(f)).alias("fraction"), "f1")))
-    return reduce(lambda a, b: a.unionByName(b), parts)
+
+    def one(s: str, f: float) -> DataFrame:
+        r = bench.few_shot(bench.continued(s, "hard", f), seeds).agg(F.round(F.avg("f1"), 6).alias("f1"))
+        return settle(r.select(F.lit(s).alias("selector"), F.lit(float(f)).alias("fraction"), "f1"))
+
+    return _side_by_side([partial(one, s, f) for s in ("uniform_budget", "task_similar", "novelty", "diversity") for f in fractions])
