@@ -7,7 +7,7 @@ from collections.abc import Iterator
 from functools import reduce
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from winnow.functions.textops import words
@@ -165,14 +165,39 @@ def rule_spans(docs: DataFrame, text: str = "text") -> DataFrame:
 
 
 def token_spans(docs: DataFrame, text: str = "text") -> DataFrame:
-    """The same of a text's tokens between white space, with no type."""
-    return _found(docs, {"": TOKEN}, text).drop("type")
+    """(doc_id, start, stop, m) of a text's tokens between white space, and of neighbours with one blank between them."""
+
+    def candidates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        token = re.compile(TOKEN)
+        for b in batches:
+            rows = []
+            for i, x in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                places = [m.span() for m in token.finditer(x or "")]
+                pairs = [(a[0], c[1]) for a, c in zip(places, places[1:], strict=False) if c[0] == a[1] + 1 and x[a[1]] == " "]
+                rows += [(i, s + 1, e + 1, x[s:e]) for s, e in places + pairs]
+            cols = list(zip(*rows, strict=True)) if rows else [[]] * 4
+            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=["doc_id", "start", "stop", "m"])
+
+    return docs.select("doc_id", text).mapInArrow(candidates, "doc_id long, start long, stop long, m string")
+
+
+#: How a string of one word becomes its shape. Runs of letters, of digits, then of both in turn.
+SHAPE = ((r"[A-Za-z]+", "a"), (r"[0-9]+", "0"), (r"(a0)+a|(0a)+0|(a0)+|(0a)+", "x"))
+
+
+def shape(m: str = "m") -> Column:
+    """What a span is recognised by: its shape, or, where it holds a blank, itself."""
+    out = F.col(m)
+    for pattern, new in SHAPE:
+        out = F.regexp_replace(out, pattern, new)
+    return F.when(F.contains(F.col(m), F.lit(" ")), F.col(m)).otherwise(out)
 
 
 def lexicon_spans(shots: DataFrame, tests: DataFrame) -> DataFrame:
-    """(doc_id, start, stop, type): a token is tagged wherever it occurs if a shot span begins with its first three characters."""
-    heads = rule_spans(shots).select("type", F.substring("m", 1, 3).alias("head")).distinct()
-    return token_spans(tests).withColumn("head", F.substring("m", 1, 3)).join(heads, "head").select("doc_id", "start", "stop", "type")
+    """(doc_id, start, stop, type): a candidate is tagged wherever it occurs if a shot span has its shape or, of two words, its text."""
+    known = rule_spans(shots).select("type", shape().alias("shape")).distinct()
+    return token_spans(tests).withColumn("shape", shape()).join(known, "shape").select("doc_id", "start", "stop", "type")
 
 
 def surprise(strings: DataFrame, model: lm.Model) -> DataFrame:
@@ -184,14 +209,14 @@ def surprise(strings: DataFrame, model: lm.Model) -> DataFrame:
 def entity_f1(shots: DataFrame, gold: DataFrame, tokens: DataFrame, model: lm.Model) -> DataFrame:
     """(seed, f1) of the span task under a model, over exact spans of all types.
 
-    From each run's shots come the spans' first three characters and, by type, how little a span's words surprised the model;
-    a test token is tagged if it begins like a span and surprises the model at least as much. ``gold`` holds the rule's spans of
+    From each run's shots come the spans' shapes and, by type, how little a span's words surprised the model;
+    a candidate is tagged if it has a span's shape and surprises the model at least as much. ``gold`` holds the rule's spans of
     all documents, ``tokens`` those of the test documents.
     """
     known = settle(surprise(gold.select("m").unionAll(tokens.select("m")), model))
-    own = shots.select("seed", "doc_id").join(gold, "doc_id").join(known, "m", "left").select("seed", "type", F.substring("m", 1, 3).alias("head"), F.coalesce("surprise", F.lit(0.0)).alias("s"))
+    own = shots.select("seed", "doc_id").join(gold, "doc_id").join(known, "m", "left").select("seed", "type", shape().alias("head"), F.coalesce("surprise", F.lit(0.0)).alias("s"))
     learned = settle(own.select("seed", "type", "head").distinct().join(own.groupBy("seed", "type").agg(F.min("s").alias("least")), ["seed", "type"]))
-    held = tokens.join(known, "m").withColumn("head", F.substring("m", 1, 3))
+    held = tokens.join(known, "m").withColumn("head", shape())
     tagged = held.join(learned, "head").where(F.round("surprise", 9) >= F.round("least", 9)).select("seed", "doc_id", "start", "stop", "type").distinct()
     true = gold.join(tokens.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "start", "stop", "type").distinct()
     hits = tagged.join(true, ["doc_id", "start", "stop", "type"], "left_semi").groupBy("seed").agg(F.count(F.lit(1)).alias("tp"))

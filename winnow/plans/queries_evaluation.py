@@ -122,6 +122,7 @@ def _occurrences(shapes: dict[str, str], docs: str) -> str:
     return f"SELECT doc_id, type, m, 1 + sum(length(gap) + length(m)) OVER w - length(m) AS start, 1 + sum(length(gap) + length(m)) OVER w AS stop FROM ({' UNION ALL '.join(parts)}) WINDOW w AS (PARTITION BY doc_id, type ORDER BY k ROWS UNBOUNDED PRECEDING)"
 
 
+_SHAPE = "CASE WHEN contains(m, ' ') THEN m ELSE " + reduce(lambda x, step: f"regexp_replace({x}, '{step[0]}', '{step[1]}', 'g')", fewshot.SHAPE, "m") + " END"
 _FIFTH = uniform("doc_id", "spans") + " < 0.2e0"
 
 
@@ -131,9 +132,10 @@ _FIFTH = uniform("doc_id", "spans") + " < 0.2e0"
         "SELECT type, count(*) FILTER (p AND g)::BIGINT AS tp, count(*) FILTER (p AND NOT g)::BIGINT AS fp, count(*) FILTER (g AND NOT p)::BIGINT AS fn, round(2e0 * count(*) FILTER (p AND g) / (2 * count(*) FILTER (p AND g) + count(*) FILTER (p AND NOT g) + count(*) FILTER (g AND NOT p)), 6) AS f1 FROM (SELECT type, bool_or(x = 0) AS p, bool_or(x = 1) AS g FROM (SELECT doc_id, start, stop, type, 0 AS x FROM tagged UNION ALL SELECT doc_id, start, stop, type, 1 FROM gold WHERE doc_id IN (SELECT doc_id FROM rest)) GROUP BY doc_id, start, stop, type) GROUP BY type",
         rest=f"SELECT doc_id, text FROM corpus WHERE NOT ({_FIFTH})",
         gold=_occurrences(fewshot.SPANS, "corpus"),
-        toks=_occurrences({"": r"[^ \t\r\n]+"}, "rest"),
-        heads=f"SELECT DISTINCT type, substring(m, 1, 3) AS head FROM gold WHERE {_FIFTH}",
-        tagged="SELECT t.doc_id, t.start, t.stop, h.type FROM toks t JOIN heads h ON substring(t.m, 1, 3) = h.head",
+        tok1=_occurrences({"": fewshot.TOKEN}, "rest"),
+        toks="SELECT doc_id, start, stop, m FROM tok1 UNION ALL SELECT a.doc_id, a.start, b.stop, a.m || ' ' || b.m FROM tok1 a JOIN tok1 b ON a.doc_id = b.doc_id AND b.start = a.stop + 1 JOIN rest r ON r.doc_id = a.doc_id WHERE substring(r.text, a.stop::BIGINT, 1) = ' '",
+        heads=f"SELECT DISTINCT type, {_SHAPE} AS head FROM gold WHERE {_FIFTH}",
+        tagged=f"SELECT t.doc_id, t.start, t.stop, h.type FROM toks t JOIN heads h ON {_SHAPE.replace('m,', 't.m,').replace('(m', '(t.m').replace('THEN m', 'THEN t.m')} = h.head",
     ),
 )
 def span_f1(spark, d):
