@@ -250,3 +250,26 @@ def test_large_models_and_seeds_score_as_small_ones(spark, sf, monkeypatch):
     assert not large[0].small
     got = [ids(lm.perplexity(docs, m), "perplexity") for m in large], ids(similarity.score_each(docs, seed, "max"), "similarity"), ids(metrics_table.score_all(docs, similarity.centroid(seed), large[0]), "similarity", "perplexity")
     assert got == want
+
+
+def test_odd_tables_under_scores_models_and_baselines(spark):
+    """Null, empty and repeated rows, null ids, clashing columns and empty tables have the stated results."""
+    schema = "doc_id long, text string, w string, c string, term string, _w string, k string"
+    rows = [(1, "bank loan"), (2, None), (3, ""), (4, "!?"), (None, "loan"), (5, "tree " * 20_000), (6, "bank loan"), (6, "bank loan")]
+    docs = spark.createDataFrame([(*r, "x", "x", "x", "x", "x") for r in rows], schema)
+    seed = spark.createDataFrame([(0, "bank loan"), (1, None), (2, "..")], "seed_id long, text string")
+    model = base_model(spark)
+    idf = similarity.inverse_frequency(docs)
+    for how in ({}, {"pool": "max"}, {"pool": "mean"}, {"idf": idf}):
+        got = {r.doc_id: r.similarity for r in similarity.similarity(docs, seed, **how).collect()}
+        assert got[1] > 0.99 and got[2] == got[3] == got[4] == got[5] == 0 and 0 < got[None] < 1
+        assert similarity.similarity(docs.limit(0), seed, **how).count() == 0
+    for m in (model, lm.train(docs, 2)):
+        got = {r.doc_id: r.n_tokens for r in lm.perplexity(docs, m).collect()}
+        assert got == {1: 2, None: 1, 5: 20_000, 6: 4} and lm.perplexity(docs.limit(0), m).count() == 0
+    empty = lm.train(docs.limit(0))
+    assert empty.vocabulary == 0 and abs(lm.perplexity(docs.where("doc_id = 1"), empty).first()["perplexity"] - 1) < 1e-12
+    sized = docs.withColumn("n_tokens", F.lit(2).cast("long"))
+    assert sorted(r.doc_id or 0 for r in baselines.uniform_budget(sized, 1.0).collect()) == [0, 1, 2, 3, 4, 5, 6, 6]
+    assert baselines.uniform_budget(sized, 0.5).agg(F.sum("n_tokens")).first()[0] == 8
+    assert {r.doc_id for r in baselines.importance_resample(docs.drop("k").withColumn("n_tokens", F.lit(1).cast("long")).where("doc_id < 6"), seed, 1.0).collect()} == {1, 5}

@@ -1,4 +1,9 @@
-"""Selections to compare with: none, all, random, task text, importance resampling, a representative subset."""
+"""Selections to compare with: none, all, random, task text, importance resampling, a representative subset.
+
+Defined cases: all rest on ``select.hard``, so null keys, repeated keys, ties and empty tables are chosen from as stated there;
+null keys draw alike; documents without words have no density ratio and no likelihood gap and are not drawn by these two, but count in the
+budget; other columns come back untouched where the whole row is returned.
+"""
 
 from __future__ import annotations
 

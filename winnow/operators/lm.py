@@ -1,4 +1,10 @@
-"""n-gram language models as count tables: training is counting, continued training adds counts."""
+"""n-gram language models as count tables: training is counting, continued training adds counts.
+
+Defined cases: null and empty texts have no words, add nothing to a model and have no likelihood, so they are left out of its
+results; a model of no text gives every word the probability of the unknown one; rows that share a key are scored as one text,
+a null key being a key; repeated rows count each time in training; a very long text is many words of one row, summed where it is
+exploded; other columns are not read.
+"""
 
 from __future__ import annotations
 

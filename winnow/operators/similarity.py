@@ -1,4 +1,10 @@
-"""Closeness of documents to a task's unlabelled text."""
+"""Closeness of documents to a task's unlabelled text.
+
+Defined cases, for every way of pooling: null and empty texts, and texts without words, have similarity 0; a seed text without
+words takes part in no mean and no norm; a seed without any words is an error where a centroid is scored; every row is scored under its key, and rows that share
+a key are scored as one text where words are summed by key (run ``dedup.exact`` first); a null key is a key; empty tables give
+empty results; other columns are not read, so their names can't clash.
+"""
 
 from __future__ import annotations
 
@@ -126,17 +132,16 @@ def score_weighted(docs: DataFrame, centre: DataFrame, idf: DataFrame, key: str
         for b in batches:
             for at in range(0, b.num_rows, 512):  # bounds what one batch unfolds to
                 part = b.slice(at, 512)
-                rows = [(i, t, float(n)) for i, w in enumerate(part.column(1).to_pylist()) for t, n in Counter(w).items()]
+                rows = [(i, t, float(n)) for i, w in enumerate(part.column(1).to_pylist()) for t, n in (Counter(w) or {None: 0}).items()]
                 which, term, n = zip(*rows, strict=True) if rows else ((), (), ())
                 yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(which, pa.int64())), pa.array(term, pa.string()), pa.array(n, pa.float64())], names=["k", "term", "n"])
 
     centre = settle(centre)
     norm = centre.agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("n")).first()["n"]
     table = settle(idf.join(centre.select("term", F.col("w").alias("v")), "term", "left"))
-    each = docs.select(F.col(key), words(text).alias("w")).mapInArrow(counted, f"k {kind}, term string, n double").join(bounded(table), "term")
+    each = docs.select(F.col(key), words(text).alias("w")).mapInArrow(counted, f"k {kind}, term string, n double").join(bounded(table), "term", "left")
     sums = each.groupBy("k").agg(F.sum(F.col("n") * F.col("idf") * F.coalesce("v", F.lit(0.0))).alias("dot"), F.sqrt(F.sum(F.pow(F.col("n") * F.col("idf"), 2))).alias("size"))
-    found = sums.select(F.col("k").alias(key), F.coalesce(F.try_divide(F.col("dot"), F.col("size") * F.lit(norm)), F.lit(0.0)).alias("s"))
-    return docs.select(key).join(found, key, "left").select(key, F.coalesce("s", F.lit(0.0)).alias("similarity"))
+    return sums.select(F.col("k").alias(key), F.coalesce(F.try_divide(F.col("dot"), F.col("size") * F.lit(norm)), F.lit(0.0)).alias("similarity"))
 
 
 def similarity(docs: DataFrame, seed: DataFrame, pool: str = "centroid", weighting: str = "by_document", idf: DataFrame | None = None) -> DataFrame:

@@ -1,4 +1,8 @@
-"""Labelled tasks: the shot pool, the unlabelled seed and few-shot prompts."""
+"""Labelled tasks: the shot pool, the unlabelled seed and few-shot prompts.
+
+Defined cases: documents without label, and labels without document, take no part; a null label is
+left out; a null text gives no prompt; equal hashes go by id; empty tables give empty results.
+"""
 
 from __future__ import annotations
 
@@ -14,7 +18,7 @@ SHOTS = 5
 def labelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """(task, doc_id, text, label): quality and toxic of the labelled documents, as strings."""
     joined = docs.select("doc_id", "text").join(labels, "doc_id")
-    return joined.unpivot(["doc_id", "text"], ["quality", "toxic"], "task", "label").select("task", "doc_id", "text", F.col("label").cast("string").alias("label"))
+    return joined.unpivot(["doc_id", "text"], ["quality", "toxic"], "task", "label").where("label IS NOT NULL").select("task", "doc_id", "text", F.col("label").cast("string").alias("label"))
 
 
 def language_tasks(docs: DataFrame, langs: tuple[str, ...] = ("en", "fr", "de", "es")) -> DataFrame:
