@@ -4,7 +4,7 @@ import random
 
 from pyspark.sql import functions as F
 
-from winnow.operators import dedup, fewshot, lm, metrics, results, tasks
+from winnow.operators import dedup, fewshot, lm, metrics, metrics_table, results, select, tasks
 from winnow.operators.components import connected_components
 from winnow.operators.skew import salted_join
 from winnow.plans import catalog
@@ -28,6 +28,19 @@ def test_perplexity_facts(spark):
     assert abs(r[0] - 9 / 2) < 1e-9 and abs(r[0] - r[1]) < 1e-9 and abs(r[2] - 9) < 1e-9
 
 
+def test_texts_of_the_same_words_tie_in_perplexity_and_rank_by_id(spark):
+    rng = random.Random(5)
+    m = lm.train(texts(spark, *[" ".join(f"w{i}" for _ in range(i * i)) for i in range(1, 60)]))
+    bag = [f"w{rng.randrange(1, 80)}" for _ in range(40)] + [f"new{i}" for i in range(400)]
+    docs = texts(spark, *[" ".join(rng.sample(bag, len(bag))) for _ in range(40)])
+    centre = spark.createDataFrame([("w1", 1.0)], "term string, w double")
+    scored = metrics_table.score_all(docs, centre, m).collect()
+    assert len({r.perplexity for r in scored}) == 1 and scored[0].perplexity > 10_000
+    assert len({r.ll for r in lm.log_likelihood(docs, m).collect()}) == 1
+    chosen = select.choose(spark.createDataFrame(scored), "novelty", "hard", 0.5).collect()
+    assert [r.doc_id for r in sorted(chosen, key=lambda r: r.cum_tokens)] == list(range(20))
+
+
 def test_bigram_interpolation_by_hand(spark):
     m = lm.train(texts(spark, "a b a c"), 2)
     got = lm.perplexity(texts(spark, "a b"), m).first()["perplexity"]
