@@ -4,6 +4,7 @@ import os
 
 import duckdb
 import pytest
+from pyspark.errors import AnalysisException
 
 from winnow.plans import catalog
 
@@ -50,3 +51,13 @@ SLOW = {"selection_comparison", "gain_and_retention", "open_domain_choice", "siz
 def test_other_queries_run(spark, sf, name):
     assert catalog.queries()[name](spark, sf).count() >= 0
     assert os.path.isdir(sf)
+
+
+@pytest.mark.parametrize("name", ["cost_ledger", "delta_pct", "published_observations", "published_replay", "win_rate", "win_rate_with_self"])
+def test_figures_come_from_the_given_tables(spark, sf, tmp_path, name):
+    missing = {"published_replay": "documents", "cost_ledger": "conversations"}.get(name, "labels")
+    for t in TABLES:
+        if t != missing:
+            os.symlink(f"{sf}/{t}.parquet", tmp_path / f"{t}.parquet")
+    with pytest.raises(AnalysisException, match=missing):
+        catalog.queries()[name](spark, str(tmp_path)).collect()
