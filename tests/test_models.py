@@ -217,3 +217,21 @@ def test_components_of_a_hub_and_a_chain(spark):
     hub = [(0, i) for i in range(1, 900)] + [(5000 + i, 5001 + i) for i in range(60)] + [(3, 3), (None, 4), (899, 0)]
     got = {r.node: r.root for r in connected_components(spark.createDataFrame(hub, "a long, b long")).collect()}
     assert got == {i: 0 for i in range(1, 900)} | {5001 + i: 5000 for i in range(60)}
+
+
+def test_few_edges_are_joined_up_in_one_task(spark, monkeypatch):
+    from winnow.operators import components
+
+    rng = random.Random(4)
+    edges = [(rng.randrange(-300, 300), rng.randrange(-300, 300)) for _ in range(250)] + [(i, i + 1) for i in range(1000, 1200)] + [(5000, -9), (7, 7)]
+    rows = spark.createDataFrame([*edges, (None, 3)], "a long, b long")
+    by_rounds = {(r.node, r.root) for r in connected_components(rows, one_task=0).collect()}
+
+    def no_round(*_):
+        raise AssertionError("a round was planned")
+
+    monkeypatch.setattr(components, "_large_star", no_round)
+    assert {(r.node, r.root) for r in connected_components(rows).collect()} == by_rounds
+    names = spark.createDataFrame([("é", "b"), ("b", "zz"), ("x", "y"), ("x", "x")], "a string, b string")
+    assert {(r.node, r.root) for r in connected_components(names).collect()} == {("é", "b"), ("zz", "b"), ("y", "x")}
+    assert connected_components(rows.where("a > 9999")).count() == 0
