@@ -15,3 +15,19 @@ def test_models_side_by_side_give_what_each_gives_alone(spark, sf, monkeypatch):
     got = {(r["selector"], r["fraction"]): r["f1"] for r in experiments.f1_ablation(b, (0.1, 1.0), 2).collect()}
     assert len(got) == 8 and [got["novelty", 0.1], got["uniform_budget", 1.0]] == alone
     assert got["diversity", 0.1] != got["novelty", 0.1]
+
+
+def test_the_comparison_gives_what_each_row_gives_alone(spark, sf, monkeypatch):
+    b = experiments.Bench(spark, sf)
+    rows = (("base_only", ""), ("task_only", ""), ("blended", "soft"))
+    key = lambda r: (r["task"], r["seed"], round(r["f1"], 9), r["accuracy"] and round(r["accuracy"], 9))
+    alone = sorted(("task_only", "", *key(r)) for r in b.few_shot(b.continued("task_only"), 2).collect())
+
+    def one_by_one(*_, **__):
+        raise AssertionError("a row was trained or tested alone")
+
+    monkeypatch.setattr(b, "few_shot", one_by_one)
+    monkeypatch.setattr(b, "continued", one_by_one)
+    got = experiments.selection_comparison(b, rows, 2).collect()
+    assert {(r["selector"], r["mode"]) for r in got} == set(rows)
+    assert sorted((r["selector"], r["mode"], *key(r)) for r in got if r["selector"] == "task_only") == alone
