@@ -31,3 +31,24 @@ def test_the_comparison_gives_what_each_row_gives_alone(spark, sf, monkeypatch):
     got = experiments.selection_comparison(b, rows, 2).collect()
     assert {(r["selector"], r["mode"]) for r in got} == set(rows)
     assert sorted((r["selector"], r["mode"], *key(r)) for r in got if r["selector"] == "task_only") == alone
+
+
+def test_spans_are_handed_on_in_small_batches():
+    from winnow.operators import fewshot
+
+    docs = fewshot.pa.table({"doc_id": [1, 2, 3], "text": ["a  b " * 40_000, None, "x@y.zz q\n10.0.0.1"]}).to_batches()
+    run = {}
+
+    class Docs:
+        def select(self, *_):
+            return self
+
+        def mapInArrow(self, f, _):
+            run["f"] = f
+
+    fewshot.token_spans(Docs())
+    rows = [r for b in run["f"](iter(docs)) for r in b.to_pylist()]
+    assert len(rows) == 80_000 + 39_999 + 3 + 1 and {"doc_id": 3, "start": 1, "stop": 9, "m": "x@y.zz q"} in rows
+    assert max(b.num_rows for b in run["f"](iter(docs))) <= fewshot.ROWS_AT_A_TIME
+    fewshot.rule_spans(Docs())
+    assert [(r["doc_id"], r["start"], r["type"]) for b in run["f"](iter(docs)) for r in b.to_pylist()] == [(3, 1, "EMAIL"), (3, 10, "IP")]
