@@ -52,3 +52,28 @@ def test_spans_are_handed_on_in_small_batches():
     assert max(b.num_rows for b in run["f"](iter(docs))) <= fewshot.ROWS_AT_A_TIME
     fewshot.rule_spans(Docs())
     assert [(r["doc_id"], r["start"], r["type"]) for b in run["f"](iter(docs)) for r in b.to_pylist()] == [(3, 1, "EMAIL"), (3, 10, "IP")]
+
+
+def test_choices_side_by_side_give_what_each_model_gives_alone(spark, sf, monkeypatch):
+    from functools import reduce
+
+    from winnow.operators import fewshot, metrics
+
+    b = experiments.Bench(spark, sf)
+    rows = (("importance_resample", ""), ("representative_subset", ""), ("blended", "soft"))
+    items = {k: settle(v) for k, v in fewshot.general_items(spark, sf, b.corpus).items()}
+    alone = []
+    for s, m in rows:
+        model = b.continued(s, m or "hard")
+        for task, pairs in items.items():
+            scored = settle(fewshot.with_scores(fewshot.conditional_ll(pairs, model)))
+            a = metrics.choice_accuracy(scored).first()
+            alone.append((s, m, task, a["items"], a["accuracy"], metrics.choice_accuracy(scored, "score_norm").first()["accuracy"], metrics.mc2(scored).first()["mc2"]))
+
+    def one_by_one(*_, **__):
+        raise AssertionError("a row was chosen or trained alone")
+
+    monkeypatch.setattr(b, "selection", one_by_one)
+    monkeypatch.setattr(b, "continued", one_by_one)
+    shown = lambda r: (*r[:4], *[None if x is None else round(x, 6) for x in r[4:]])
+    assert sorted(map(shown, map(tuple, experiments.open_domain(b, rows).collect()))) == sorted(map(shown, alone))
