@@ -77,3 +77,17 @@ def test_choices_side_by_side_give_what_each_model_gives_alone(spark, sf, monkey
     monkeypatch.setattr(b, "continued", one_by_one)
     shown = lambda r: (*r[:4], *[None if x is None else round(x, 6) for x in r[4:]])
     assert sorted(map(shown, map(tuple, experiments.open_domain(b, rows).collect()))) == sorted(map(shown, alone))
+
+
+def test_the_size_pair_gives_what_the_bigram_model_gives_alone(spark, sf, monkeypatch):
+    b = experiments.Bench(spark, sf, 2)
+    key = lambda r: (r["task"], r["seed"], round(r["f1"], 9), r["accuracy"] and round(r["accuracy"], 9))
+    alone = sorted(map(key, b.few_shot(b.continued("full_domain"), 1, pool="fresh").collect()))
+
+    def counted(*_, **__):
+        raise AssertionError("the corpus's pairs were counted")
+
+    monkeypatch.setattr(experiments.lm, "bigram_counts", counted)
+    got = experiments.size_pair(spark, sf, 1).collect()
+    for size in ("small", "large"):
+        assert sorted(key(r) for r in got if (r["model"], r["selector"]) == (size, "full_domain")) == alone
