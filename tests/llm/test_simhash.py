@@ -4,6 +4,7 @@ import random
 import xxhash
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 from winnow.llm import simhash
 
@@ -112,3 +113,18 @@ def test_odd_rows(spark):
     kept = simhash.keep_one(docs).collect()
     assert sorted((r.doc_id, r.text) for r in kept) == [(1, ""), (9, "One two THREE four"), (9, "else")]
     assert simhash.near_duplicates(docs.limit(0)).count() == 0
+
+
+def test_unfolded_rows_are_never_broadcast(spark):
+    """Their size is guessed from the fingerprints they unfold from, so a broadcast would send many times the guess to the driver."""
+    rng = random.Random(3)
+    fps = [rng.getrandbits(64) for _ in range(300)]
+    nodes = spark.createDataFrame([(signed(f),) for f in fps + [f ^ 1 for f in fps[:20]]], "fp long")
+    found = simhash.links(nodes)
+    assert len(found.collect()) == 20
+    assert "BroadcastHashJoin" not in found._jdf.queryExecution().executedPlan().toString()
+    bucket = nodes.select(F.lit(0).alias("h"), simhash._word(0).alias("v"), "fp").repartition(4, "v")
+    stars = simhash._stars(bucket, 3)
+    assert stars.where("a <> b").count() >= 20
+    stars.collect()
+    assert "BroadcastHashJoin" not in stars._jdf.queryExecution().executedPlan().toString()

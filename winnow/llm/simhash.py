@@ -146,7 +146,8 @@ def links(nodes: DataFrame, radius: int = RADIUS, crowd: int = CROWD) -> DataFra
     crowded = settle(hot.select(F.explode(F.transform(_choose(F.col("h"), lambda h: _longs(_near(h, radius))), lambda x: F.col("v").bitwiseXOR(x))).alias("v")).distinct())
     some = not crowded.isEmpty()
     calm = rows.join(crowded, "v", "left_anti") if some else rows
-    met = calm.join(calm.withColumnRenamed("d", "e"), "v").where("d < e").select(_fingerprint_of().alias("x"), _fingerprint_of("v", "e").alias("y"))
+    # Spark sizes a table unfolded from a shuffle as if every row stayed one, and would send 131 times that to the driver for a broadcast
+    met = calm.hint("merge").join(calm.withColumnRenamed("d", "e"), "v").where("d < e").select(_fingerprint_of().alias("x"), _fingerprint_of("v", "e").alias("y"))
     close = met.where((F.col("x") != F.col("y")) & (F.bit_count(F.col("x").bitwiseXOR(F.col("y"))) <= radius))
     found = close.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
     if some:
@@ -181,7 +182,7 @@ def _stars(rows: DataFrame, radius: int) -> DataFrame:
     points = points.unionAll(off.select("h", "v", "fp", (F.col("t") == 0).alias("hub"), far(1)))
     points = points.unionAll(off.where("t = 0").select("h", "v", "fp", F.lit(False).alias("hub"), far(2)))
     hubs = points.where("hub").groupBy("h", "v", "p").agg(F.min("fp").alias("centre"))
-    near = points.join(hubs, ["h", "v", "p"]).where("fp <> centre").where(F.bit_count(F.col("fp").bitwiseXOR(F.col("centre"))) <= radius)
+    near = points.hint("merge").join(hubs, ["h", "v", "p"]).where("fp <> centre").where(F.bit_count(F.col("fp").bitwiseXOR(F.col("centre"))) <= radius)
     return near.select(F.least("fp", "centre").alias("a"), F.greatest("fp", "centre").alias("b"))
 
 
